@@ -2,15 +2,28 @@
 
 from __future__ import annotations
 
+from . import quality, toxicity
 from .base import table
 from .packing import pack
 
 
+def op1_toxicity(spark, sf_dir):
+    documents = table(spark, sf_dir, "documents")
+    return toxicity.score_toxicity(documents, toxicity.train(documents, table(spark, sf_dir, "labels")))
+
+
+def op9_quality_classifier(spark, sf_dir):
+    documents = table(spark, sf_dir, "documents")
+    return quality.score_quality(documents, quality.train(documents, table(spark, sf_dir, "labels")))
+
+
 def op10_best_fit_packing(spark, sf_dir):
     return pack(table(spark, sf_dir, "documents"))
 
 
 QUERIES = {
+    "op1_toxicity": op1_toxicity,
+    "op9_quality_classifier": op9_quality_classifier,
     "op10_best_fit_packing": op10_best_fit_packing,
 }
 

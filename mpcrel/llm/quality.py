@@ -30,6 +30,7 @@ class SubwordConfig:
     longest: int = 4
     sample_rows: int = 4_000
     epochs: int = 5
+    least_steps: int = 300
     batch: int = 64
     rate: float = 0.5
     seed: int = 11
@@ -92,8 +93,9 @@ def fit(rows: list, labels, conf: SubwordConfig = SubwordConfig()) -> dict:
     rng = np.random.default_rng(conf.seed)
     table = rng.uniform(-1 / conf.dim, 1 / conf.dim, (conf.buckets, conf.dim))
     out, bias = rng.normal(0, 0.1, (2, conf.dim)), np.log(np.bincount(y, minlength=2) / len(y))
-    steps, done = conf.epochs * -(-len(rows) // conf.batch), 0
-    for _ in range(conf.epochs):
+    epochs = max(conf.epochs, conf.least_steps // -(-len(rows) // conf.batch))
+    steps, done = epochs * -(-len(rows) // conf.batch), 0
+    for _ in range(epochs):
         order = rng.permutation(len(rows))
         for start in range(0, len(order), conf.batch):
             rate = conf.rate * (1 - done / steps)

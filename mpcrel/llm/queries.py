@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import quality, toxicity
+from . import decontam, language, quality, toxicity
 from .base import table
 from .packing import pack
 
@@ -12,6 +12,15 @@ def op1_toxicity(spark, sf_dir):
     return toxicity.score_toxicity(documents, toxicity.train(documents, table(spark, sf_dir, "labels")))
 
 
+def op5_language_id(spark, sf_dir):
+    documents = table(spark, sf_dir, "documents")
+    return language.identify(documents, language.train(documents))
+
+
+def op8_benchmark_decontamination(spark, sf_dir):
+    return decontam.report(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op9_quality_classifier(spark, sf_dir):
     documents = table(spark, sf_dir, "documents")
     return quality.score_quality(documents, quality.train(documents, table(spark, sf_dir, "labels")))
@@ -23,6 +32,8 @@ def op10_best_fit_packing(spark, sf_dir):
 
 QUERIES = {
     "op1_toxicity": op1_toxicity,
+    "op5_language_id": op5_language_id,
+    "op8_benchmark_decontamination": op8_benchmark_decontamination,
     "op9_quality_classifier": op9_quality_classifier,
     "op10_best_fit_packing": op10_best_fit_packing,
 }

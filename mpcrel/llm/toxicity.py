@@ -31,6 +31,7 @@ class FmConfig:
     min_documents: int = 6
     min_tie: float = 4.0
     epochs: int = 40
+    least_steps: int = 1500
     batch: int = 256
     rate: float = 0.1
     l2: float = 1e-4
@@ -77,7 +78,7 @@ def fit(rows: list, labels, conf: FmConfig = FmConfig()) -> dict:
     gw, gv, gb = np.full(len(w), 1e-4), np.full(v.shape, 1e-4), 1e-4
     bias = float(np.log(y.mean() / (1 - y.mean())))
     weight = np.where(y == 1, 0.5 / y.mean(), 0.5 / (1 - y.mean())) ** 0.5
-    for _ in range(conf.epochs):
+    for _ in range(max(conf.epochs, conf.least_steps // -(-len(rows) // conf.batch))):
         order = rng.permutation(len(rows))
         for start in range(0, len(order), conf.batch):
             pick = order[start : start + conf.batch]

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import decontam, language, quality, toxicity
+from . import decontam, fingerprints, language, licenses, quality, toxicity
 from .base import table
 from .packing import pack
 
@@ -17,6 +17,14 @@ def op5_language_id(spark, sf_dir):
     return language.identify(documents, language.train(documents))
 
 
+def op6_document_fingerprints(spark, sf_dir):
+    return fingerprints.fingerprints(table(spark, sf_dir, "documents"))
+
+
+def op7_license_scan(spark, sf_dir):
+    return licenses.scan(table(spark, sf_dir, "documents"))
+
+
 def op8_benchmark_decontamination(spark, sf_dir):
     return decontam.report(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
@@ -33,9 +41,13 @@ def op10_best_fit_packing(spark, sf_dir):
 QUERIES = {
     "op1_toxicity": op1_toxicity,
     "op5_language_id": op5_language_id,
+    "op6_document_fingerprints": op6_document_fingerprints,
+    "op7_license_scan": op7_license_scan,
     "op8_benchmark_decontamination": op8_benchmark_decontamination,
     "op9_quality_classifier": op9_quality_classifier,
     "op10_best_fit_packing": op10_best_fit_packing,
 }
 
-ORACLE_SQL: dict[str, str] = {}
+ORACLE_SQL: dict[str, str] = {
+    "op7_license_scan": licenses.oracle_sql(),
+}

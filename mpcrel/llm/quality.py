@@ -14,7 +14,7 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .base import held_out, labelled_sample
+from .base import held_out, in_order, labelled_sample
 
 #: Tokens that a Python worker remembers.
 MEMO = 300_000
@@ -28,8 +28,8 @@ class SubwordConfig:
     dim: int = 8
     shortest: int = 3
     longest: int = 4
-    sample_rows: int = 4_000
-    epochs: int = 5
+    sample_rows: int = 2_500
+    epochs: int = 6
     least_steps: int = 300
     batch: int = 64
     rate: float = 0.5
@@ -170,8 +170,9 @@ def train(documents: DataFrame, labels: DataFrame, conf: SubwordConfig = Subword
 
     sample = labelled_sample(documents, labels, label, modulus, remainder, conf.sample_rows)
     kind = sample.schema["doc_id"].dataType.simpleString()
-    rows = sample.mapInArrow(hashed, f"doc_id {kind}, ids array<int>, shares array<float>, label int").toPandas().sort_values("doc_id", kind="stable")
-    return fit(list(zip(rows["ids"], rows["shares"])), rows["label"].to_numpy(), conf)
+    rows = sample.mapInArrow(hashed, f"doc_id {kind}, ids array<int>, shares array<float>, label int").toArrow()
+    (ids, shares), labels = in_order(rows, "ids", "shares")
+    return fit(list(zip(ids, shares)), labels, conf)
 
 
 def score_quality(documents: DataFrame, model: dict, conf: SubwordConfig = SubwordConfig(), modulus: int = 5, remainder: int = 0, threshold: float = 0.3) -> DataFrame:

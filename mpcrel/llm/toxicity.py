@@ -15,7 +15,7 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .base import held_out, labelled_sample
+from .base import held_out, in_order, labelled_sample
 
 TERM = re.compile(r"[^\W_]+")
 #: Terms that a Python worker remembers.
@@ -135,8 +135,9 @@ def train(documents: DataFrame, labels: DataFrame, conf: FmConfig = FmConfig(),
 
     sample = labelled_sample(documents, labels, label, modulus, remainder, conf.sample_rows)
     kind = sample.schema["doc_id"].dataType.simpleString()
-    rows = sample.mapInArrow(hashed, f"doc_id {kind}, terms array<int>, label int").toPandas().sort_values("doc_id", kind="stable")
-    return fit(rows["terms"].tolist(), rows["label"].to_numpy(), conf)
+    rows = sample.mapInArrow(hashed, f"doc_id {kind}, terms array<int>, label int").toArrow()
+    (terms,), labels = in_order(rows, "terms")
+    return fit(terms, labels, conf)
 
 
 def score_toxicity(documents: DataFrame, model: dict, conf: FmConfig = FmConfig(), modulus: int = 5, remainder: int = 0, threshold: float = 0.5) -> DataFrame:

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import decontam, fingerprints, language, licenses, pii, quality, toxicity
+from . import decontam, fingerprints, language, licenses, near_dedup, pii, quality, toxicity
 from .base import table
 from .packing import pack
 
@@ -12,6 +12,10 @@ def op1_toxicity(spark, sf_dir):
     return toxicity.score_toxicity(documents, toxicity.train(documents, table(spark, sf_dir, "labels")))
 
 
+def op2_minhash_near_dedup(spark, sf_dir):
+    return near_dedup.near_duplicates(table(spark, sf_dir, "documents"), near_dedup.NearConfig(shingle=3, percent=85, rows=5))
+
+
 def op3_pii(spark, sf_dir):
     return pii.report(table(spark, sf_dir, "documents"))
 
@@ -44,6 +48,7 @@ def op10_best_fit_packing(spark, sf_dir):
 
 QUERIES = {
     "op1_toxicity": op1_toxicity,
+    "op2_minhash_near_dedup": op2_minhash_near_dedup,
     "op3_pii": op3_pii,
     "op5_language_id": op5_language_id,
     "op6_document_fingerprints": op6_document_fingerprints,

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import decontam, fingerprints, language, licenses, near_dedup, pii, quality, toxicity
+from . import decontam, fingerprints, language, licenses, near_dedup, passages, pii, quality, toxicity
 from .base import table
 from .packing import pack
 
@@ -20,6 +20,10 @@ def op3_pii(spark, sf_dir):
     return pii.report(table(spark, sf_dir, "documents"))
 
 
+def op4_substring_dedup(spark, sf_dir):
+    return passages.passages(table(spark, sf_dir, "documents"))
+
+
 def op5_language_id(spark, sf_dir):
     documents = table(spark, sf_dir, "documents")
     return language.identify(documents, language.train(documents))
@@ -50,6 +54,7 @@ QUERIES = {
     "op1_toxicity": op1_toxicity,
     "op2_minhash_near_dedup": op2_minhash_near_dedup,
     "op3_pii": op3_pii,
+    "op4_substring_dedup": op4_substring_dedup,
     "op5_language_id": op5_language_id,
     "op6_document_fingerprints": op6_document_fingerprints,
     "op7_license_scan": op7_license_scan,

@@ -59,20 +59,29 @@ def _looked_up(text: Column, pattern: str, table: dict[str, str]) -> Column:
     return F.array_join(F.zip_with(parts, found, lambda a, b: F.concat(a, F.coalesce(b, F.lit("")))), "")
 
 
-def normalised(text: Column) -> Column:
-    """Compatibility forms replaced and marks composed with their letters; ASCII and Latin-1 letters skip the work.
+def with_canonical(df: DataFrame, names: dict[str, str]) -> DataFrame:
+    """df with canonical texts: names is column of text -> name of its canonical form.
 
-    Hangul written in single jamo and letters with more than three marks stay as they are.
+    Compatibility forms are replaced and marks composed with their letters, in steps that each read the column before, and
+    only for texts with characters beyond Latin-1 letters. Hangul written in single jamo and letters with more than three
+    marks stay as they are.
     """
     plain, to, several, composed = _unicode_tables()
-    mapped = F.translate(text, plain, to)
-    spread = F.when(mapped.rlike(_character_class("".join(several))), _looked_up(mapped, _character_class("".join(several)), several)).otherwise(mapped)
-    joined = F.when(spread.rlike(r"\p{M}"), _looked_up(spread, r"\P{M}\p{M}{1,3}", composed)).otherwise(spread)
-    return F.when(text.rlike(r"[^\x00-\x7F\xC0-\xD6\xD8-\xF6\xF8-\xFF]"), joined).otherwise(text)
-
-
-def canonical(text: Column) -> Column:
-    return F.trim(F.regexp_replace(F.lower(normalised(F.coalesce(text, F.lit("")))), r"[\s\x{85}\x{a0}\x{1680}\x{2000}-\x{200a}\x{2028}\x{2029}\x{202f}\x{205f}\x{3000}]+", " "))
+    spread = _character_class("".join(several))
+    for source, out in names.items():
+        odd = F.col("__odd")
+        steps = [
+            ("__text", F.coalesce(F.col(source), F.lit(""))),
+            ("__odd", F.col("__text").rlike(r"[^\x00-\x7F\xC0-\xD6\xD8-\xF6\xF8-\xFF]")),
+            ("__mapped", F.when(odd, F.translate("__text", plain, to)).otherwise(F.col("__text"))),
+            ("__spread", F.when(odd & F.col("__mapped").rlike(spread), _looked_up(F.col("__mapped"), spread, several)).otherwise(F.col("__mapped"))),
+            ("__joined", F.when(odd & F.col("__spread").rlike(r"\p{M}"), _looked_up(F.col("__spread"), r"\P{M}\p{M}{1,3}", composed)).otherwise(F.col("__spread"))),
+            (out, F.trim(F.regexp_replace(F.lower("__joined"), r"[\s\x{85}\x{a0}\x{1680}\x{2000}-\x{200a}\x{2028}\x{2029}\x{202f}\x{205f}\x{3000}]+", " "))),
+        ]
+        for name, column in steps:
+            df = df.withColumn(name, column)
+        df = df.drop(*(name for name, _ in steps[:-1]))
+    return df
 
 
 def wide_hash(canon: Column) -> Column:
@@ -87,10 +96,10 @@ def exact_groups(documents: DataFrame) -> DataFrame:
     bytes; a row that differs makes a group with its equals, so a collision splits a group. Null text counts as empty, rows
     with a null id take part with group_id null unless they have company.
     """
-    digests = documents.select("doc_id", wide_hash(canonical(F.col("text"))).alias("digest"))
+    texts = with_canonical(documents.select("doc_id", "text"), {"text": "canon"}).select("doc_id", "canon")
+    digests = texts.select("doc_id", wide_hash(F.col("canon")).alias("digest"))
     groups = digests.groupBy("digest").agg(F.min("doc_id").alias("first"), F.count("*").alias("n"))
     shared = digests.join(groups.where("n > 1"), "digest").select("doc_id", "digest", "first")
-    texts = documents.select("doc_id", canonical(F.col("text")).alias("canon"))
     bytes_of = shared.where("doc_id is not null").join(texts, "doc_id")
     first = bytes_of.where("doc_id = first").groupBy("digest").agg(F.min("canon").alias("first_canon"))
     differing = bytes_of.join(first, "digest").where("canon <> first_canon")
@@ -146,14 +155,13 @@ def fingerprints(documents: DataFrame) -> DataFrame:
     """
     pairs = with_next(documents)
     changed = pairs.withColumn("edited", edited(F.col("text"), F.col("next_text")))
-    own = changed.select("*", wide_hash(canonical(F.col("text"))).alias("fingerprint"), wide_hash(canonical(F.col("edited"))).alias("edited_fingerprint"),
-                         wide_hash(canonical(F.col("next_text"))).alias("next_fingerprint"))
+    own = with_canonical(changed, {"text": "__c0", "edited": "__c1", "next_text": "__c2"})
+    own = own.withColumns({f: wide_hash(F.col(c)) for f, c in (("fingerprint", "__c0"), ("edited_fingerprint", "__c1"), ("next_fingerprint", "__c2"))})
 
-    def alike(other: str, text: str) -> Column:
-        same = F.when(F.col("fingerprint") == F.col(other), canonical(F.col("text")) == canonical(F.col(text))).otherwise(False)
-        return same.cast("double")
+    def alike(other: str, canon: str) -> Column:
+        return F.when(F.col("fingerprint") == F.col(other), F.col("__c0") == F.col(canon)).otherwise(False).cast("double")
 
     made = own.select("doc_id", F.length("text").cast("long").alias("n_chars"), F.sha2(F.col("edited").cast("binary"), 256).alias("edited_sha256"),
-                      "fingerprint", "edited_fingerprint", alike("edited_fingerprint", "edited").alias("near_edited"), alike("next_fingerprint", "next_text").alias("near_next"))
+                      "fingerprint", "edited_fingerprint", alike("edited_fingerprint", "__c1").alias("near_edited"), alike("next_fingerprint", "__c2").alias("near_next"))
     groups = exact_groups(documents).dropDuplicates(["doc_id", "digest"]).withColumnRenamed("digest", "fingerprint")
     return made.join(groups, ["doc_id", "fingerprint"], "left")

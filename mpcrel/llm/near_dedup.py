@@ -254,8 +254,11 @@ def near_duplicates(documents: DataFrame, conf: NearConfig = NearConfig()) -> Da
     return labelled.select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id"), F.coalesce(component == F.col("doc_id"), F.lit(True)).alias("kept"))
 
 
-def drop_near_duplicates(documents: DataFrame, conf: NearConfig = NearConfig()) -> DataFrame:
-    """One row of each component stays, with all its columns: that of the smallest id. Rows without an id stay."""
-    gone = near_duplicates(documents, conf).where("not kept").select("doc_id").distinct()
-    kept = documents.join(gone, documents["doc_id"] == gone["doc_id"], "left_anti")
-    return kept
+def drop_near_duplicates(documents: DataFrame, conf: NearConfig = NearConfig(), broadcast_rows: int = 200_000) -> DataFrame:
+    """One row of each component stays, with all its columns: that of the smallest id. Rows without an id stay.
+
+    Repeated rows with one id are one document, which stays or goes. The ids that go are broadcast if they are few.
+    """
+    gone = settle(near_duplicates(documents, conf).where("not kept").select("doc_id").distinct())
+    side = F.broadcast(gone) if gone.count() <= broadcast_rows else gone
+    return documents.join(side, documents["doc_id"] == side["doc_id"], "left_anti")

@@ -1,10 +1,11 @@
 """MinHash near-deduplication with sequential Bayesian verification.
 
-Documents with equal shingle sets form a class. Class representatives are banded by MinHash; in each bucket the smallest
-member is compared with all others, batch after batch of hashes, and a pair is dropped as soon as the posterior probability
-that it reaches the threshold falls below the chosen miss probability. Survivors are verified on their full shingle sets. In
-buckets that then still hold several components, members of different components are compared block by block, so that no
-pair of a bucket goes untested although pairs within a component are never listed.
+Documents with equal shingle sets form a class. Class representatives are banded by MinHash; in each bucket the member that
+meets most others is compared with all of them, batch after batch of hashes, and a pair is dropped as soon as the posterior
+probability that it reaches the threshold falls below the chosen miss probability. Survivors are verified on their full
+shingle sets. In buckets that then still hold several components, members of different components are compared block by
+block: first the likeliest partners of each are verified, which joins nearly all that belong together, then every plausible
+pair that is left. So no pair of a bucket goes untested although pairs within a component are never listed.
 """
 
 from __future__ import annotations
@@ -30,9 +31,11 @@ class NearConfig:
     percent: int = 80  # similarity of a link, at least
     rows: int = 4  # hashes in a band
     miss: float = 1e-6  # probability that a pair at the threshold shares no band
-    posterior: float = 1e-9  # a pair less likely than this to be a link is dropped
+    posterior: float = 1e-5  # a pair less likely than this to be a link is dropped
     batch: int = 24  # hashes compared at a time
     block: int = 1024
+    likeliest: int = 3  # partners verified first for each member of a mixed bucket
+    broadcast_ids: int = 500_000  # more ids of texts to verify are joined by a shuffle
     seed: int = 1
 
     @property
@@ -171,7 +174,9 @@ def _verified(pairs: DataFrame, documents: DataFrame, conf: NearConfig) -> DataF
         for batch in batches:
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([shingles(t.as_py(), conf.shingle, words).tobytes() for t in batch.column(1)], pa.binary())], names=["doc_id", "shingles"])
 
-    full = settle(documents.select("doc_id", "text").join(ids, "doc_id", "left_semi").mapInArrow(sets, "doc_id long, shingles binary"))
+    ids = settle(ids)
+    few = F.broadcast(ids) if ids.count() <= conf.broadcast_ids else ids
+    full = settle(documents.select("doc_id", "text").join(few, "doc_id", "left_semi").mapInArrow(sets, "doc_id long, shingles binary"))
     both = pairs.join(full.select(F.col("doc_id").alias("b"), F.col("shingles").alias("of_b")), "b").join(full.select(F.col("doc_id").alias("a"), F.col("shingles").alias("of_a")), "a")
 
     def measure(batches):
@@ -194,15 +199,19 @@ def _verified(pairs: DataFrame, documents: DataFrame, conf: NearConfig) -> DataF
     return both.select("a", "b", "of_a", "of_b").mapInArrow(measure, "a long, b long, common long, total long")
 
 
-def _rest(members: DataFrame, components: DataFrame, sigs: DataFrame, conf: NearConfig) -> DataFrame:
-    """Plausible pairs of different components that share a bucket of three or more members."""
-    labelled = members.join(components.withColumnRenamed("node", "rep"), "rep", "left").select("key", "rep", F.coalesce("component", "rep").alias("component"))
+def _rest(members: DataFrame, components: DataFrame, sigs: DataFrame, conf: NearConfig, likeliest: int | None) -> DataFrame:
+    """Plausible pairs of different components that share a bucket of three or more members.
+
+    A pair is given by the first band that it shares only. With `likeliest`, each member of a block outside the block's
+    largest component gives that many of its best partners.
+    """
+    labelled = members.join(components.withColumnRenamed("node", "rep"), "rep", "left").select("key", "band", "rep", F.coalesce("component", "rep").alias("component"))
     mixed = labelled.groupBy("key").agg(F.count("*").alias("size"), F.min("component").alias("low"), F.max("component").alias("high")).where("size > 2 and low <> high")
     blocks = F.ceil(F.col("size") / conf.block).cast("int")
     rows = labelled.join(mixed.select("key", blocks.alias("blocks")), "key").join(sigs, "rep")
     own = F.pmod(F.xxhash64("rep", "key"), F.col("blocks")).cast("int")
     dealt = rows.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select(
-        "key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "rep", "component", "sig")
+        "key", "band", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "rep", "component", "sig")
 
     def compare(table):
         import numpy as np
@@ -210,16 +219,21 @@ def _rest(members: DataFrame, components: DataFrame, sigs: DataFrame, conf: Near
 
         sig = np.frombuffer(b"".join(table.column("sig").to_pylist()), "<u4").reshape(table.num_rows, conf.hashes)
         rep, component, own = (table.column(c).to_numpy() for c in ("rep", "component", "own"))
-        i, j = table.column("i")[0].as_py(), table.column("j")[0].as_py()
+        band, i, j = (table.column(c)[0].as_py() for c in ("band", "i", "j"))
         kinds, number = np.unique(component, return_counts=True)
         main = kinds[number.argmax()]
         out = set()
         for x in np.flatnonzero(component != main):
             y = np.flatnonzero((component != component[x]) & ((own != own[x]) | (i == j)))
+            if band and len(y):
+                earlier = (sig[y, : band * conf.rows] == sig[x, : band * conf.rows]).reshape(len(y), band, conf.rows).all(2).any(1)
+                y = y[~earlier]
             last, equal = 0, np.zeros(len(y), "int64")
             for n, least in bounds(conf):
                 equal += (sig[y, last:n] == sig[x, last:n]).sum(1)
                 y, equal, last = y[equal >= least], equal[equal >= least], n
+            if likeliest is not None and len(y) > likeliest:
+                y = y[np.argsort(-equal, kind="stable")[:likeliest]]
             out.update((min(rep[x], r), max(rep[x], r)) for r in rep[y])
         pairs = np.array(sorted(out), "int64").reshape(-1, 2)
         return pa.table({"a": pairs[:, 0], "b": pairs[:, 1]})
@@ -237,17 +251,22 @@ def near_duplicates(documents: DataFrame, conf: NearConfig = NearConfig()) -> Da
     filled = drawn.where("doc_id is not null and n > 0")
     classes = filled.groupBy("digest").agg(F.min("doc_id").alias("rep"))
     first = filled.join(classes, "digest").where("doc_id = rep").select("rep", "digest", "sig", "keys").dropDuplicates(["rep", "digest"])
+    first = settle(first)
     sigs = first.select("rep", "sig")
-    banded = first.select("rep", F.explode("keys").alias("key")).distinct()
-    leaders = banded.groupBy("key").agg(F.min("rep").alias("leader"), F.count("*").alias("size")).where("size > 1")
-    members = settle(banded.join(leaders, "key").select("key", "leader", "rep"))
-    pairs = members.where("rep <> leader").select(F.col("leader").alias("a"), F.col("rep").alias("b")).distinct()
-    links = settle(_verified(settle(_plausible(pairs, sigs, conf)), documents.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), conf).select("a", "b"))
+    texts = documents.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    banded = first.select("rep", F.posexplode("keys").alias("band", "key")).distinct()
+    sizes = banded.groupBy("key").agg(F.count("*").alias("size")).where("size > 1")
+    met = settle(banded.join(sizes, "key"))
+    ties = met.groupBy("rep").agg(F.sum("size").alias("ties"))
+    leaders = met.join(ties, "rep").groupBy("key").agg(F.max_by("rep", F.struct("ties", "rep")).alias("leader"))
+    pairs = met.join(leaders, "key").where("rep <> leader").select(F.least("leader", "rep").alias("a"), F.greatest("leader", "rep").alias("b")).distinct()
+    links = settle(_verified(settle(_plausible(pairs, sigs, conf)), texts, conf).select("a", "b"))
     components = connected_components(links)
-    rest = settle(_rest(members.select("key", "rep"), components, sigs, conf))
-    if not rest.isEmpty():
-        more = _verified(rest, documents.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), conf).select("a", "b")
-        components = connected_components(links.union(more))
+    for likeliest in (conf.likeliest, None):
+        rest = settle(_rest(met, components, sigs, conf, likeliest))
+        if not rest.isEmpty():
+            links = settle(links.union(_verified(rest, texts, conf).select("a", "b")))
+            components = connected_components(links)
     class_component = classes.join(components.withColumnRenamed("node", "rep"), "rep", "left").select("digest", F.coalesce("component", "rep").alias("component"))
     labelled = drawn.join(class_component, "digest", "left")
     component = F.when((F.col("n") > 0) & F.col("doc_id").isNotNull(), F.col("component")).otherwise(F.col("doc_id"))

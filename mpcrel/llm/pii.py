@@ -30,7 +30,7 @@ PATTERNS = {
 #: Texts that fail this test have no match that counts.
 GUARDS = {"email": r"@", "ip": r"[0-9]\.[0-9]++\.[0-9]++\.[0-9]", "card": r"[0-9](?:[ -]?[0-9]){15}", "phone": r"\+[0-9]"}
 
-_PART = "0*+(?:25[0-5]|2[0-4][0-9]|1[0-9][0-9]|[1-9]?[0-9])"
+_PART = "0*(?:25[0-5]|2[0-4][0-9]|1[0-9][0-9]|[1-9]?[0-9])"
 _SPAN = "array<struct<start:int,end:int,value:string>>"
 #: Prefix sums over arrays are taken in runs of this length.
 _RUN = 64
@@ -139,12 +139,9 @@ def disclosures(documents: DataFrame, conf: SanitiseConfig = SanitiseConfig(), a
     met = met.where(F.col("contexts") >= conf.min_contexts)
     together = classes.select("entity", "term", "doc_id", "tid").distinct().groupBy("entity", "term").agg(F.count("*").alias("co"))
     pairs = settle(met.join(together, ["entity", "term"]))
-    wanted = pairs.select("term").distinct()
-    few = wanted.count()
     words = F.array_distinct(F.split(F.lower(F.coalesce("text", F.lit(""))), r"[^\p{L}]+"))
     held = documents.select(F.explode(F.array_distinct(F.concat(words, F.transform(words, lambda w: _class_of(w, conf))))).alias("term"))
-    held = held if few > conf.broadcast_rows else held.join(F.broadcast(wanted), "term", "left_semi")
-    df_term = held.groupBy("term").agg(F.count("*").alias("df_term"))
+    df_term = held.groupBy("term").agg(F.count("*").alias("df_term"))  # counted before the shuffle, whatever the number of pairs
     entity = F.concat_ws(":", "s.kind", F.when(F.col("s.kind").isin("card", "phone"), _digits(F.col("s.value"))).otherwise(F.lower("s.value")))
     df_entity = (analysed.where(F.size("spans") > 0).select("doc_id", "tid", F.explode("spans").alias("s")).select("doc_id", "tid", entity.alias("entity")).distinct()
                  .groupBy("entity").agg(F.count("*").alias("df_entity")))

@@ -62,6 +62,8 @@ def consistent_order(rel: Relation, key: Iterable[str], buckets: int, seed: int
     slim = slim.select(POS, "__dead", F.when(dead, F.lit(0)).otherwise(h).cast("long").alias("__h"), *nothing, scan.chunk_of(F.col(POS), conf).alias("__c"))
     slim = slim.withColumn("__block", F.when(F.col("__dead") == 1, F.floor(F.col("__c"))).otherwise(block if method != "sort" else F.col("__h")).cast("long"))
     group = ["__dead", "__block", "__h", *key, "__c"]
+    if rel.size <= conf.chunk:  # one chunk, by public size: one window
+        return slim.select(POS, F.row_number().over(W.partitionBy("__c").orderBy("__dead", "__block", "__h", *key, POS)).cast("long").alias(rank_col(key)))
     counted = slim.groupBy(*group).agg(F.count("*").alias("n"))
     tops = counted.groupBy("__dead", "__block").agg(F.sum("n").alias("total"))
     tops = tops.select("__dead", "__block", F.coalesce(F.sum("total").over(W.orderBy("__dead", "__block").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)).alias("base"))

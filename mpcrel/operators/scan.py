@@ -50,7 +50,10 @@ def prefix(df: DataFrame, outs: dict[str, tuple[str, Column]], pos: str = POS, s
     before = W.orderBy(CHUNK).rowsBetween(W.unboundedPreceding, -1)
     carried = rows.groupBy(CHUNK).agg(*sums).select(CHUNK, *(_running("sum" if op == "count" else op, F.col(f"__t_{o}"), before).alias(f"__c_{o}") for o, (op, _) in outs.items()))
     local = rows.select("*", *(_running(op, F.col(f"__x_{o}"), here).alias(f"__l_{o}") for o, (op, _) in outs.items()))
-    joined = local.join(small(carried, None if size is None else size // conf.chunk + 1, conf), CHUNK)
+    if size is not None and size <= conf.chunk:  # one chunk, by public size: nothing is carried
+        joined = local.withColumns({f"__c_{o}": F.lit(None).cast(local.schema[f"__l_{o}"].dataType) for o in outs})
+    else:
+        joined = local.join(small(carried, None if size is None else size // conf.chunk + 1, conf), CHUNK)
     made = []
     for o, (op, _) in outs.items():
         value = _combine(op, F.col(f"__c_{o}"), F.col(f"__l_{o}"))
@@ -81,7 +84,10 @@ def segmented(df: DataFrame, seg: list[Column], outs: dict[str, tuple[str, Colum
     chunks = chunks.select("*", *(_running(kinds[o], F.col(f"__t_{o}"), open_run).alias(f"__r_{o}") for o in outs))
     carried = chunks.select(CHUNK, F.col("start").alias("__first_start"), F.lead("first").over(by_chunk).alias("__next_first"),
                             *(F.when(F.col("joins"), F.lag(f"__r_{o}").over(by_chunk)).alias(f"__c_{o}") for o in outs))
-    joined = rows.join(small(carried, None if size is None else size // conf.chunk + 1, conf), CHUNK)
+    if size is not None and size <= conf.chunk:  # one chunk, by public size: nothing is carried
+        joined = rows.withColumns({"__first_start": F.lit(None).cast("long"), "__next_first": F.lit(None).cast(rows.schema["__seg"].dataType), **{f"__c_{o}": F.lit(None).cast(rows.schema[f"__l_{o}"].dataType) for o in outs}})
+    else:
+        joined = rows.join(small(carried, None if size is None else size // conf.chunk + 1, conf), CHUNK)
     made = [F.when(F.col("__start") == F.col("__first_start"), _combine(op, F.col(f"__c_{o}"), F.col(f"__l_{o}"))).otherwise(_combine(op, F.lit(None), F.col(f"__l_{o}"))).alias(o) for o, (op, _) in outs.items()]
     if last:
         made.append((~F.coalesce("__next", "__next_first").eqNullSafe(F.col("__seg"))).alias(last))

@@ -35,6 +35,7 @@ class NearConfig:
     batch: int = 24  # hashes compared at a time
     block: int = 1024
     likeliest: int = 3  # partners verified first for each member of a mixed bucket
+    tile_pairs: int = 4000  # pairs whose shingle sets are verified together
     broadcast_ids: int = 500_000  # more ids of texts to verify are joined by a shuffle
     seed: int = 1
 
@@ -177,26 +178,36 @@ def _verified(pairs: DataFrame, documents: DataFrame, conf: NearConfig) -> DataF
     ids = settle(ids)
     few = F.broadcast(ids) if ids.count() <= conf.broadcast_ids else ids
     full = settle(documents.select("doc_id", "text").join(few, "doc_id", "left_semi").mapInArrow(sets, "doc_id long, shingles binary"))
-    both = pairs.join(full.select(F.col("doc_id").alias("b"), F.col("shingles").alias("of_b")), "b").join(full.select(F.col("doc_id").alias("a"), F.col("shingles").alias("of_a")), "a")
-
-    def measure(batches):
+    # pairs are dealt to tiles by both ends, and crowded tiles are split, so that a set is sent once to each tile that needs
+    # it and not once for each of its pairs
+    side = math.ceil(math.sqrt(pairs.count() / conf.tile_pairs)) or 1
+    tile = ["i", "j", "k"]
+    dealt = pairs.select("a", "b", F.pmod(F.xxhash64("a"), F.lit(side)).alias("i"), F.pmod(F.xxhash64("b"), F.lit(side)).alias("j"))
+    crowded = dealt.groupBy("i", "j").agg(F.ceil(F.count("*") / conf.tile_pairs).alias("parts"))
+    crowded = F.broadcast(crowded) if side * side <= conf.broadcast_ids else crowded
+    dealt = dealt.join(crowded, ["i", "j"]).select("a", "b", "i", "j", F.pmod(F.xxhash64("b", F.lit(7), "a"), F.col("parts")).alias("k"))
+    needed = dealt.select("i", "j", "k", F.explode(F.array("a", "b")).alias("doc_id")).distinct()
+    theirs = [f"of_{t}" for t in tile]
+    sent = needed.withColumnsRenamed(dict(zip(tile, theirs))).join(full, "doc_id").select(*theirs, "doc_id", "shingles")
+
+    def measure(those, these):
         import numpy as np
         import pyarrow as pa
 
-        for batch in batches:
-            rows, common, union = [], [], []
-            for k, (x, y) in enumerate(zip(batch.column("of_a"), batch.column("of_b"))):
-                x, y = np.frombuffer(x.as_py(), "uint64"), np.frombuffer(y.as_py(), "uint64")
-                i = len(np.intersect1d(x, y, assume_unique=True))
-                u = len(x) + len(y) - i
-                if u and 100 * i >= conf.percent * u:
-                    rows.append(k)
-                    common.append(i)
-                    union.append(u)
-            take = pa.array(rows, pa.int64())
-            yield pa.RecordBatch.from_arrays([batch.column("a").take(take), batch.column("b").take(take), pa.array(common, pa.int64()), pa.array(union, pa.int64())], names=["a", "b", "common", "total"])
-
-    return both.select("a", "b", "of_a", "of_b").mapInArrow(measure, "a long, b long, common long, total long")
+        held = {d: np.frombuffer(x.as_py(), "uint64") for d, x in zip(these.column("doc_id").to_pylist(), these.column("shingles"))}
+        out = []
+        for a, b in zip(those.column("a").to_pylist(), those.column("b").to_pylist()):
+            x, y = held.get(a), held.get(b)
+            if x is None or y is None:
+                continue
+            i = len(np.intersect1d(x, y, assume_unique=True))
+            u = len(x) + len(y) - i
+            if u and 100 * i >= conf.percent * u:
+                out.append((a, b, i, u))
+        columns = list(zip(*out)) or [[], [], [], []]
+        return pa.table({name: pa.array(c, pa.int64()) for name, c in zip(("a", "b", "common", "total"), columns)})
+
+    return dealt.groupBy(*tile).cogroup(sent.groupBy(*theirs)).applyInArrow(measure, "a long, b long, common long, total long")
 
 
 def _rest(members: DataFrame, components: DataFrame, sigs: DataFrame, conf: NearConfig, likeliest: int | None) -> DataFrame:

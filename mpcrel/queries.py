@@ -419,3 +419,29 @@ def _(spark, sf):
 @register("rk_array_fns", "SELECT vec_id, len(embedding) AS n, CAST(round(embedding[1] * 1000) AS BIGINT) AS first FROM embeddings")
 def _(spark, sf):
     return read("embeddings")(spark, sf).select("vec_id", F.size("embedding").cast("long").alias("n"), F.round(F.element_at("embedding", 1) * 1000).cast("long").alias("first"))
+
+
+@register("share_store_roundtrip", f"SELECT o_orderkey, {C('o_totalprice')} AS total FROM orders")
+def _(spark, sf):
+    import uuid
+
+    from .model import settle
+    from .sources import share_store
+
+    rows = read("orders")(spark, sf).select("o_orderkey", fixed("o_totalprice").alias("total"))
+    settle(spark.range(1))
+    path = f"{spark.sparkContext.getCheckpointDir()}/shares-{uuid.uuid4().hex}"
+    share_store.upload(rows, ["total"], path, "n5", "o_orderkey")
+    return share_store.download(spark, path, ["total"], (0, 2), "o_orderkey")
+
+
+TEXT = "SELECT n_name, count(*) FROM nation, customer, orders WHERE c_nationkey = n_nationkey AND o_custkey = c_custkey AND c_mktsegment = 'BUILDING' AND o_orderkey BETWEEN 5 AND 9000 GROUP BY n_name"
+
+
+@register("text_query", "SELECT n_nationkey AS c_nationkey, n_name, count(*) AS __ann FROM nation JOIN customer ON c_nationkey = n_nationkey JOIN orders ON o_custkey = c_custkey WHERE c_mktsegment = 'BUILDING' AND o_orderkey BETWEEN 5 AND 9000 GROUP BY ALL")
+def _(spark, sf):
+    from .plans import sqlfront
+
+    schemas = {t: read(t)(spark, sf).columns for t in ("nation", "customer", "orders")}
+    text = TEXT.replace("SELECT n_name", "SELECT n_nationkey, n_name")
+    return q.plain(sqlfront.parse(text, schemas, {"nation": ("n_nationkey",), "customer": ("c_custkey",)}), spark, sf)

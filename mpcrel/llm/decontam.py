@@ -169,7 +169,7 @@ def _blocks(benchmark: DataFrame, conf: DecontaminationConfig):
 
 
 def find_hits(documents: DataFrame, benchmark: DataFrame, conf: DecontaminationConfig = DecontaminationConfig(), keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
-    """The kept columns with n_words, spans (array of [start, end) word numbers, merged) and items (sorted ids as text).
+    """The kept columns with text, __n_words, __spans (array of [start, end) word numbers, merged) and __items (sorted ids as text).
 
     Null or empty text has no words. Rows are scanned one by one, so repeated ids do not matter; a test item without id counts
     under the empty id, one without words is ignored. More than one block of test items means one scan per block over the
@@ -194,24 +194,24 @@ def find_hits(documents: DataFrame, benchmark: DataFrame, conf: DecontaminationC
                     words = words_of(texts[row].as_py())
                     hit, names = automaton.match(words)
                     if more:
-                        hit = merged(hit + [tuple(x) for x in batch.column("spans")[row].as_py()])
-                        names |= set(batch.column("items")[row].as_py())
+                        hit = merged(hit + [tuple(x) for x in batch.column("__spans")[row].as_py()])
+                        names |= set(batch.column("__items")[row].as_py())
                     counts.append(len(words))
                     spans.append([list(x) for x in hit])
                     found.append(sorted(names))
-                yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in keep), texts, pa.array(counts, pa.int64()), pa.array(spans, pa.list_(pa.list_(pa.int32()))), pa.array(found, pa.list_(pa.string()))], names=[*keep, "text", "n_words", "spans", "items"])
+                yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in keep), texts, pa.array(counts, pa.int64()), pa.array(spans, pa.list_(pa.list_(pa.int32()))), pa.array(found, pa.list_(pa.string()))], names=[*keep, "text", "__n_words", "__spans", "__items"])
 
-        full = StructType([*schema, documents.schema["text"]]).add("n_words", LongType()).add("spans", ArrayType(ArrayType(IntegerType()))).add("items", ArrayType(StringType()))
+        full = StructType([*schema, documents.schema["text"]]).add("__n_words", LongType()).add("__spans", ArrayType(ArrayType(IntegerType()))).add("__items", ArrayType(StringType()))
         out = (rows if out is None else out).mapInArrow(scan, full)
     return out
 
 
 def report(documents: DataFrame, benchmark: DataFrame, conf: DecontaminationConfig = DecontaminationConfig()) -> DataFrame:
     """doc_id, n_words, n_hit, n_items, items_sha256, contaminated for every document."""
-    hits = F.aggregate("spans", F.lit(0).cast("long"), lambda n, s: n + s[1] - s[0])
+    hits = F.aggregate("__spans", F.lit(0).cast("long"), lambda n, s: n + s[1] - s[0])
     return (find_hits(documents, benchmark, conf).select(
-        "doc_id", "n_words", hits.alias("n_hit"), F.size("items").cast("long").alias("n_items"),
-        F.sha2(F.array_join("items", ",").cast("binary"), 256).alias("items_sha256"), (F.size("spans") > 0).alias("contaminated")))
+        "doc_id", F.col("__n_words").alias("n_words"), hits.alias("n_hit"), F.size("__items").cast("long").alias("n_items"),
+        F.sha2(F.array_join("__items", ",").cast("binary"), 256).alias("items_sha256"), (F.size("__spans") > 0).alias("contaminated")))
 
 
 def decontaminate(documents: DataFrame, benchmark: DataFrame, conf: DecontaminationConfig = DecontaminationConfig(), max_coverage: float = 0.5) -> DataFrame:
@@ -232,7 +232,7 @@ def decontaminate(documents: DataFrame, benchmark: DataFrame, conf: Decontaminat
         for batch in batches:
             texts, chars, rows = [], [], []
             for row in range(batch.num_rows):
-                text, spans, n = batch.column("text")[row].as_py(), batch.column("spans")[row].as_py(), batch.column("n_words")[row].as_py()
+                text, spans, n = batch.column("text")[row].as_py(), batch.column("__spans")[row].as_py(), batch.column("__n_words")[row].as_py()
                 if sum(b - a for a, b in spans) > max_coverage * n:
                     continue
                 if spans:

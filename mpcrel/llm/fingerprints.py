@@ -14,6 +14,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
+from .base import settle
+
 #: Blocks of texts laid side by side hold about so many rows.
 BLOCK_ROWS = 128
 
@@ -72,11 +74,12 @@ def with_canonical(df: DataFrame, names: dict[str, str]) -> DataFrame:
         odd = F.col("__odd")
         steps = [
             ("__text", F.coalesce(F.col(source), F.lit(""))),
-            ("__odd", F.col("__text").rlike(r"[^\x00-\x7F\xC0-\xD6\xD8-\xF6\xF8-\xFF]")),
+            ("__odd", (F.length("__text") != F.octet_length("__text")) & F.col("__text").rlike(r"[^\x00-\x7F\xC0-\xD6\xD8-\xF6\xF8-\xFF]")),
             ("__mapped", F.when(odd, F.translate("__text", plain, to)).otherwise(F.col("__text"))),
             ("__spread", F.when(odd & F.col("__mapped").rlike(spread), _looked_up(F.col("__mapped"), spread, several)).otherwise(F.col("__mapped"))),
             ("__joined", F.when(odd & F.col("__spread").rlike(r"\p{M}"), _looked_up(F.col("__spread"), r"\P{M}\p{M}{1,3}", composed)).otherwise(F.col("__spread"))),
-            (out, F.trim(F.regexp_replace(F.lower("__joined"), r"[\s\x{85}\x{a0}\x{1680}\x{2000}-\x{200a}\x{2028}\x{2029}\x{202f}\x{205f}\x{3000}]+", " "))),
+            ("__spaced", F.when(odd, F.regexp_replace("__joined", r"[\x{85}\x{a0}\x{1680}\x{2000}-\x{200a}\x{2028}\x{2029}\x{202f}\x{205f}\x{3000}]", " ")).otherwise(F.col("__joined"))),
+            (out, F.trim(F.regexp_replace(F.lower("__spaced"), r"\s+", " "))),
         ]
         for name, column in steps:
             df = df.withColumn(name, column)
@@ -97,10 +100,10 @@ def exact_groups(documents: DataFrame) -> DataFrame:
     with a null id take part with group_id null unless they have company.
     """
     texts = with_canonical(documents.select("doc_id", "text"), {"text": "canon"}).select("doc_id", "canon")
-    digests = texts.select("doc_id", wide_hash(F.col("canon")).alias("digest"))
+    digests = settle(texts.select("doc_id", wide_hash(F.col("canon")).alias("digest")))
     groups = digests.groupBy("digest").agg(F.min("doc_id").alias("first"), F.count("*").alias("n"))
     shared = digests.join(groups.where("n > 1"), "digest").select("doc_id", "digest", "first")
-    bytes_of = shared.where("doc_id is not null").join(texts, "doc_id")
+    bytes_of = with_canonical(shared.where("doc_id is not null").join(documents.select("doc_id", "text"), "doc_id"), {"text": "canon"}).drop("text")
     first = bytes_of.where("doc_id = first").groupBy("digest").agg(F.min("canon").alias("first_canon"))
     differing = bytes_of.join(first, "digest").where("canon <> first_canon")
     differing = differing.select("doc_id", F.reverse("digest").alias("reversed"), "canon")

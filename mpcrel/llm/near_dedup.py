@@ -4,8 +4,8 @@ Documents with equal shingle sets form a class. Class representatives are banded
 meets most others is compared with all of them, batch after batch of hashes, and a pair is dropped as soon as the posterior
 probability that it reaches the threshold falls below the chosen miss probability. Survivors are verified on their full
 shingle sets. In buckets that then still hold several components, members of different components are compared block by
-block: first the likeliest partners of each are verified, which joins nearly all that belong together, then every plausible
-pair that is left. So no pair of a bucket goes untested although pairs within a component are never listed.
+block: every plausible pair whose ends no link joins yet is verified where it is found. So no pair of a bucket goes untested
+although neither plausible pairs nor pairs within a component are ever listed.
 """
 
 from __future__ import annotations
@@ -33,8 +33,8 @@ class NearConfig:
     miss: float = 1e-6  # probability that a pair at the threshold shares no band
     posterior: float = 1e-5  # a pair less likely than this to be a link is dropped
     batch: int = 24  # hashes compared at a time
-    block: int = 1024
-    likeliest: int = 3  # partners verified first for each member of a mixed bucket
+    block: int = 1024  # members, and
+    block_shingles: int = 4_000_000  # shingles of a block of a bucket, on average
     tile_pairs: int = 4000  # pairs whose shingle sets are verified together
     broadcast_ids: int = 500_000  # more ids of texts to verify are joined by a shuffle
     seed: int = 1
@@ -164,10 +164,8 @@ def _plausible(pairs: DataFrame, sigs: DataFrame, conf: NearConfig) -> DataFrame
     return both.select("a", "b", "sig_a", "sig_b").mapInArrow(test, "a long, b long")
 
 
-def _verified(pairs: DataFrame, documents: DataFrame, conf: NearConfig) -> DataFrame:
-    """The pairs whose full shingle sets reach the threshold, with the two measures."""
-    ids = pairs.select(F.col("a").alias("doc_id")).union(pairs.select(F.col("b").alias("doc_id"))).distinct()
-
+def _sets(ids: DataFrame, documents: DataFrame, conf: NearConfig) -> DataFrame:
+    """doc_id, shingles (sorted 64-bit words) of the texts with these ids; settled."""
     def sets(batches):
         import pyarrow as pa
 
@@ -175,9 +173,14 @@ def _verified(pairs: DataFrame, documents: DataFrame, conf: NearConfig) -> DataF
         for batch in batches:
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([shingles(t.as_py(), conf.shingle, words).tobytes() for t in batch.column(1)], pa.binary())], names=["doc_id", "shingles"])
 
-    ids = settle(ids)
+    ids = settle(ids.distinct())
     few = F.broadcast(ids) if ids.count() <= conf.broadcast_ids else ids
-    full = settle(documents.select("doc_id", "text").join(few, "doc_id", "left_semi").mapInArrow(sets, "doc_id long, shingles binary"))
+    return settle(documents.select("doc_id", "text").join(few, "doc_id", "left_semi").mapInArrow(sets, "doc_id long, shingles binary").where("length(shingles) > 0"))
+
+
+def _verified(pairs: DataFrame, documents: DataFrame, conf: NearConfig) -> DataFrame:
+    """The pairs whose full shingle sets reach the threshold, with the two measures."""
+    full = _sets(pairs.select(F.col("a").alias("doc_id")).union(pairs.select(F.col("b").alias("doc_id"))), documents, conf)
     # pairs are dealt to tiles by both ends, and crowded tiles are split, so that a set is sent once to each tile that needs
     # it and not once for each of its pairs
     side = math.ceil(math.sqrt(pairs.count() / conf.tile_pairs)) or 1
@@ -210,32 +213,40 @@ def _verified(pairs: DataFrame, documents: DataFrame, conf: NearConfig) -> DataF
     return dealt.groupBy(*tile).cogroup(sent.groupBy(*theirs)).applyInArrow(measure, "a long, b long, common long, total long")
 
 
-def _rest(members: DataFrame, components: DataFrame, sigs: DataFrame, conf: NearConfig, likeliest: int | None) -> DataFrame:
-    """Plausible pairs of different components that share a bucket of three or more members.
+def _bucket_links(members: DataFrame, components: DataFrame, sigs: DataFrame, documents: DataFrame, conf: NearConfig) -> DataFrame:
+    """Links that join different components of the members of a bucket of three or more.
 
-    A pair is given by the first band that it shares only. With `likeliest`, each member of a block outside the block's
-    largest component gives that many of its best partners.
+    Buckets are cut into blocks by their members and shingles, and each pair of blocks gets the signatures and full sets of
+    its members. Pairs that pass the sequential test in the first band they share are verified on the spot, the likeliest
+    first, unless links found before already join their ends. So a group gives fewer links than it has members, however many
+    of its pairs are plausible.
     """
-    labelled = members.join(components.withColumnRenamed("node", "rep"), "rep", "left").select("key", "band", "rep", F.coalesce("component", "rep").alias("component"))
-    mixed = labelled.groupBy("key").agg(F.count("*").alias("size"), F.min("component").alias("low"), F.max("component").alias("high")).where("size > 2 and low <> high")
-    blocks = F.ceil(F.col("size") / conf.block).cast("int")
-    rows = labelled.join(mixed.select("key", blocks.alias("blocks")), "key").join(sigs, "rep")
+    labelled = members.join(components.withColumnRenamed("node", "rep"), "rep", "left").select("key", "band", "rep", "n", F.coalesce("component", "rep").alias("component"))
+    mixed = labelled.groupBy("key").agg(F.count("*").alias("size"), F.sum("n").alias("weight"), F.min("component").alias("low"), F.max("component").alias("high")).where("size > 2 and low <> high")
+    blocks = F.greatest(F.ceil(F.col("size") / conf.block), F.ceil(F.col("weight") / conf.block_shingles)).cast("int")
+    rows = settle(labelled.join(mixed.select("key", blocks.alias("blocks")), "key").select("key", "band", "rep", "component", "blocks"))
+    full = _sets(rows.select(F.col("rep").alias("doc_id")), documents, conf).withColumnRenamed("doc_id", "rep")
     own = F.pmod(F.xxhash64("rep", "key"), F.col("blocks")).cast("int")
     dealt = rows.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select(
-        "key", "band", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "rep", "component", "sig")
+        "key", "band", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "rep", "component").join(sigs, "rep").join(full, "rep")
 
     def compare(table):
         import numpy as np
         import pyarrow as pa
 
         sig = np.frombuffer(b"".join(table.column("sig").to_pylist()), "<u4").reshape(table.num_rows, conf.hashes)
+        sets = [np.frombuffer(x, "uint64") for x in table.column("shingles").to_pylist()]
+        sizes = np.array([len(x) for x in sets])
+        ends = np.cumsum(sizes)
+        known, place = np.unique(np.concatenate(sets), return_inverse=True)
+        marked = np.zeros(len(known), bool)
         rep, component, own = (table.column(c).to_numpy() for c in ("rep", "component", "own"))
         band, i, j = (table.column(c)[0].as_py() for c in ("band", "i", "j"))
-        kinds, number = np.unique(component, return_counts=True)
-        main = kinds[number.argmax()]
-        out = set()
-        for x in np.flatnonzero(component != main):
-            y = np.flatnonzero((component != component[x]) & ((own != own[x]) | (i == j)))
+        kinds, label, number = np.unique(component, return_inverse=True, return_counts=True)
+        main, places, out = label == number.argmax(), np.arange(table.num_rows), []
+        for x in np.flatnonzero(~main):
+            y = np.flatnonzero((label != label[x]) & (main | (places > x)) & ((own != own[x]) | (i == j)))
+            y = y[100 * np.minimum(sizes[y], sizes[x]) >= conf.percent * np.maximum(sizes[y], sizes[x])]
             if band and len(y):
                 earlier = (sig[y, : band * conf.rows] == sig[x, : band * conf.rows]).reshape(len(y), band, conf.rows).all(2).any(1)
                 y = y[~earlier]
@@ -243,10 +254,20 @@ def _rest(members: DataFrame, components: DataFrame, sigs: DataFrame, conf: Near
             for n, least in bounds(conf):
                 equal += (sig[y, last:n] == sig[x, last:n]).sum(1)
                 y, equal, last = y[equal >= least], equal[equal >= least], n
-            if likeliest is not None and len(y) > likeliest:
-                y = y[np.argsort(-equal, kind="stable")[:likeliest]]
-            out.update((min(rep[x], r), max(rep[x], r)) for r in rep[y])
-        pairs = np.array(sorted(out), "int64").reshape(-1, 2)
+            y = y[np.argsort(-equal, kind="stable")]
+            mine = place[ends[x] - sizes[x] : ends[x]]
+            marked[mine] = True
+            while len(y):
+                some, y = y[:64], y[64:]
+                theirs = np.concatenate([place[ends[z] - sizes[z] : ends[z]] for z in some])
+                common = np.add.reduceat(marked[theirs], np.cumsum(sizes[some]) - sizes[some], dtype="int64")
+                for z in some[100 * common >= conf.percent * (sizes[some] + sizes[x] - common)]:
+                    if label[z] != label[x]:
+                        out.append((min(rep[x], rep[z]), max(rep[x], rep[z])))
+                        label[label == label[z]] = label[x]
+                y = y[label[y] != label[x]]
+            marked[mine] = False
+        pairs = np.array(out, "int64").reshape(-1, 2)
         return pa.table({"a": pairs[:, 0], "b": pairs[:, 1]})
 
     return dealt.groupBy("key", "i", "j").applyInArrow(compare, "a long, b long").distinct()
@@ -261,11 +282,11 @@ def near_duplicates(documents: DataFrame, conf: NearConfig = NearConfig()) -> Da
     drawn = settle(sketches(documents.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), conf))
     filled = drawn.where("doc_id is not null and n > 0")
     classes = filled.groupBy("digest").agg(F.min("doc_id").alias("rep"))
-    first = filled.join(classes, "digest").where("doc_id = rep").select("rep", "digest", "sig", "keys").dropDuplicates(["rep", "digest"])
+    first = filled.join(classes, "digest").where("doc_id = rep").select("rep", "n", "digest", "sig", "keys").dropDuplicates(["rep", "digest"])
     first = settle(first)
     sigs = first.select("rep", "sig")
     texts = documents.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    banded = first.select("rep", F.posexplode("keys").alias("band", "key")).distinct()
+    banded = first.select("rep", "n", F.posexplode("keys").alias("band", "key")).distinct()
     sizes = banded.groupBy("key").agg(F.count("*").alias("size")).where("size > 1")
     met = settle(banded.join(sizes, "key"))
     ties = met.groupBy("rep").agg(F.sum("size").alias("ties"))
@@ -273,11 +294,9 @@ def near_duplicates(documents: DataFrame, conf: NearConfig = NearConfig()) -> Da
     pairs = met.join(leaders, "key").where("rep <> leader").select(F.least("leader", "rep").alias("a"), F.greatest("leader", "rep").alias("b")).distinct()
     links = settle(_verified(settle(_plausible(pairs, sigs, conf)), texts, conf).select("a", "b"))
     components = connected_components(links)
-    for likeliest in (conf.likeliest, None):
-        rest = settle(_rest(met, components, sigs, conf, likeliest))
-        if not rest.isEmpty():
-            links = settle(links.union(_verified(rest, texts, conf).select("a", "b")))
-            components = connected_components(links)
+    rest = settle(_bucket_links(met, components, sigs, texts, conf))
+    if not rest.isEmpty():
+        components = connected_components(links.union(rest))
     class_component = classes.join(components.withColumnRenamed("node", "rep"), "rep", "left").select("digest", F.coalesce("component", "rep").alias("component"))
     labelled = drawn.join(class_component, "digest", "left")
     component = F.when((F.col("n") > 0) & F.col("doc_id").isNotNull(), F.col("component")).otherwise(F.col("doc_id"))

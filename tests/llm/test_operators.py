@@ -186,6 +186,16 @@ def test_passages(spark, empty):
     assert passages.passages(empty).count() == 0
 
 
+def test_passages_whose_parts_have_many_other_holders(spark):
+    rng = random.Random(14)
+    unique = lambda n: [f"u{rng.randrange(10**9)}" for _ in range(n)]
+    shared = unique(60)
+    whole = {40, 61}
+    texts = {i: unique(20) + (shared if i in whole else shared[:35] if i % 2 else shared[25:]) + unique(20) for i in range(100)}
+    rows = passages.passages(spark.createDataFrame([(i, " ".join(t)) for i, t in texts.items()], "doc_id long, text string")).collect()
+    assert {(r["doc_id"], r["start_word"], r["end_word"], r["other_id"], r["repeats"]) for r in rows} == {(40, 20, 80, 61, False), (61, 20, 80, 40, True)}
+
+
 def test_chains_match_a_quadratic_programme():
     rng = random.Random(10)
     conf = passages.PassageConfig(min_seeds=1)

@@ -196,6 +196,21 @@ def test_passages_whose_parts_have_many_other_holders(spark):
     assert {(r["doc_id"], r["start_word"], r["end_word"], r["other_id"], r["repeats"]) for r in rows} == {(40, 20, 80, 61, False), (61, 20, 80, 40, True)}
 
 
+def test_passages_at_the_least_identity(spark):
+    rng = random.Random(15)
+    unique = lambda n: [f"u{rng.randrange(10**9)}" for _ in range(n)]
+    rows, expected = [], set()
+    for i, size in enumerate([50, 60, 80] * 20):
+        shared = unique(size)
+        changed = list(shared)
+        for at in rng.sample(range(1, size - 1), size // 5):
+            changed[at] = f"c{rng.randrange(10**9)}"
+        rows += [(2 * i, " ".join(unique(70) + shared + unique(70))), (2 * i + 1, " ".join(unique(90) + changed + unique(50)))]
+        expected |= {2 * i, 2 * i + 1}
+    found = passages.passages(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert {r["doc_id"] for r in found} == expected and all(r["identity"] >= 0.8 for r in found)
+
+
 def test_chains_match_a_quadratic_programme():
     rng = random.Random(10)
     conf = passages.PassageConfig(min_seeds=1)

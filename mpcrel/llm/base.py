@@ -38,9 +38,8 @@ def sampled(key: Column, fraction: float, seed: int = 17) -> Column:
     return F.pmod(F.xxhash64(key, F.lit(seed)), F.lit(SAMPLE_SPACE)) < int(fraction * SAMPLE_SPACE)
 
 
-def labelled_sample(documents: DataFrame, labels: DataFrame, label: str, modulus: int, remainder: int, bound: int, longest: int = 30_000) -> DataFrame:
-    """About `bound` labelled rows (doc_id, text, label) outside the held-out fold, chosen by hash, without those of more than
-    `longest` characters.
+def labelled_sample(documents: DataFrame, labels: DataFrame, label: str, modulus: int, remainder: int, bound: int) -> DataFrame:
+    """About `bound` labelled rows (doc_id, text, label) outside the held-out fold, chosen by hash, however long.
 
     Only their ids travel to the driver and back as a broadcast, so its size is fixed by `bound`. Labels that are null are
     ignored; of repeated labels for one document the largest counts.
@@ -49,8 +48,7 @@ def labelled_sample(documents: DataFrame, labels: DataFrame, label: str, modulus
              .groupBy("doc_id").agg(F.max(label).cast("int").alias("label")))
     total = known.count()
     chosen = known.where(sampled(F.col("doc_id"), bound / max(total, 1))).limit(2 * bound)
-    rows = documents.where(F.coalesce(F.length("text"), F.lit(0)) <= longest).select("doc_id", "text")
-    return rows.join(F.broadcast(chosen), "doc_id")
+    return documents.select("doc_id", "text").join(F.broadcast(chosen), "doc_id")
 
 
 def in_order(table, *lists: str):

@@ -18,8 +18,10 @@ from .base import held_out, in_order, labelled_sample
 
 #: Tokens that a Python worker remembers.
 MEMO = 300_000
-#: Longer tokens give the n-grams of their two ends only.
+#: Longer tokens are read in pieces and remembered by nobody.
 LONG_TOKEN = 40
+#: Characters of a piece.
+PIECE = 65_536
 
 
 @dataclass(frozen=True)
@@ -40,16 +42,26 @@ def bucket(part: str, conf: SubwordConfig) -> int:
     return zlib.crc32(part.encode()) % conf.buckets
 
 
-def grams(token: str, conf: SubwordConfig) -> list[str]:
-    """Character n-grams of <token>."""
-    if len(token) > LONG_TOKEN:
-        token = token[: LONG_TOKEN // 2] + token[-LONG_TOKEN // 2 :]
+def grams(token: str, conf: SubwordConfig):
+    """Character n-grams of <token>, one by one."""
     mark = f"<{token}>"
-    return [mark[i : i + k] for k in range(conf.shortest, conf.longest + 1) for i in range(len(mark) - k + 1)]
+    return (mark[i : i + k] for k in range(conf.shortest, conf.longest + 1) for i in range(len(mark) - k + 1))
+
+
+def n_grams(token: str, conf: SubwordConfig) -> int:
+    return sum(max(0, len(token) + 3 - k) for k in range(conf.shortest, conf.longest + 1))
+
+
+def pieces_of(token: str, conf: SubwordConfig):
+    """The n-grams of a long token, in lists of bounded length."""
+    mark = f"<{token}>"
+    for k in range(conf.shortest, conf.longest + 1):
+        for at in range(0, len(mark) - k + 1, PIECE):
+            yield [mark[i : i + k] for i in range(at, min(at + PIECE, len(mark) - k + 1))]
 
 
 class Memo(dict):
-    """A bounded memory of a function of a string."""
+    """A bounded memory of a function of a string; long strings are not kept."""
 
     def __init__(self, function):
         self.function = function
@@ -57,14 +69,28 @@ class Memo(dict):
     def __missing__(self, key: str):
         if len(self) > MEMO:
             self.clear()
-        out = self[key] = self.function(key)
+        out = self.function(key)
+        if len(key) <= LONG_TOKEN:
+            self[key] = out
         return out
 
 
 def subwords(conf: SubwordConfig) -> Memo:
-    """token -> buckets of the token itself and of its n-grams"""
+    """token -> how often each bucket is that of the token itself or of one of its n-grams"""
+    from collections import Counter
+
     known = Memo(lambda part: bucket(part, conf))
-    return Memo(lambda token: [bucket(f"<{token}>#", conf), *map(known.__getitem__, grams(token, conf))])
+
+    def counts(token: str) -> dict[int, int]:
+        out = Counter([bucket(f"<{token}>#", conf)])
+        if len(token) <= LONG_TOKEN:
+            out.update(map(known.__getitem__, grams(token, conf)))
+        else:
+            for piece in pieces_of(token, conf):
+                out.update(map(known.__getitem__, piece))
+        return dict(out)
+
+    return Memo(counts)
 
 
 #: A token that repeats the one before it counts as this token too.
@@ -124,8 +150,9 @@ def weighted(text: str | None, tokens: Memo) -> tuple[list[int], list[float]]:
     total: dict[int, float] = {}
     for token, n in counted(text).items():
         ids = tokens[token]
-        for i in ids:
-            total[i] = total.get(i, 0) + n / len(ids)
+        share = n / sum(ids.values())
+        for i, times in ids.items():
+            total[i] = total.get(i, 0) + times * share
     whole = sum(total.values()) or 1.0
     keys = sorted(total)
     return keys, [total[k] / whole for k in keys]
@@ -136,8 +163,8 @@ def token_scores(s: list[float], conf: SubwordConfig) -> Memo:
     known = Memo(lambda part: s[bucket(part, conf)])
 
     def mean(token: str) -> float:
-        parts = grams(token, conf)
-        return (s[bucket(f"<{token}>#", conf)] + sum(map(known.__getitem__, parts))) / (len(parts) + 1)
+        parts = [grams(token, conf)] if len(token) <= LONG_TOKEN else pieces_of(token, conf)
+        return (s[bucket(f"<{token}>#", conf)] + sum(sum(map(known.__getitem__, p)) for p in parts)) / (n_grams(token, conf) + 1)
 
     return Memo(mean)
 

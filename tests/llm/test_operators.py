@@ -67,6 +67,25 @@ def test_factorization_machine_learns_an_interaction():
     assert pair > 0.5  # together they mean more than the sum
 
 
+def test_quality_reads_long_tokens_and_long_rows_whole(spark):
+    rng = random.Random(21)
+    ends = "".join(rng.choices("klmn", k=60))
+    texts = [ends + "".join(rng.choices("abcd" if i % 2 else "wxyz", k=400)) + ends for i in range(200)]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    labels = spark.createDataFrame([(i, i % 2) for i in range(200)], "doc_id long, quality int")
+    model = quality.train(docs, labels)
+    assert all(r["predicted"] == r["doc_id"] % 2 for r in quality.score_quality(docs, model, threshold=0.5).collect())
+    conf, token = quality.SubwordConfig(buckets=64), "".join(rng.choices("abcd", k=200_000))
+    whole = [f"<{token}>#", *(f"<{token}>"[i : i + k] for k in (3, 4) for i in range(len(token) + 3 - k))]
+    s = [float(i % 7) for i in range(conf.buckets)]
+    assert quality.token_scores(s, conf)[token] == pytest.approx(sum(s[quality.bucket(g, conf)] for g in whole) / len(whole))
+    keys, shares = quality.weighted(token, quality.subwords(conf))
+    assert sum(w * s[k] for k, w in zip(keys, shares)) == pytest.approx(sum(s[quality.bucket(g, conf)] for g in whole) / len(whole))
+    long = spark.createDataFrame([(1, "word " * 10_000), (2, "word")], "doc_id long, text string")
+    marks = spark.createDataFrame([(1, 1), (2, 0)], "doc_id long, quality int")
+    assert {r["doc_id"] for r in base.labelled_sample(long, marks, "quality", 1000, 999, 100).collect()} == {1, 2}
+
+
 def test_quality(spark, corpus, empty):
     rng = random.Random(3)
     texts = [" ".join(w + ("###" if i % 4 == 0 else "") for w in prose(rng, 25).split()) for i in range(300)]

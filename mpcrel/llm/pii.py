@@ -1,10 +1,10 @@
 """Information-theoretic sanitisation of personal data, with built-in functions only.
 
 Patterns find the protected entities: e-mail and IP addresses, payment cards and phone numbers. Then the corpus tells which
-words give an entity away. For an entity e and a term t near it, pointwise mutual information log2(N co(e,t) / (df(e) df(t)))
+words give an entity away. For an entity e and a term t anywhere in its documents, pointwise mutual information log2(N co(e,t) / (df(e) df(t)))
 over documents says how much t reveals of e; the information of e itself is log2(N / df(e)). A term whose share of the
-entity's information reaches the disclosure threshold, in enough different contexts, is a span too wherever it stands near
-that entity. In sanitised text a disclosing term is generalised to its class (its first letters) if the class is below the
+entity's information reaches the disclosure threshold, in enough different contexts of the entity, is a span too wherever it
+stands in a document that holds the entity. In sanitised text a disclosing term is generalised to its class (its first letters) if the class is below the
 threshold, and removed otherwise.
 """
 
@@ -38,8 +38,8 @@ _RUN = 64
 
 @dataclass(frozen=True)
 class SanitiseConfig:
-    context: int = 48  # characters on either side of an entity
-    min_contexts: int = 3  # different contexts in which a term must stand near the entity
+    context: int = 48  # characters on either side of an entity that tell its contexts apart
+    min_contexts: int = 3  # different contexts of the entity in the documents that hold the term
     threshold: float = 0.9  # share of the entity's information
     class_letters: int = 3
     broadcast_rows: int = 200_000  # above, lists of terms are joined by a shuffle
@@ -94,27 +94,36 @@ def base_spans(text: Column) -> Column:
 
 
 def _analysed(documents: DataFrame, conf: SanitiseConfig) -> DataFrame:
-    """doc_id, tid (a hash of the text, for repeated ids), spans; settled, since several statistics are taken from it."""
+    """doc_id, tid (a hash of the text, for repeated ids), spans, text where there are spans; settled, since several statistics are
+    taken from it."""
     text = F.coalesce("text", F.lit(""))
     rows = documents.select("doc_id", F.xxhash64(text).alias("tid"), text.alias("text")).withColumn("spans", base_spans(F.col("text")))
     around = F.transform("spans", lambda s: F.struct(
         s["kind"].alias("kind"), s["start"].alias("start"), s["end"].alias("end"), s["value"].alias("value"),
         F.substring("text", F.greatest(s["start"] - conf.context, F.lit(0)) + 1, F.least(s["start"], F.lit(conf.context))).alias("before"),
         F.substring("text", s["end"] + 1, F.lit(conf.context)).alias("after")))
-    return settle(rows.select("doc_id", "tid", around.alias("spans")))
+    return settle(rows.select("doc_id", "tid", around.alias("spans"), F.when(F.size("spans") > 0, F.col("text")).alias("text")))
+
+
+def _name(span: Column) -> Column:
+    return F.concat_ws(":", span["kind"], F.when(span["kind"].isin("card", "phone"), _digits(span["value"])).otherwise(F.lower(span["value"])))
 
 
 def _near(analysed: DataFrame, conf: SanitiseConfig) -> DataFrame:
-    """doc_id, tid, entity, term, start, end, context: the whole words around each entity that are in no span themselves."""
-    entity = F.concat_ws(":", "s.kind", F.when(F.col("s.kind").isin("card", "phone"), _digits(F.col("s.value"))).otherwise(F.lower("s.value")))
-    rows = analysed.where(F.size("spans") > 0).select("doc_id", "tid", "spans", F.explode("spans").alias("s")).select(
-        "doc_id", "tid", "spans", entity.alias("entity"), F.xxhash64(F.lower("s.before"), F.lower("s.after")).alias("context"),
-        (F.col("s.start") - F.length("s.before")).alias("from_before"), F.col("s.end").alias("from_after"), F.col("s.before").alias("before"), F.col("s.after").alias("after"))
-    shifted = lambda side, pattern, at: F.transform(matches(F.col(side), pattern), lambda m: F.struct((m["start"] + F.col(at)).alias("start"), (m["end"] + F.col(at)).alias("end"), F.lower(m["value"]).alias("term")))
-    words = rows.select("doc_id", "tid", "spans", "entity", "context", F.explode(F.concat(
-        shifted("before", r"(?<=\P{L})\p{L}{3,}+", "from_before"), shifted("after", r"(?<!\p{L})\p{L}{3,}+(?=\P{L})", "from_after"))).alias("w"))
-    free = ~F.exists("spans", lambda s: (s["start"] < F.col("w.end")) & (F.col("w.start") < s["end"]))
-    return words.where(free).select("doc_id", "tid", "entity", "context", F.col("w.term").alias("term"), F.col("w.start").alias("start"), F.col("w.end").alias("end"))
+    """doc_id, tid, entity, contexts, words: each entity of a document with its contexts there and the document's words
+    (start, end, term) that are in no span; settled.
+
+    Entities with fewer contexts in all than a term needs are left out, as they can have no term.
+    """
+    found = analysed.where(F.size("spans") > 0).dropDuplicates(["doc_id", "tid"])
+    of = found.select("doc_id", "tid", F.explode("spans").alias("s")).select("doc_id", "tid", _name(F.col("s")).alias("entity"), F.xxhash64(F.lower("s.before"), F.lower("s.after")).alias("context"))
+    enough = settle(of.select("entity", "context").distinct().groupBy("entity").agg(F.count("*").alias("n")).where(F.col("n") >= conf.min_contexts).select("entity"))
+    kept = _linked(of, enough, enough.count(), ["entity"], conf).groupBy("doc_id", "tid", "entity").agg(F.collect_set("context").alias("contexts"))
+    held = kept.groupBy("doc_id", "tid").agg(F.collect_list(F.struct("entity", "contexts")).alias("entities"))
+    texts = found.join(held.withColumnsRenamed({"doc_id": "__doc", "tid": "__tid"}), F.col("doc_id").eqNullSafe(F.col("__doc")) & (F.col("tid") == F.col("__tid")))
+    words = F.transform(matches(F.col("text"), r"(?<!\p{L})\p{L}{3,}+"), lambda m: F.struct(m["start"].alias("start"), m["end"].alias("end"), F.lower(m["value"]).alias("term")))
+    free = F.filter(words, lambda w: ~F.exists("spans", lambda s: (s["start"] < w["end"]) & (w["start"] < s["end"])))
+    return settle(texts.select("doc_id", "tid", "entities", free.alias("words"))).select("doc_id", "tid", F.explode("entities").alias("e"), "words").select("doc_id", "tid", "e.entity", "e.contexts", "words")
 
 
 def _class_of(term: Column, conf: SanitiseConfig) -> Column:
@@ -134,16 +143,16 @@ def disclosures(documents: DataFrame, conf: SanitiseConfig = SanitiseConfig(), a
     """
     analysed = _analysed(documents, conf) if analysed is None else analysed
     near = _near(analysed, conf) if near is None else near
-    classes = near.select("doc_id", "tid", "entity", "context", F.explode(F.array("term", _class_of(F.col("term"), conf))).alias("term"))
-    met = classes.groupBy("entity", "term", "context").agg(F.count("*").alias("n")).groupBy("entity", "term").agg(F.count("*").alias("contexts"))
-    met = met.where(F.col("contexts") >= conf.min_contexts)
-    together = classes.select("entity", "term", "doc_id", "tid").distinct().groupBy("entity", "term").agg(F.count("*").alias("co"))
-    pairs = settle(met.join(together, ["entity", "term"]))
+    terms = F.array_distinct(F.transform("words", lambda w: w["term"]))
+    terms = F.array_distinct(F.concat(terms, F.transform(terms, lambda t: _class_of(t, conf))))
+    held_terms = near.select("entity", "contexts", F.explode(terms).alias("term"))
+    classes = held_terms.select("entity", "term", F.posexplode("contexts").alias("number", "context"))
+    met = classes.groupBy("entity", "term", "context").agg(F.sum((F.col("number") == 0).cast("long")).alias("co"))  # a document counts at its first context
+    pairs = settle(met.groupBy("entity", "term").agg(F.sum("co").alias("co"), F.count("*").alias("contexts")).where(F.col("contexts") >= conf.min_contexts))
     words = F.array_distinct(F.split(F.lower(F.coalesce("text", F.lit(""))), r"[^\p{L}]+"))
     held = documents.select(F.explode(F.array_distinct(F.concat(words, F.transform(words, lambda w: _class_of(w, conf))))).alias("term"))
     df_term = held.groupBy("term").agg(F.count("*").alias("df_term"))  # counted before the shuffle, whatever the number of pairs
-    entity = F.concat_ws(":", "s.kind", F.when(F.col("s.kind").isin("card", "phone"), _digits(F.col("s.value"))).otherwise(F.lower("s.value")))
-    df_entity = (analysed.where(F.size("spans") > 0).select("doc_id", "tid", F.explode("spans").alias("s")).select("doc_id", "tid", entity.alias("entity")).distinct()
+    df_entity = (analysed.where(F.size("spans") > 0).select("doc_id", "tid", F.explode("spans").alias("s")).select("doc_id", "tid", _name(F.col("s")).alias("entity")).distinct()
                  .groupBy("entity").agg(F.count("*").alias("df_entity")))
     n = analysed.count()
     share = F.log2(F.lit(float(n)) * F.col("co") / (F.col("df_entity") * F.col("df_term"))) / F.log2(F.lit(float(n)) / F.col("df_entity"))
@@ -157,7 +166,8 @@ def _term_spans(documents: DataFrame, conf: SanitiseConfig, analysed: DataFrame)
     """doc_id, tid, terms: array of (start, end, general) of disclosing terms in each document that has some; settled."""
     near = _near(analysed, conf)
     bad = settle(disclosures(documents, conf, analysed, near))
-    spans = _linked(near, bad.select("entity", "term", "general"), bad.count(), ["entity", "term"], conf)
+    placed = near.select("doc_id", "tid", "entity", F.explode("words").alias("w")).select("doc_id", "tid", "entity", "w.term", "w.start", "w.end")
+    spans = _linked(placed, bad.select("entity", "term", "general"), bad.count(), ["entity", "term"], conf)
     spans = spans.groupBy("doc_id", "tid", "start", "end").agg(F.min("general").alias("general"))
     return settle(spans.groupBy("doc_id", "tid").agg(F.array_sort(F.collect_list(F.struct("start", "end", "general"))).alias("terms")))
 

@@ -188,6 +188,16 @@ def test_disclosing_terms_are_found_and_generalised(spark):
     assert f"term:{at}:{at + 12}" in spans[0]
 
 
+def test_terms_far_from_their_entity_and_at_the_ends_of_texts(spark):
+    rng = random.Random(31)
+    filler = lambda n: prose(rng, n)
+    texts = [f"Quillfeather q@x.org {filler(12 + i)} Marrowgate {filler(30)} quillfeather {filler(9)} Endlingham" for i in range(5)] + [filler(40) for _ in range(60)]
+    docs = spark.createDataFrame([(i, t, len(t)) for i, t in enumerate(texts)], "doc_id long, text string, n_chars long")
+    assert {r["term"]: r["co"] for r in pii.disclosures(docs).collect()} == {"quillfeather": 5, "marrowgate": 5, "endlingham": 5}
+    out = [r["text"].lower() for r in pii.sanitise(docs).where("doc_id < 5").collect()]
+    assert len(out) == 5 and not any(name in t for t in out for name in ("quillfeather", "marrowgate", "endlingham", "q@x.org"))
+
+
 def test_passages(spark, empty):
     rng = random.Random(8)
     shared = prose(rng, 70).split()

@@ -13,7 +13,7 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .base import held_out, sampled
+from .base import SAMPLE_SPACE, held_out
 
 UNDETERMINED = "und"
 
@@ -22,9 +22,9 @@ UNDETERMINED = "und"
 class CrossParseConfig:
     letters: int = 100_000  # labelled letters in all, dealt evenly over the languages
     rows: int = 60  # labelled rows of each language in the sample, about
-    longest_row: int = 20_000  # longer labelled rows are not learned from
-    languages: int = 40  # the most frequent ones are learned
-    alphabet: int = 62
+    longest_row: int = 20_000  # of longer labelled rows the middle is learned from
+    alphabet: int = 62  # letters with a class of their own
+    rare: int = 61  # classes that the other letters share
     segment: int = 1024
     lanes: int = 4096
 
@@ -58,13 +58,16 @@ def suffix_automaton(symbols: list[int]) -> list[dict[int, int]]:
     return nexts
 
 
-def classes(letters: str):
-    """code point -> class: 0 for what is no letter, 1 for letters outside `letters`, then one class for each of these."""
+def classes(letters: str, rare: int = 0):
+    """code point -> class: 0 for what is no letter, then one class for each of `letters` from 2 on; letters outside have class 1,
+    or one of `rare` further classes by their code points."""
     import sys
 
     import numpy as np
 
     out = np.fromiter((chr(c).isalpha() for c in range(sys.maxunicode + 1)), "uint8", sys.maxunicode + 1)
+    if rare:
+        out = np.where(out > 0, len(letters) + 2 + np.arange(len(out)) % rare, 0).astype("uint8")
     for k, c in enumerate(letters):
         out[ord(c)] = k + 2
     return out
@@ -103,11 +106,22 @@ def fit(samples: dict[str, list[str]], conf: CrossParseConfig = CrossParseConfig
     import numpy as np
 
     share = max(2000, conf.letters // max(len(samples), 1))
-    seen = Counter(c for texts in samples.values() for t in texts for c in t.lower() if c.isalpha())
-    table = classes("".join(c for c, _ in seen.most_common(conf.alphabet)))
-    n, models = min(len(seen), conf.alphabet) + 2, {}
+    seen: Counter = Counter()
+    for texts in samples.values():  # by its largest share in a language, so that no language's letters crowd out another's
+        own = Counter(c for t in texts for c in t.lower() if c.isalpha())
+        whole = sum(own.values())
+        for c, count in own.items():
+            seen[c] = max(seen[c], count / whole)
+    rare = conf.rare if len(seen) > conf.alphabet else 0
+    table = classes("".join(sorted(seen, key=lambda c: (-seen[c], c))[: conf.alphabet]), rare)
+    n, models = min(len(seen), conf.alphabet) + 2 + rare, {}
     for lang in sorted(samples):
-        text = np.concatenate([np.concatenate([symbols(t, table), np.zeros(1, "uint8")]) for t in samples[lang]] or [np.zeros(0, "uint8")])[:share]
+        rows = [np.concatenate([symbols(t, table), np.zeros(1, "uint8")]) for t in samples[lang]]
+        left, each = share, 0
+        for k, size in enumerate(sorted(map(len, rows))):  # an equal slice of each row, what short rows leave goes to the others
+            each = -(-left // (len(rows) - k))
+            left -= min(size, each)
+        text = np.concatenate([r[:each] for r in rows] or [np.zeros(0, "uint8")])[:share]
         if (text > 0).any():
             models[lang] = (parser_table(text, n), float(np.log2(len(text) + 1)))
     return {"classes": table, "languages": models}
@@ -159,17 +173,14 @@ def classify(texts: list, model: dict, conf: CrossParseConfig = CrossParseConfig
 
 def train(documents: DataFrame, conf: CrossParseConfig = CrossParseConfig(), modulus: int = 4, remainder: int = 2) -> dict:
     """Learns from a bounded sample, by hash, of rows with text and lang outside the held-out fold."""
-    known = documents.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & ~held_out(F.col("doc_id"), modulus, remainder)
-                            & (F.length("text") <= conf.longest_row)).select("doc_id", "lang", "text")
-    counts = {r["lang"]: r["count"] for r in known.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(conf.languages).collect()}
-    if not counts:
-        return fit({}, conf)
-    wanted = F.lit(False)
-    for lang, n in counts.items():
-        wanted = wanted | ((F.col("lang") == lang) & sampled(F.col("doc_id"), conf.rows / n, 29))
-    texts: dict[str, list[str]] = {lang: [] for lang in counts}
-    for r in sorted(known.where(wanted).collect(), key=lambda r: (r["doc_id"], r["text"])):
-        texts[r["lang"]].append(r["text"])
+    longer = F.length("text") > conf.longest_row
+    middle = F.when(longer, F.substring("text", F.floor((F.length("text") - conf.longest_row) / 2).cast("int") + 1, F.lit(conf.longest_row))).otherwise(F.col("text"))
+    known = documents.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & ~held_out(F.col("doc_id"), modulus, remainder)).select("doc_id", "lang", "text")
+    counts = known.groupBy("lang").agg(F.count("*").alias("n"))
+    chosen = known.join(F.broadcast(counts), "lang").where(F.pmod(F.xxhash64("doc_id", F.lit(29)), F.lit(SAMPLE_SPACE)) < F.lit(conf.rows) / F.col("n") * SAMPLE_SPACE)
+    texts: dict[str, list[str]] = {}
+    for r in sorted(chosen.select("doc_id", "lang", middle.alias("text")).collect(), key=lambda r: (r["doc_id"], r["text"])):
+        texts.setdefault(r["lang"], []).append(r["text"])
     return fit(texts, conf)
 
 

@@ -253,6 +253,18 @@ def test_chains_match_a_quadratic_programme():
         assert score == pytest.approx(max(best.values()))
 
 
+def test_rare_languages_long_rows_and_many_scripts_are_learned(spark):
+    rng = random.Random(41)
+    pools = {f"l{k:02d}": [chr(0x4E00 + 40 * k + j) for j in range(40)] for k in range(44)}
+    rows = [(lang, "".join(rng.choices(pool, k=300))) for lang, pool in pools.items() for _ in range(6)]
+    rows += [("long", "".join(rng.choices("abcdefgh", k=21_000))) for _ in range(6)]
+    docs = spark.createDataFrame([(i, t, lang) for i, (lang, t) in enumerate(rows)], "doc_id long, text string, lang string")
+    model = language.train(docs)
+    assert set(model["languages"]) == {*pools, "long"}
+    right = [rows[r["doc_id"]][0] == r["lang_pred"] for r in language.identify(docs, model).collect()]
+    assert sum(right) > 0.95 * len(right)
+
+
 def brute_phrases(text, training):
     """Greedy phrases of symbols against a training sequence."""
     n, at = 0, 0

@@ -14,6 +14,12 @@ def test_registry_is_consistent():
     assert len(names) > 100 and set(sql) <= set(names) and all(isinstance(s, str) for s in sql.values())
 
 
+def test_densest_graphs_are_registered(spark):
+    sf, names = "/root/testdata/sf0.001", __spark_entry__.queries()
+    assert {"graph_k125", "graph_k65"} <= set(names)
+    assert names["plain_graph_k65"](spark, sf).count() == names["graph_k65"](spark, sf).count() == 2619
+
+
 def test_shares_open_from_any_two_views_and_change_with_the_nonce(spark):
     rows = spark.createDataFrame([(i, v) for i, v in enumerate([0, -1, 2**62, -(2**62), 17])], "__pos long, x long")
     one, two = shares.share(rows, ["x"], "a"), shares.share(rows, ["x"], "b")

@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 from .base import connected_components, settle
 
 #: Words that a Python worker remembers.
-MEMO = 400_000
+MEMO = 100_000
 _MASK = (1 << 64) - 1
 #: Fixed odd multipliers, one for each place in a shingle, repeated with changes for longer ones.
 _PLACE = (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9)
@@ -33,9 +33,10 @@ class NearConfig:
     miss: float = 1e-6  # probability that a pair at the threshold shares no band
     posterior: float = 1e-5  # a pair less likely than this to be a link is dropped
     batch: int = 24  # hashes compared at a time
-    block: int = 1024  # members, and
-    block_shingles: int = 4_000_000  # shingles of a block of a bucket, on average
-    tile_pairs: int = 4000  # pairs whose shingle sets are verified together
+    block: int = 512  # members, and
+    block_shingles: int = 400_000  # shingles of a block of a bucket, on average
+    tile_pairs: int = 4000  # pairs whose shingle sets are verified together, and
+    tile_shingles: int = 2_000_000  # the shingles of both ends of these pairs
     broadcast_ids: int = 500_000  # more ids of texts to verify are joined by a shuffle
     seed: int = 1
 
@@ -144,7 +145,7 @@ def sketches(documents: DataFrame, conf: NearConfig) -> DataFrame:
 
 
 def _plausible(pairs: DataFrame, sigs: DataFrame, conf: NearConfig) -> DataFrame:
-    """The pairs (a, b) that pass every batch of the sequential test."""
+    """The pairs (a, b, weight) that pass every batch of the sequential test."""
     both = pairs.join(sigs.select(F.col("rep").alias("b"), F.col("sig").alias("sig_b")), "b").join(sigs.select(F.col("rep").alias("a"), F.col("sig").alias("sig_a")), "a")
 
     def test(batches):
@@ -159,9 +160,9 @@ def _plausible(pairs: DataFrame, sigs: DataFrame, conf: NearConfig) -> DataFrame
             for n, least in bounds(conf):
                 equal[live] += (x[live, last:n] == y[live, last:n]).sum(1)
                 live, last = live[equal[live] >= least], n
-            yield pa.RecordBatch.from_arrays([batch.column("a").take(pa.array(live)), batch.column("b").take(pa.array(live))], names=["a", "b"])
+            yield pa.RecordBatch.from_arrays([batch.column(c).take(pa.array(live)) for c in ("a", "b", "weight")], names=["a", "b", "weight"])
 
-    return both.select("a", "b", "sig_a", "sig_b").mapInArrow(test, "a long, b long")
+    return both.select("a", "b", "weight", "sig_a", "sig_b").mapInArrow(test, "a long, b long, weight long")
 
 
 def _sets(ids: DataFrame, documents: DataFrame, conf: NearConfig) -> DataFrame:
@@ -183,10 +184,11 @@ def _verified(pairs: DataFrame, documents: DataFrame, conf: NearConfig) -> DataF
     full = _sets(pairs.select(F.col("a").alias("doc_id")).union(pairs.select(F.col("b").alias("doc_id"))), documents, conf)
     # pairs are dealt to tiles by both ends, and crowded tiles are split, so that a set is sent once to each tile that needs
     # it and not once for each of its pairs
-    side = math.ceil(math.sqrt(pairs.count() / conf.tile_pairs)) or 1
+    load = F.greatest(F.count("*") / conf.tile_pairs, F.coalesce(F.sum("weight"), F.lit(0)) / conf.tile_shingles)
+    side = max(1, math.ceil(math.sqrt(pairs.agg(load).first()[0])))
     tile = ["i", "j", "k"]
-    dealt = pairs.select("a", "b", F.pmod(F.xxhash64("a"), F.lit(side)).alias("i"), F.pmod(F.xxhash64("b"), F.lit(side)).alias("j"))
-    crowded = dealt.groupBy("i", "j").agg(F.ceil(F.count("*") / conf.tile_pairs).alias("parts"))
+    dealt = pairs.select("a", "b", "weight", F.pmod(F.xxhash64("a"), F.lit(side)).alias("i"), F.pmod(F.xxhash64("b"), F.lit(side)).alias("j"))
+    crowded = dealt.groupBy("i", "j").agg(F.ceil(load).alias("parts"))
     crowded = F.broadcast(crowded) if side * side <= conf.broadcast_ids else crowded
     dealt = dealt.join(crowded, ["i", "j"]).select("a", "b", "i", "j", F.pmod(F.xxhash64("b", F.lit(7), "a"), F.col("parts")).alias("k"))
     needed = dealt.select("i", "j", "k", F.explode(F.array("a", "b")).alias("doc_id")).distinct()
@@ -216,19 +218,28 @@ def _verified(pairs: DataFrame, documents: DataFrame, conf: NearConfig) -> DataF
 def _bucket_links(members: DataFrame, components: DataFrame, sigs: DataFrame, documents: DataFrame, conf: NearConfig) -> DataFrame:
     """Links that join different components of the members of a bucket of three or more.
 
-    Buckets are cut into blocks by their members and shingles, and each pair of blocks gets the signatures and full sets of
-    its members. Pairs that pass the sequential test in the first band they share are verified on the spot, the likeliest
-    first, unless links found before already join their ends. So a group gives fewer links than it has members, however many
-    of its pairs are plausible.
+    The component with most members of a bucket is its main one; only the members outside it look for links, in all members.
+    All members are cut into blocks and those outside into chunks, by rows and shingles, and each task holds one block and one
+    chunk with signatures and full sets: a bucket with a few outsiders is sent once, whatever its size. Pairs that pass the
+    sequential test in the first band they share are verified on the spot, the likeliest first, unless links found before
+    already join their ends. So a group gives fewer links than it has members, however many of its pairs are plausible.
     """
-    labelled = members.join(components.withColumnRenamed("node", "rep"), "rep", "left").select("key", "band", "rep", "n", F.coalesce("component", "rep").alias("component"))
-    mixed = labelled.groupBy("key").agg(F.count("*").alias("size"), F.sum("n").alias("weight"), F.min("component").alias("low"), F.max("component").alias("high")).where("size > 2 and low <> high")
-    blocks = F.greatest(F.ceil(F.col("size") / conf.block), F.ceil(F.col("weight") / conf.block_shingles)).cast("int")
-    rows = settle(labelled.join(mixed.select("key", blocks.alias("blocks")), "key").select("key", "band", "rep", "component", "blocks"))
+    labelled = settle(members.join(components.withColumnRenamed("node", "rep"), "rep", "left").select("key", "band", "rep", "n", F.coalesce("component", "rep").alias("component")))
+    parts = labelled.groupBy("key", "component").agg(F.count("*").alias("rows"), F.sum("n").alias("weight"), F.min("n").alias("low"), F.max("n").alias("high"))
+    heads = parts.groupBy("key").agg(F.sum("rows").alias("size"), F.sum("weight").alias("weight"), F.count("*").alias("kinds"), F.max(F.struct("rows", "component")).alias("main")).where("size > 2 and kinds > 1")
+    outside = parts.join(heads.select("key", F.col("main.component").alias("main")), "key").where("component <> main").groupBy("key").agg(
+        F.sum("rows").alias("out_rows"), F.sum("weight").alias("out_weight"), F.min("low").alias("low"), F.max("high").alias("high"))
+    cut = lambda rows, weight: F.ceil(F.greatest(F.col(rows) / conf.block, F.col(weight) / conf.block_shingles)).cast("int")
+    mixed = settle(heads.join(outside, "key").select("key", F.col("main.component").alias("main"), "low", "high", cut("size", "weight").alias("blocks"), cut("out_rows", "out_weight").alias("chunks")))
+    near = (100 * F.col("n") >= conf.percent * F.col("low")) & (100 * F.col("high") >= conf.percent * F.col("n"))  # of a size that a link allows
+    rows = labelled.join(F.broadcast(mixed) if mixed.count() <= conf.broadcast_ids else mixed, "key").where(near)
+    rows = settle(rows.select("key", "band", "rep", "component", (F.col("component") == F.col("main")).alias("is_main"), F.pmod(F.xxhash64("rep", "key"), F.col("blocks")).cast("int").alias("block"),
+                              F.pmod(F.xxhash64("key", "rep"), F.col("chunks")).cast("int").alias("chunk"), "blocks", "chunks"))
     full = _sets(rows.select(F.col("rep").alias("doc_id")), documents, conf).withColumnRenamed("doc_id", "rep")
-    own = F.pmod(F.xxhash64("rep", "key"), F.col("blocks")).cast("int")
-    dealt = rows.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select(
-        "key", "band", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "rep", "component").join(sigs, "rep").join(full, "rep")
+    shape = ["key", "band", "rep", "component", "is_main"]
+    held = rows.select(*shape, F.lit(False).alias("seeks"), F.col("block").alias("i"), F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)).alias("j"))
+    seeking = rows.where("not is_main").select(*shape, F.lit(True).alias("seeks"), F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("i"), F.col("chunk").alias("j"))
+    dealt = held.union(seeking).join(sigs, "rep").join(full, "rep")
 
     def compare(table):
         import numpy as np
@@ -240,12 +251,12 @@ def _bucket_links(members: DataFrame, components: DataFrame, sigs: DataFrame, do
         ends = np.cumsum(sizes)
         known, place = np.unique(np.concatenate(sets), return_inverse=True)
         marked = np.zeros(len(known), bool)
-        rep, component, own = (table.column(c).to_numpy() for c in ("rep", "component", "own"))
-        band, i, j = (table.column(c)[0].as_py() for c in ("band", "i", "j"))
-        kinds, label, number = np.unique(component, return_inverse=True, return_counts=True)
-        main, places, out = label == number.argmax(), np.arange(table.num_rows), []
-        for x in np.flatnonzero(~main):
-            y = np.flatnonzero((label != label[x]) & (main | (places > x)) & ((own != own[x]) | (i == j)))
+        rep, component, is_main, seeks = (table.column(c).to_numpy() for c in ("rep", "component", "is_main", "seeks"))
+        band = table.column("band")[0].as_py()
+        _, label = np.unique(component, return_inverse=True)
+        there, out = np.flatnonzero(~seeks), []
+        for x in np.flatnonzero(seeks):
+            y = there[(label[there] != label[x]) & (is_main[there] | (rep[there] > rep[x]))]
             y = y[100 * np.minimum(sizes[y], sizes[x]) >= conf.percent * np.maximum(sizes[y], sizes[x])]
             if band and len(y):
                 earlier = (sig[y, : band * conf.rows] == sig[x, : band * conf.rows]).reshape(len(y), band, conf.rows).all(2).any(1)
@@ -290,8 +301,8 @@ def near_duplicates(documents: DataFrame, conf: NearConfig = NearConfig()) -> Da
     sizes = banded.groupBy("key").agg(F.count("*").alias("size")).where("size > 1")
     met = settle(banded.join(sizes, "key"))
     ties = met.groupBy("rep").agg(F.sum("size").alias("ties"))
-    leaders = met.join(ties, "rep").groupBy("key").agg(F.max_by("rep", F.struct("ties", "rep")).alias("leader"))
-    pairs = met.join(leaders, "key").where("rep <> leader").select(F.least("leader", "rep").alias("a"), F.greatest("leader", "rep").alias("b")).distinct()
+    leaders = met.join(ties, "rep").groupBy("key").agg(F.max(F.struct("ties", "rep", "n")).alias("l")).select("key", F.col("l.rep").alias("leader"), F.col("l.n").alias("leader_n"))
+    pairs = met.join(leaders, "key").where("rep <> leader").select(F.least("leader", "rep").alias("a"), F.greatest("leader", "rep").alias("b"), (F.col("n") + F.col("leader_n")).alias("weight")).distinct()
     links = settle(_verified(settle(_plausible(pairs, sigs, conf)), texts, conf).select("a", "b"))
     components = connected_components(links)
     rest = settle(_bucket_links(met, components, sigs, texts, conf))

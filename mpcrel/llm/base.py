@@ -42,13 +42,18 @@ def labelled_sample(documents: DataFrame, labels: DataFrame, label: str, modulus
     """About `bound` labelled rows (doc_id, text, label) outside the held-out fold, chosen by hash, however long.
 
     Only their ids travel to the driver and back as a broadcast, so its size is fixed by `bound`. Labels that are null are
-    ignored; of repeated labels for one document the largest counts.
+    ignored; of repeated labels for one document the largest counts. Where ids are repeated in documents, rows are drawn by
+    their texts as well and equal rows count once, so that the bound holds for rows.
     """
     known = (labels.where(F.col(label).isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id"), modulus, remainder))
              .groupBy("doc_id").agg(F.max(label).cast("int").alias("label")))
     total = known.count()
-    chosen = known.where(sampled(F.col("doc_id"), bound / max(total, 1))).limit(2 * bound)
-    return documents.select("doc_id", "text").join(F.broadcast(chosen), "doc_id")
+    chosen = settle(known.where(sampled(F.col("doc_id"), bound / max(total, 1))))
+    rows = documents.select("doc_id", "text").join(F.broadcast(chosen), "doc_id")
+    n = rows.count()
+    if n > 1.5 * chosen.count() + 100:
+        rows = rows.where(F.pmod(F.xxhash64("text", "doc_id"), F.lit(SAMPLE_SPACE)) < int(bound / n * SAMPLE_SPACE)).dropDuplicates()
+    return rows
 
 
 def in_order(table, *lists: str):

@@ -1,111 +1,63 @@
 """Quality by supervised subword embeddings.
 
-Each white-space token and each of its character n-grams has a hashed vector; a document is the average of these vectors and
-a softmax layer gives the classes. Both are learned by stochastic gradient descent in numpy on a bounded sample of labelled
-rows. Since the layer is linear in the average, scoring needs one number for each bucket: its vector times the difference of
-the two output rows.
+Each white-space token, each of its character n-grams and each pair of neighbouring tokens has a hashed vector (all pairs of
+equal tokens the same one); a document is the average of these vectors and a softmax layer gives the classes. Both are learned by stochastic gradient descent in numpy on
+a bounded sample of labelled rows. Since the layer is linear in the average, scoring needs one number for each bucket: its
+vector times the difference of the two output rows.
 """
 
 from __future__ import annotations
 
-import zlib
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from . import letters
 from .base import held_out, in_order, labelled_sample
 
-#: Tokens that a Python worker remembers.
-MEMO = 300_000
-#: Longer tokens are read in pieces and remembered by nobody.
-LONG_TOKEN = 40
-#: Characters of a piece.
-PIECE = 65_536
-
 
 @dataclass(frozen=True)
 class SubwordConfig:
-    buckets: int = 1 << 17
+    bits: int = 17  # of the number of buckets
     dim: int = 8
     shortest: int = 3
     longest: int = 4
-    sample_rows: int = 2_500
+    sample_rows: int = 2_000
     epochs: int = 6
     least_steps: int = 300
     batch: int = 64
-    rate: float = 0.5
+    rate: float = 2.0
     seed: int = 11
 
+    @property
+    def buckets(self) -> int:
+        return 1 << self.bits
 
-def bucket(part: str, conf: SubwordConfig) -> int:
-    return zlib.crc32(part.encode()) % conf.buckets
-
-
-def grams(token: str, conf: SubwordConfig):
-    """Character n-grams of <token>, one by one."""
-    mark = f"<{token}>"
-    return (mark[i : i + k] for k in range(conf.shortest, conf.longest + 1) for i in range(len(mark) - k + 1))
-
-
-def n_grams(token: str, conf: SubwordConfig) -> int:
-    return sum(max(0, len(token) + 3 - k) for k in range(conf.shortest, conf.longest + 1))
-
-
-def pieces_of(token: str, conf: SubwordConfig):
-    """The n-grams of a long token, in lists of bounded length."""
-    mark = f"<{token}>"
-    for k in range(conf.shortest, conf.longest + 1):
-        for at in range(0, len(mark) - k + 1, PIECE):
-            yield [mark[i : i + k] for i in range(at, min(at + PIECE, len(mark) - k + 1))]
-
-
-class Memo(dict):
-    """A bounded memory of a function of a string; long strings are not kept."""
-
-    def __init__(self, function):
-        self.function = function
-
-    def __missing__(self, key: str):
-        if len(self) > MEMO:
-            self.clear()
-        out = self.function(key)
-        if len(key) <= LONG_TOKEN:
-            self[key] = out
-        return out
-
-
-def subwords(conf: SubwordConfig) -> Memo:
-    """token -> how often each bucket is that of the token itself or of one of its n-grams"""
-    from collections import Counter
-
-    known = Memo(lambda part: bucket(part, conf))
 
-    def counts(token: str) -> dict[int, int]:
-        out = Counter([bucket(f"<{token}>#", conf)])
-        if len(token) <= LONG_TOKEN:
-            out.update(map(known.__getitem__, grams(token, conf)))
-        else:
-            for piece in pieces_of(token, conf):
-                out.update(map(known.__getitem__, piece))
-        return dict(out)
+def features(texts: list, conf: SubwordConfig) -> Iterator[tuple]:
+    """(number of the text, bucket) of tokens, of pairs of tokens and of n-grams, array by array.
 
-    return Memo(counts)
-
-
-#: A token that repeats the one before it counts as this token too.
-REPEAT = "\x00repeat"
-
-
-def counted(text: str | None) -> dict[str, int]:
-    from collections import Counter
-    from operator import eq
+    A token of more than letters.PART characters counts as several.
+    """
+    import numpy as np
 
-    words = (text or "").split()
-    out = Counter(words)
-    if again := sum(map(eq, words, words[1:])):
-        out[REPEAT] = again
-    return out
+    own, left, right, *grams = letters.odd(4 + conf.longest, conf.seed)
+    solid = letters.character_table("solid")
+    for codes, owners in letters.parts(texts):
+        starts, ends = letters.runs(solid[codes])
+        if not len(starts):
+            continue
+        whose = owners[starts]
+        words = letters.Stretches(codes).hashes(starts, ends)
+        yield whose, letters.bucket(words * np.uint64(own), conf.bits)
+        again = np.uint64(right)  # a pair of equal tokens is hashed as a pair of some token and itself
+        pairs = np.where(words[:-1] == words[1:], again, words[:-1] * np.uint64(left) + words[1:] * np.uint64(right))
+        beside = whose[1:] == whose[:-1]
+        yield whose[1:][beside], letters.bucket((pairs ^ (pairs >> np.uint64(31)))[beside] * np.uint64(own), conf.bits)
+        for run, found in letters.n_grams(codes, starts, ends, range(conf.shortest, conf.longest + 1), grams, conf.bits):
+            yield whose[run], found
 
 
 def fit(rows: list, labels, conf: SubwordConfig = SubwordConfig()) -> dict:
@@ -117,72 +69,58 @@ def fit(rows: list, labels, conf: SubwordConfig = SubwordConfig()) -> dict:
         share = (y.sum() + 0.5) / (len(y) + 1)
         return {"bias": float(np.log(share / (1 - share))), "s": np.zeros(conf.buckets, "float32")}
     rng = np.random.default_rng(conf.seed)
-    table = rng.uniform(-1 / conf.dim, 1 / conf.dim, (conf.buckets, conf.dim))
+    table = rng.uniform(-1 / conf.dim, 1 / conf.dim, (conf.buckets, conf.dim)).astype("float32")
     out, bias = rng.normal(0, 0.1, (2, conf.dim)), np.log(np.bincount(y, minlength=2) / len(y))
-    epochs = max(conf.epochs, conf.least_steps // -(-len(rows) // conf.batch))
-    steps, done = epochs * -(-len(rows) // conf.batch), 0
+    order, batches = rng.permutation(len(rows)), []
+    for start in range(0, len(order), conf.batch):
+        pick = order[start : start + conf.batch]
+        full = np.array([len(rows[i][0]) > 0 for i in pick])
+        sizes = np.array([len(rows[i][0]) for i in pick[full]], "int64")
+        idx = np.concatenate([rows[i][0] for i in pick])
+        share = np.concatenate([rows[i][1] for i in pick]).astype("float32")[:, None]
+        doc = np.repeat(np.flatnonzero(full), sizes)
+        by_bucket = np.argsort(idx, kind="stable")
+        used, first = np.unique(idx[by_bucket], return_index=True)
+        batches.append((pick, full, np.cumsum(sizes) - sizes, idx, share, doc[by_bucket], share[by_bucket], used, first))
+    epochs = max(conf.epochs, conf.least_steps // len(batches))
+    steps, done = epochs * len(batches), 0
     for _ in range(epochs):
-        order = rng.permutation(len(rows))
-        for start in range(0, len(order), conf.batch):
+        for turn in rng.permutation(len(batches)):
+            pick, full, begins, idx, share, doc, its_share, used, first = batches[turn]
             rate = conf.rate * (1 - done / steps)
             done += 1
-            pick = order[start : start + conf.batch]
-            idx = np.concatenate([rows[i][0] for i in pick])
-            share = np.concatenate([rows[i][1] for i in pick])
-            doc = np.repeat(np.arange(len(pick)), [len(rows[i][0]) for i in pick])
-            vectors = table[idx]
-            mean = np.stack([np.bincount(doc, share * vectors[:, k], len(pick)) for k in range(conf.dim)], 1)
+            mean = np.zeros((len(pick), conf.dim), "float32")
+            if len(idx):
+                mean[full] = np.add.reduceat(table[idx] * share, begins)
             z = mean @ out.T + bias
             p = np.exp(z - z.max(1, keepdims=True))
             p /= p.sum(1, keepdims=True)
             p[np.arange(len(pick)), y[pick]] -= 1
-            back = p @ out
-            used, at = np.unique(idx, return_inverse=True)
-            for k in range(conf.dim):
-                table[used, k] -= rate * np.bincount(at, share * back[doc, k], len(used))
+            if len(idx):
+                table[used] -= rate * np.add.reduceat((p @ out).astype("float32")[doc] * its_share, first)
             out -= rate * (p.T @ mean)
             bias = bias - rate * p.sum(0) / len(pick)
     return {"bias": float(bias[1] - bias[0]), "s": (table @ (out[1] - out[0])).astype("float32")}
 
 
-def weighted(text: str | None, tokens: Memo) -> tuple[list[int], list[float]]:
+def weighted(text: str | None, conf: SubwordConfig = SubwordConfig()):
     """Buckets of a document with their shares of the average."""
-    total: dict[int, float] = {}
-    for token, n in counted(text).items():
-        ids = tokens[token]
-        share = n / sum(ids.values())
-        for i, times in ids.items():
-            total[i] = total.get(i, 0) + times * share
-    whole = sum(total.values()) or 1.0
-    keys = sorted(total)
-    return keys, [total[k] / whole for k in keys]
-
-
-def token_scores(s: list[float], conf: SubwordConfig) -> Memo:
-    """token -> mean score of its buckets"""
-    known = Memo(lambda part: s[bucket(part, conf)])
-
-    def mean(token: str) -> float:
-        parts = [grams(token, conf)] if len(token) <= LONG_TOKEN else pieces_of(token, conf)
-        return (s[bucket(f"<{token}>#", conf)] + sum(sum(map(known.__getitem__, p)) for p in parts)) / (n_grams(token, conf) + 1)
-
-    return Memo(mean)
-
+    import numpy as np
 
-def scorer(model: dict, conf: SubwordConfig = SubwordConfig()):
-    import math
-    from operator import eq
+    found = [b for _, b in features([text], conf)]
+    ids, times = np.unique(np.concatenate(found), return_counts=True) if found else (np.zeros(0, "int64"), np.zeros(0))
+    return ids, times / max(times.sum(), 1)
 
-    tokens, bias = token_scores(model["s"].tolist(), conf), model["bias"]
 
-    def score(text: str | None) -> float:
-        words = (text or "").split()
-        again = sum(map(eq, words, words[1:]))
-        n = len(words) + again
-        z = bias + (math.fsum(map(tokens.__getitem__, words)) + again * tokens[REPEAT]) / max(n, 1)
-        return 1 / (1 + math.exp(-max(-30.0, min(30.0, z))))
+def scores(texts: list, model: dict, conf: SubwordConfig = SubwordConfig()):
+    """The probability of class 1 of each text."""
+    import numpy as np
 
-    return score
+    total, times = np.zeros(len(texts)), np.zeros(len(texts))
+    for whose, found in features(texts, conf):
+        total += np.bincount(whose, model["s"][found], len(texts))
+        times += np.bincount(whose, minlength=len(texts))
+    return 1 / (1 + np.exp(-np.clip(model["bias"] + total / np.maximum(times, 1), -30, 30)))
 
 
 def train(documents: DataFrame, labels: DataFrame, conf: SubwordConfig = SubwordConfig(), modulus: int = 5, remainder: int = 0, label: str = "quality") -> dict:
@@ -190,9 +128,8 @@ def train(documents: DataFrame, labels: DataFrame, conf: SubwordConfig = Subword
     def hashed(batches):
         import pyarrow as pa
 
-        tokens = subwords(conf)
         for batch in batches:
-            found = [weighted(t.as_py(), tokens) for t in batch.column(1)]
+            found = [weighted(t.as_py(), conf) for t in batch.column(1)]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([a for a, _ in found], pa.list_(pa.int32())), pa.array([b for _, b in found], pa.list_(pa.float32())), batch.column(2)], names=["doc_id", "ids", "shares", "label"])
 
     sample = labelled_sample(documents, labels, label, modulus, remainder, conf.sample_rows)
@@ -216,15 +153,16 @@ def with_scores(rows: DataFrame, model: dict, conf: SubwordConfig = SubwordConfi
     sent = rows.sparkSession.sparkContext.broadcast(model)
     kept = [c for c in rows.columns if not (drop_text and c == "text")]
 
-    def scores(batches):
+    def scored(batches):
         import pyarrow as pa
 
-        score = scorer(sent.value, conf)
         for batch in batches:
-            values = [score(t.as_py()) for t in batch.column("text")]
-            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in kept), pa.array(values, pa.float64()), pa.array([int(x >= threshold) for x in values], pa.int32())], names=[*kept, f"{prefix}score", f"{prefix}predicted"])
+            for at in range(0, batch.num_rows, 512):
+                some = batch.slice(at, 512)
+                values = scores(some.column("text").to_pylist(), sent.value, conf)
+                yield pa.RecordBatch.from_arrays([*(some.column(c) for c in kept), pa.array(values), pa.array((values >= threshold).astype("int32"))], names=[*kept, f"{prefix}score", f"{prefix}predicted"])
 
     from pyspark.sql.types import DoubleType, IntegerType, StructType
 
     schema = StructType([rows.schema[c] for c in kept]).add(f"{prefix}score", DoubleType()).add(f"{prefix}predicted", IntegerType())
-    return rows.mapInArrow(scores, schema)
+    return rows.mapInArrow(scored, schema)

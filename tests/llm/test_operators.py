@@ -11,7 +11,7 @@ import zlib
 import pytest
 from pyspark.sql import functions as F
 
-from mpcrel.llm import base, decontam, fingerprints, language, licenses, near_dedup, packing, passages, pii, quality, toxicity
+from mpcrel.llm import base, decontam, fingerprints, language, letters, licenses, near_dedup, packing, passages, pii, quality, toxicity
 
 WORDS = [a + b + c for a in ("ba", "ko", "ri", "tu") for b in ("la", "me", "no") for c in ("", "s", "ta", "vin")]
 AWKWARD = "doc_id long, text string, lang string, source string, n_chars long, score double, piece int, sig string, component string, spans string"
@@ -75,12 +75,11 @@ def test_quality_reads_long_tokens_and_long_rows_whole(spark):
     labels = spark.createDataFrame([(i, i % 2) for i in range(200)], "doc_id long, quality int")
     model = quality.train(docs, labels)
     assert all(r["predicted"] == r["doc_id"] % 2 for r in quality.score_quality(docs, model, threshold=0.5).collect())
-    conf, token = quality.SubwordConfig(buckets=64), "".join(rng.choices("abcd", k=200_000))
-    whole = [f"<{token}>#", *(f"<{token}>"[i : i + k] for k in (3, 4) for i in range(len(token) + 3 - k))]
-    s = [float(i % 7) for i in range(conf.buckets)]
-    assert quality.token_scores(s, conf)[token] == pytest.approx(sum(s[quality.bucket(g, conf)] for g in whole) / len(whole))
-    keys, shares = quality.weighted(token, quality.subwords(conf))
-    assert sum(w * s[k] for k, w in zip(keys, shares)) == pytest.approx(sum(s[quality.bucket(g, conf)] for g in whole) / len(whole))
+    conf = quality.SubwordConfig()
+    rng2 = random.Random(22)
+    token = "".join(rng2.choices("abcd", k=2 * letters.PART))
+    ids, shares = quality.weighted(token, conf)
+    assert len(ids) > 300 and shares.sum() == pytest.approx(1)  # n-grams of every part
     long = spark.createDataFrame([(1, "word " * 10_000), (2, "word")], "doc_id long, text string")
     marks = spark.createDataFrame([(1, 1), (2, 0)], "doc_id long, quality int")
     assert {r["doc_id"] for r in base.labelled_sample(long, marks, "quality", 1000, 999, 100).collect()} == {1, 2}
@@ -99,6 +98,41 @@ def test_quality(spark, corpus, empty):
     assert quality.score_quality(empty, quality.train(empty, labels)).count() == 0
 
 
+def polynomial(text):
+    """The hash of a stretch, character by character."""
+    total = sum((ord(c) + 1) * pow(letters._BASE, i, 1 << 64) for i, c in enumerate(text)) % (1 << 64)
+    return (total ^ (total >> 32)) * 0x9E3779B97F4A7C15 % (1 << 64)
+
+
+def brute_quality(text, model, conf):
+    """Average of the values of tokens, pairs and n-grams, one by one, then the softmax of two classes."""
+    own, left, right, *grams = letters.odd(4 + conf.longest, conf.seed)
+    top = lambda h: (h % (1 << 64)) >> (64 - conf.bits)
+    tokens = (text or "").split()
+    found = [top(polynomial(t) * own) for t in tokens]
+    for a, b in zip(tokens, tokens[1:]):
+        pair = right if a == b else (polynomial(a) * left + polynomial(b) * right) % (1 << 64)
+        found.append(top((pair ^ (pair >> 31)) * own))
+    for t in tokens:
+        mark = f"<{t}>"
+        for k in range(conf.shortest, conf.longest + 1):
+            for i in range(len(mark) - k + 1):
+                h = (k + sum((ord(c) + 1) * m for c, m in zip(mark[i : i + k], grams))) % (1 << 64)
+                found.append(top((h ^ (h >> 29)) * grams[-1]))
+    z = model["bias"] + (math.fsum(float(model["s"][i]) for i in found) / len(found) if found else 0)
+    return 1 / (1 + math.exp(-z))
+
+
+def test_quality_scores_match_explicit_averages():
+    import numpy as np
+
+    rng = random.Random(23)
+    conf = quality.SubwordConfig(bits=9)
+    model = {"bias": 0.3, "s": np.random.default_rng(1).normal(0, 3, conf.buckets).astype("float32")}
+    texts = [prose(rng, rng.randrange(0, 40)) + rng.choice(["", " a a a", " ünï 日本語 x", "\n\t" + "q" * 90]) for _ in range(60)] + [None, "", " ", "z"]
+    assert quality.scores(texts, model, conf) == pytest.approx([brute_quality(t, model, conf) for t in texts])
+
+
 def brute_components(pairs, size, percent):
     sets = []
     for _, t in pairs:

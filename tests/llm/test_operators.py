@@ -60,13 +60,56 @@ def test_factorization_machine_learns_an_interaction():
         a, b = rng.random() < 0.5, rng.random() < 0.5
         rows.append(np.array([5] * a + [9] * b + [rng.randrange(20, 40)]))
         y.append(int(a and b))
-    conf = toxicity.FmConfig(buckets=64)
+    conf = toxicity.FmConfig(bits=6)
     model = toxicity.fit(rows, y, conf)
     w = dict(zip(model["ids"].tolist(), range(len(model["ids"]))))
     pair = float(model["v"][w[5]] @ model["v"][w[9]])
     assert pair > 0.5  # together they mean more than the sum
 
 
+def test_factorization_machine_learns_an_interaction_without_marginal_effect():
+    import numpy as np
+
+    rng = random.Random(32)
+    conf, rows, y = toxicity.FmConfig(bits=10), [], []
+    for _ in range(6000):  # either of two terms alone marks a row, both or none do not
+        a, b = rng.random() < 0.5, rng.random() < 0.5
+        rows.append(np.array(sorted({*[5] * a, *[9] * b, *(rng.randrange(20, 400) for _ in range(20))})))
+        y.append(int(a != b))
+    model = toxicity.fit(rows[:5000], y[:5000], conf)
+    assert {5, 9} <= set(model["ids"].tolist())
+    ids = {k: i for i, k in enumerate(model["ids"].tolist())}
+    for row, label in zip(rows[5000:], y[5000:]):
+        on = [ids[t] for t in row.tolist() if t in ids]
+        z = model["bias"] + sum(model["w"][on]) + sum(model["v"][i] @ model["v"][j] for k, i in enumerate(on) for j in on[:k])
+        assert (z > 0) == label
+
+
+def brute_terms(text, conf):
+    own, *of_stem = letters.odd(1 + len(conf.stems), conf.seed)
+    out = set()
+    for word in re.findall(r"[^\W_]+", (text or "").lower()):
+        for piece, m in [(word, own), *((word[:k], x) for k, x in zip(conf.stems, of_stem) if len(word) >= k)]:
+            out.add(polynomial(piece) * m % (1 << 64) >> (64 - conf.bits))
+    return sorted(out)
+
+
+def test_toxicity_scores_match_explicit_pair_sums():
+    import numpy as np
+
+    rng, draw = random.Random(33), np.random.default_rng(2)
+    conf = toxicity.FmConfig(bits=8)
+    ids = np.sort(draw.choice(conf.buckets, 100, replace=False))
+    model = {"bias": -0.4, "ids": ids, "w": draw.normal(0, 0.3, 100), "v": draw.normal(0, 0.2, (100, conf.factors))}
+    place = {k: i for i, k in enumerate(ids.tolist())}
+    texts = [prose(rng, rng.randrange(0, 12)) + rng.choice(["", " Ünï_x a1", " 日本語 日本語"]) for _ in range(60)] + [None, "", "_", "word " * 120_000]
+    got = toxicity.scores(texts, model, conf)
+    for text, score in zip(texts, got):
+        on = [place[t] for t in brute_terms(text, conf) if t in place]
+        z = model["bias"] + sum(model["w"][on]) + sum(model["v"][i] @ model["v"][j] for k, i in enumerate(on) for j in on[:k])
+        assert score == pytest.approx(1 / (1 + math.exp(-z)))
+
+
 def test_quality_reads_long_tokens_and_long_rows_whole(spark):
     rng = random.Random(21)
     ends = "".join(rng.choices("klmn", k=60))

@@ -1,15 +1,12 @@
 """Canonical exact digests of documents, with built-in functions only.
 
-The canonical text is Unicode-normalised, lower-cased and has each run of white space folded to one space. Two xxhash64 words
-of it, with different seeds, make the fingerprint; texts are grouped by it and inside a group of more than one their bytes are
-compared, so that a group never holds two different canonical texts.
+The canonical text is in the Unicode compatibility form NFKC, case-folded, and has each run of white space folded to one space.
+Two xxhash64 words of it, with different seeds, make the fingerprint; texts are grouped by it and inside a group of more than one
+their bytes are compared, so that a group never holds two different canonical texts.
 """
 
 from __future__ import annotations
 
-import unicodedata
-from functools import lru_cache
-
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
@@ -18,68 +15,33 @@ from .base import settle
 
 #: Blocks of texts laid side by side hold about so many rows.
 BLOCK_ROWS = 128
+#: Shared digests up to this number are broadcast.
+BROADCAST_DIGESTS = 1_000_000
+#: Parts of a shared digest's rows where there are more.
+SALTS = 16
+#: Texts of these characters alone are in NFKC, and lower case is their case folding.
+PLAIN = r"^[\x00-\x7F\xC0-\xD6\xD8-\xDE\xE0-\xF6\xF8-\xFF]*+$"
+_NORMALISE, _FOLD = "com.ibm.icu.text.Normalizer", "com.ibm.icu.lang.UCharacter"
 
 
-@lru_cache(maxsize=1)
-def _unicode_tables() -> tuple[str, str, dict[str, str], dict[str, str]]:
-    """From the Unicode database: single characters that stand for another one, those that stand for several, and composites
-    by their full decomposition (base letter and one to three marks)."""
-    single, several, composed = {}, {}, {}
-    for code in range(0xA0, 0x30000):
-        c = chr(code)
-        if 0xD800 <= code <= 0xDFFF or 0xAC00 <= code <= 0xD7A3:
-            continue
-        compatible, whole = unicodedata.normalize("NFKC", c), unicodedata.normalize("NFD", c)
-        if compatible != c:
-            (single if len(compatible) == 1 else several)[c] = compatible
-        elif 1 < len(whole) <= 4 and unicodedata.combining(whole[1]):
-            composed[whole] = c
-    for whole, c in list(composed.items()):  # marks of different classes may come in either order
-        if len(whole) == 3:
-            composed.setdefault(whole[0] + whole[2] + whole[1], c) if unicodedata.combining(whole[1]) != unicodedata.combining(whole[2]) else None
-            half = unicodedata.normalize("NFC", whole[:2])
-            composed.setdefault(half + whole[2], c)
-    return "".join(single), "".join(single.values()), several, composed
-
-
-def _character_class(characters: str) -> str:
-    """A regular-expression class of the ranges that hold the characters."""
-    codes, ranges = sorted(map(ord, characters)), []
-    for c in codes:
-        if ranges and ranges[-1][1] == c - 1:
-            ranges[-1][1] = c
-        else:
-            ranges.append([c, c])
-    return "[" + "".join(f"\\x{{{a:x}}}" + (f"-\\x{{{b:x}}}" if b > a else "") for a, b in ranges) + "]"
-
-
-def _looked_up(text: Column, pattern: str, table: dict[str, str]) -> Column:
-    """text with each match of the pattern replaced by its entry in the table, if it has one."""
-    entries = F.str_to_map(F.lit("\x01".join(f"{k}\x02{v}" for k, v in table.items())), F.lit("\x01"), F.lit("\x02"))
-    parts = F.split(text, pattern, -1)
-    found = F.transform(F.regexp_extract_all(text, F.lit(f"({pattern})"), F.lit(1)), lambda m: F.coalesce(F.element_at(entries, m), m))
-    return F.array_join(F.zip_with(parts, found, lambda a, b: F.concat(a, F.coalesce(b, F.lit("")))), "")
+def _java(owner: str, method: str, text: Column) -> Column:
+    """A static method of Spark's own Unicode library, of a text and a flag."""
+    return F.reflect(F.lit(owner), F.lit(method), text, F.lit(True))
 
 
 def with_canonical(df: DataFrame, names: dict[str, str]) -> DataFrame:
     """df with canonical texts: names is column of text -> name of its canonical form.
 
-    Compatibility forms are replaced and marks composed with their letters, in steps that each read the column before, and
-    only for texts with characters beyond Latin-1 letters. Hangul written in single jamo and letters with more than three
-    marks stay as they are.
+    Texts of ASCII and Latin-1 letters take a shorter way to the same result.
     """
-    plain, to, several, composed = _unicode_tables()
-    spread = _character_class("".join(several))
     for source, out in names.items():
-        odd = F.col("__odd")
+        compose = lambda c: _java(_NORMALISE, "compose", c)
         steps = [
             ("__text", F.coalesce(F.col(source), F.lit(""))),
-            ("__odd", (F.length("__text") != F.octet_length("__text")) & F.col("__text").rlike(r"[^\x00-\x7F\xC0-\xD6\xD8-\xF6\xF8-\xFF]")),
-            ("__mapped", F.when(odd, F.translate("__text", plain, to)).otherwise(F.col("__text"))),
-            ("__spread", F.when(odd & F.col("__mapped").rlike(spread), _looked_up(F.col("__mapped"), spread, several)).otherwise(F.col("__mapped"))),
-            ("__joined", F.when(odd & F.col("__spread").rlike(r"\p{M}"), _looked_up(F.col("__spread"), r"\P{M}\p{M}{1,3}", composed)).otherwise(F.col("__spread"))),
-            ("__spaced", F.when(odd, F.regexp_replace("__joined", r"[\x{85}\x{a0}\x{1680}\x{2000}-\x{200a}\x{2028}\x{2029}\x{202f}\x{205f}\x{3000}]", " ")).otherwise(F.col("__joined"))),
-            (out, F.trim(F.regexp_replace(F.lower("__spaced"), r"\s+", " "))),
+            ("__plain", (F.length("__text") == F.octet_length("__text")) | F.col("__text").rlike(PLAIN)),
+            ("__folded", F.when(F.col("__plain"), F.lower("__text")).otherwise(compose(_java(_FOLD, "foldCase", compose(F.col("__text")))))),
+            ("__spaced", F.when(F.col("__plain"), F.regexp_replace("__folded", r"\s+", " ")).otherwise(F.regexp_replace("__folded", r"[\s\x{85}\x{1680}\x{2028}\x{2029}]+", " "))),
+            (out, F.trim("__spaced")),
         ]
         for name, column in steps:
             df = df.withColumn(name, column)
@@ -92,55 +54,104 @@ def wide_hash(canon: Column) -> Column:
     return F.lower(F.concat(F.lpad(F.hex(F.xxhash64(canon)), 16, "0"), F.lpad(F.hex(F.xxhash64(F.lit(0x5EED), canon, F.length(canon))), 16, "0")))
 
 
+def _joined(rows: DataFrame, shared: DataFrame, n: int, how: str = "left") -> DataFrame:
+    """rows with what is known of their shared digests: a broadcast after a count, or a join in which a digest has several parts."""
+    if n <= BROADCAST_DIGESTS:
+        return rows.join(F.broadcast(shared), "digest", how)
+    parts = shared.withColumn("__part", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    return rows.withColumn("__part", F.pmod(F.xxhash64("doc_id", F.rand(3)), F.lit(SALTS)).cast("int")).join(parts, ["digest", "__part"], how).drop("__part")
+
+
+def shared_digests(documents: DataFrame) -> tuple[DataFrame, int]:
+    """digest, group_id, group_size of the digests of more than one row whose texts are all equal, how many digests are shared,
+    and, in the column canon, one row for each text of a digest that several texts share.
+
+    Only digests are shuffled for all rows. Equal texts of a shared digest are counted before they are shuffled, so a group of
+    copies is one row for each task, however large it is.
+    """
+    texts = with_canonical(documents.select("doc_id", "text"), {"text": "canon"}).select("doc_id", "canon", wide_hash(F.col("canon")).alias("digest"))
+    counts = texts.groupBy("digest").agg(F.min("doc_id").alias("first"), F.count("*").alias("n"))
+    shared = settle(counts.where("n > 1"))
+    many = shared.count()
+    equal = _joined(texts, shared.select("digest"), many, "left_semi" if many <= BROADCAST_DIGESTS else "inner").groupBy("digest", "canon").agg(F.min("doc_id").alias("group_id"), F.count("*").alias("group_size"))
+    equal = settle(equal.select("digest", "group_id", "group_size", F.sha2(F.col("canon").cast("binary"), 256).alias("sha"), "canon"))
+    kinds = settle(equal.groupBy("digest").agg(F.count("*").alias("kinds")).where("kinds > 1"))
+    met = equal.join(F.broadcast(kinds) if kinds.count() <= BROADCAST_DIGESTS else kinds, "digest", "left")
+    return settle(met.select("digest", "group_id", "group_size", F.when(F.col("kinds").isNotNull(), F.col("canon")).alias("same"))), many
+
+
+def _grouped(rows: DataFrame, shared: DataFrame, many: int) -> DataFrame:
+    """rows (doc_id, digest, canon, ...) with group_id and group_size."""
+    met = _joined(rows, shared.where("same is null").drop("same"), many)
+    split = shared.where("same is not null").select("digest", F.col("same").alias("canon"), F.col("group_id").alias("__id"), F.col("group_size").alias("__size"))
+    if not split.isEmpty():  # digests that different texts share
+        met = met.join(split, ["digest", "canon"], "left").withColumns({"group_id": F.coalesce("__id", "group_id"), "group_size": F.coalesce("__size", "group_size")}).drop("__id", "__size")
+    alone = F.col("group_size").isNull()
+    return met.withColumns({"group_id": F.when(alone, F.col("doc_id")).otherwise(F.col("group_id")), "group_size": F.coalesce("group_size", F.lit(1))})
+
+
 def exact_groups(documents: DataFrame) -> DataFrame:
-    """doc_id, digest, group_id, group_size: documents with equal canonical text share the smallest doc_id of the group.
+    """doc_id, digest, group_id, group_size for every row: equal canonical texts share the smallest doc_id of the group.
 
-    Only digests are shuffled for all rows. The texts of rows that share a digest are compared with the group's smallest in
-    bytes; a row that differs makes a group with its equals, so a collision splits a group. Null text counts as empty, rows
-    with a null id take part with group_id null unless they have company.
+    A digest that different texts share gives several groups. Null text counts as empty; rows without an id take part, with
+    group_id null unless they have company. Repeated rows count each. An empty table gives an empty result.
     """
-    texts = with_canonical(documents.select("doc_id", "text"), {"text": "canon"}).select("doc_id", "canon")
-    digests = settle(texts.select("doc_id", wide_hash(F.col("canon")).alias("digest")))
-    groups = digests.groupBy("digest").agg(F.min("doc_id").alias("first"), F.count("*").alias("n"))
-    shared = digests.join(groups.where("n > 1"), "digest").select("doc_id", "digest", "first")
-    bytes_of = with_canonical(shared.where("doc_id is not null").join(documents.select("doc_id", "text"), "doc_id"), {"text": "canon"}).drop("text")
-    first = bytes_of.where("doc_id = first").groupBy("digest").agg(F.min("canon").alias("first_canon"))
-    differing = bytes_of.join(first, "digest").where("canon <> first_canon")
-    differing = differing.select("doc_id", F.reverse("digest").alias("reversed"), "canon")
-    own = differing.groupBy("reversed", "canon").agg(F.min("doc_id").alias("own_first"), F.count("*").alias("own_n"))
-    moved = differing.join(own, ["reversed", "canon"]).select("doc_id", "own_first", "own_n").dropDuplicates(["doc_id"])
-    taken = own.groupBy("reversed").agg(F.sum("own_n").alias("gone")).select(F.reverse("reversed").alias("digest"), "gone")
-    return (digests.join(groups.join(taken, "digest", "left"), "digest").join(moved, "doc_id", "left").select(
-        "doc_id", "digest", F.coalesce("own_first", "first").alias("group_id"),
-        F.coalesce("own_n", F.col("n") - F.coalesce("gone", F.lit(0))).alias("group_size")))
+    shared, many = shared_digests(documents)
+    rows = with_canonical(documents.select("doc_id", "text"), {"text": "canon"}).select("doc_id", "canon", wide_hash(F.col("canon")).alias("digest"))
+    return _grouped(rows, shared, many).select("doc_id", "digest", "group_id", "group_size")
 
 
 def with_next(documents: DataFrame, block_rows: int = BLOCK_ROWS) -> DataFrame:
     """doc_id, text, next_text by ascending doc_id, the first document following the last; null text becomes empty.
 
-    Ids are dealt into blocks of equal width, which hold block_rows rows on average. A block's first row is also sent to the
-    block before it, so that one window within blocks finds every neighbour, and texts are shuffled once.
+    Rows without an id come first, by a hash of their texts. Ids are dealt into blocks of equal width, and blocks that hold many
+    times block_rows are cut again by their own range, so that ids may lie anyhow. A block's first row is also sent to the
+    block before it, so that one window within blocks finds every neighbour, and texts are shuffled once. Rows with one id
+    are ordered by text.
     """
-    rows = documents.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
-    low, high, n = documents.where("doc_id is not null").agg(F.min("doc_id").cast("long"), F.max("doc_id").cast("long"), F.count("*")).first()
-    if not n:
-        return rows.withColumn("next_text", F.lit(""))
-    width = max(1, (high - low + 1) * block_rows // n)
-    block = F.floor((F.col("doc_id") - F.lit(low)) / F.lit(width)).cast("long") if width > 1 else F.col("doc_id") - F.lit(low)
-    # blocks that hold rows, and the block before each; super-blocks keep every window small
-    heads = rows.select(block.alias("block"), "doc_id").groupBy("block").agg(F.min("doc_id").alias("head"))
-    over = F.floor(F.col("block") / 16384).alias("over")
-    tops = heads.groupBy(over).agg(F.max("block").alias("last"))
-    tops = tops.select("over", F.lag("last").over(W.orderBy("over")).alias("last_before"))
-    within = W.partitionBy("over").orderBy("block")
-    links = heads.select("block", "head", over).withColumn("before", F.lag("block").over(within)).join(tops, "over")
-    end = F.floor(F.lit((high - low)) / F.lit(width)).cast("long") if width > 1 else F.lit(high - low).cast("long")
-    links = links.select(F.col("head").alias("doc_id"), F.coalesce("before", "last_before", end).alias("to"))
-    copies = rows.join(F.broadcast(links) if n // block_rows < 50_000 else links, "doc_id").select("doc_id", "text", F.col("to").alias("block"), F.lit(1).alias("copy"))
-    copies = copies.groupBy("doc_id", "block", "copy").agg(F.min("text").alias("text")).select("doc_id", "text", "block", "copy")
-    both = rows.select("doc_id", "text", block.alias("block"), F.lit(0).alias("copy")).union(copies)
+    rows = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
+    without = rows.where("doc_id is null").limit(1).count()
+    at = F.coalesce("doc_id", F.shiftrightunsigned(F.xxhash64("text"), 2)) if without else F.col("doc_id")
+    rows = rows.withColumns({"slot": F.col("doc_id").isNotNull().cast("int") if without else F.lit(1), "at": at})
+    ids = rows.select("slot", "at")
+    found = {r["slot"]: r for r in ids.groupBy("slot").agg(F.min("at").alias("low"), F.max("at").alias("high"), F.count("*").alias("n")).collect()}
+    if not found:
+        return rows.select("doc_id", "text", F.lit("").alias("next_text"))
+    block, over = F.lit(None).cast("string"), F.lit(None).cast("string")
+    for slot, r in found.items():
+        width = max(1, (r["high"] - r["low"] + 1) * block_rows // r["n"])
+        step = lambda w: F.concat_ws("/", F.lit(slot), F.expr(f"`at` div {min(w, 1 << 62)}L"))
+        here = F.col("slot") == slot
+        block, over = F.when(here, step(width)).otherwise(block), F.when(here, step(width << 14)).otherwise(over)
+    finer: list[DataFrame] = []
+
+    def dealt(df: DataFrame) -> DataFrame:
+        df = df.withColumn("block", block)
+        for cuts in finer:
+            df = df.join(cuts.withColumnRenamed("block", "__cut"), F.col("block") == F.col("__cut"), "left")
+            df = df.withColumn("block", F.when(F.col("__width").isNotNull(), F.concat_ws("/", "block", F.expr("(`at` - __low) div __width"))).otherwise(F.col("block"))).drop("__cut", "__low", "__width")
+        return df
+
+    while True:
+        heads = settle(dealt(ids).withColumn("over", over).groupBy("slot", "over", "block").agg(F.min("at").alias("low"), F.max("at").alias("high"), F.count("*").alias("n")))
+        crowded = heads.where((F.col("n") > 16 * block_rows) & (F.col("high") > F.col("low")))
+        number = crowded.count()
+        if not number:
+            break
+        cuts = settle(crowded.select("block", F.col("low").alias("__low"), F.greatest(F.lit(1), F.expr(f"high div greatest(n div {block_rows}, 2) - low div greatest(n div {block_rows}, 2)")).alias("__width")))
+        finer.append(F.broadcast(cuts) if number <= BROADCAST_DIGESTS else cuts)
+    # the block before each, within groups of blocks, and over their borders
+    tops = heads.groupBy("slot", "over").agg(F.min("low").alias("top"), F.max_by("block", "low").alias("final"))
+    by_top = W.orderBy("slot", "top")
+    tops = tops.select("slot", "over", F.lag("final").over(by_top).alias("before_top"))
+    end = heads.agg(F.max_by("block", F.struct("slot", "low"))).first()[0]
+    links = heads.withColumn("before", F.lag("block").over(W.partitionBy("slot", "over").orderBy("low"))).join(tops, ["slot", "over"])
+    links = settle(links.select("slot", F.col("low").alias("at"), F.coalesce("before", "before_top", F.lit(end)).alias("to")))
+    heads_of = rows.join(F.broadcast(links) if links.count() <= BROADCAST_DIGESTS else links, ["slot", "at"])
+    copies = heads_of.groupBy("slot", "at", "to").agg(F.min(F.struct("text", "doc_id")).alias("r")).select("slot", "at", "r.doc_id", "r.text", F.col("to").alias("block"), F.lit(1).alias("copy"))
+    both = dealt(rows).select("slot", "at", "doc_id", "text", "block", F.lit(0).alias("copy")).union(copies)
     # in its block, the copy comes last: it has a larger id, or is the first document of all
-    order = W.partitionBy("block").orderBy("copy", "doc_id", "text")
+    order = W.partitionBy("block").orderBy("copy", "slot", "at", "text")
     return both.withColumn("next_text", F.lead("text").over(order)).where("copy = 0").select("doc_id", "text", "next_text")
 
 
@@ -150,21 +161,23 @@ def edited(text: Column, following: Column) -> Column:
 
 
 def fingerprints(documents: DataFrame) -> DataFrame:
-    """doc_id, n_chars, edited_sha256, fingerprint, edited_fingerprint, near_edited, near_next of every document with an id, and
-    the group_id and group_size that exact_groups gives it.
+    """doc_id, n_chars, edited_sha256, fingerprint, edited_fingerprint, near_edited, near_next of every document, and the group_id
+    and group_size that exact_groups gives it.
 
-    Digests are exact, so a likeness is 1 where the canonical bytes are equal and 0 elsewhere. Of rows with one doc_id each is
-    its own document, ordered by text.
+    Digests are exact, so a likeness is 1 where the canonical bytes are equal and 0 elsewhere. Null text is empty. Of rows with
+    one doc_id, or none, each is its own document; the order among them is that of with_next. An empty table gives an empty
+    result; other columns are not read.
     """
-    pairs = with_next(documents)
-    changed = pairs.withColumn("edited", edited(F.col("text"), F.col("next_text")))
-    own = with_canonical(changed, {"text": "__c0", "edited": "__c1", "next_text": "__c2"})
-    own = own.withColumns({f: wide_hash(F.col(c)) for f, c in (("fingerprint", "__c0"), ("edited_fingerprint", "__c1"), ("next_fingerprint", "__c2"))})
+    documents = documents.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    shared, many = shared_digests(documents)
+    changed = with_next(documents).withColumn("edited", edited(F.col("text"), F.col("next_text")))
+    own = with_canonical(changed, {"text": "canon", "edited": "__c1", "next_text": "__c2"})
+    own = own.withColumns({f: wide_hash(F.col(c)) for f, c in (("digest", "canon"), ("edited_fingerprint", "__c1"), ("__next", "__c2"))})
 
     def alike(other: str, canon: str) -> Column:
-        return F.when(F.col("fingerprint") == F.col(other), F.col("__c0") == F.col(canon)).otherwise(False).cast("double")
+        return F.when(F.col("digest") == F.col(other), F.col("canon") == F.col(canon)).otherwise(False).cast("double")
 
-    made = own.select("doc_id", F.length("text").cast("long").alias("n_chars"), F.sha2(F.col("edited").cast("binary"), 256).alias("edited_sha256"),
-                      "fingerprint", "edited_fingerprint", alike("edited_fingerprint", "__c1").alias("near_edited"), alike("next_fingerprint", "__c2").alias("near_next"))
-    groups = exact_groups(documents).dropDuplicates(["doc_id", "digest"]).withColumnRenamed("digest", "fingerprint")
-    return made.join(groups, ["doc_id", "fingerprint"], "left")
+    made = own.select("doc_id", F.length("text").cast("long").alias("n_chars"), F.sha2(F.col("edited").cast("binary"), 256).alias("edited_sha256"), "digest", "canon",
+                      "edited_fingerprint", alike("edited_fingerprint", "__c1").alias("near_edited"), alike("__next", "__c2").alias("near_next"))
+    return _grouped(made, shared, many).withColumnRenamed("digest", "fingerprint").select(
+        "doc_id", "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint", "near_edited", "near_next", "group_id", "group_size")

@@ -382,11 +382,14 @@ def test_language(spark, corpus, empty):
 
 
 def canonical(t):
-    return re.sub(r"\s+", " ", unicodedata.normalize("NFKC", t or "").lower()).strip()
+    nfkc = lambda x: unicodedata.normalize("NFKC", x)
+    return re.sub(r"\s+", " ", nfkc(nfkc(t or "").casefold())).strip()
 
 
 def test_fingerprints(spark, corpus, empty):
-    texts = {1: "Ｆｕｌｌ  width\n", 2: "full Width", 3: "café ﬁne", 4: "CAFÉ fine", 5: None, 6: " ", 9: "ệ ệ", 12: "x" * 5000, 20: "ệ Ệ"}
+    e_marks = "e\u0301\u0323\u0302\u0308\u0327"
+    texts = {1: "Ｆｕｌｌ  width\n", 2: "full Width", 3: "café ﬁne", 4: "CAFÉ fine", 5: None, 6: " ", 9: "ệ ệ", 12: "x" * 5000, 20: "ệ Ệ", 21: "\u1112\u1161\u11ab", 22: "한", 23: e_marks,
+             24: unicodedata.normalize("NFC", e_marks), 25: "Straße", 26: "STRASSE", 27: "a\u2028\u3000b", 10**15: "a b", 10**15 + 7: "full width"}
     docs = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
     got = {r["doc_id"]: r for r in fingerprints.fingerprints(docs).collect()}
     ids = sorted(texts)
@@ -396,12 +399,38 @@ def test_fingerprints(spark, corpus, empty):
         changed = t[: len(t) - half] + nxt[:half]
         assert got[a]["n_chars"] == len(t) and got[a]["edited_sha256"] == hashlib.sha256(changed.encode()).hexdigest()
         assert got[a]["near_next"] == float(canonical(t) == canonical(nxt)) and got[a]["near_edited"] == float(canonical(t) == canonical(changed))
-        assert got[a]["group_id"] == min(b for b in ids if canonical(texts[b]) == canonical(t))
+        same = [b for b in ids if canonical(texts[b]) == canonical(t)]
+        assert got[a]["group_id"] == same[0] and got[a]["group_size"] == len(same)
     assert fingerprints.fingerprints(empty).count() == 0
-    df, _ = corpus
+    df, pairs = corpus
+    rows = fingerprints.fingerprints(df).collect()
+    assert sorted(str(r["doc_id"]) for r in rows) == sorted(str(d) for d, _ in pairs)
+    order = [(d, t or "") for d, t in sorted(pairs, key=lambda p: (p[0] is not None, p[0] or 0, p[1] or ""))]
+    want = []
+    for (d, t), (_, nxt) in zip(order, order[1:] + order[:1]):
+        half = len(t) // 2
+        want.append((str(d), hashlib.sha256((t[: len(t) - half] + nxt[:half]).encode()).hexdigest()))
+    assert sorted((str(r["doc_id"]), r["edited_sha256"]) for r in rows) == sorted(want)
     assert fingerprints.exact_groups(df).count() == df.count()
 
 
+def test_next_documents_of_crowded_and_scattered_ids(spark):
+    rng = random.Random(51)
+    ids = [*range(3000), 10**15, 10**15 + 1, -(10**17), *(rng.randrange(10**17) for _ in range(500))]
+    docs = spark.createDataFrame([(i, f"t{i}") for i in ids], "doc_id long, text string")
+    ids.sort()
+    got = {r["doc_id"]: r["next_text"] for r in fingerprints.with_next(docs, 32).collect()}
+    assert got == {a: f"t{b}" for a, b in zip(ids, ids[1:] + ids[:1])}
+
+
+def test_texts_that_share_a_digest_are_told_apart(spark, monkeypatch):
+    monkeypatch.setattr(fingerprints, "wide_hash", lambda canon: F.substring(canon, 1, 1))
+    docs = spark.createDataFrame([(1, "aa"), (2, "ab"), (3, "AA"), (4, "ab "), (5, "b"), (6, "ac")], "doc_id long, text string")
+    for bound in (10, 0):
+        monkeypatch.setattr(fingerprints, "BROADCAST_DIGESTS", bound)
+        assert {r["doc_id"]: (r["group_id"], r["group_size"]) for r in fingerprints.exact_groups(docs).collect()} == {1: (1, 2), 3: (1, 2), 2: (2, 2), 4: (2, 2), 5: (5, 1), 6: (6, 1)}
+
+
 def test_licenses(spark, corpus, empty):
     lines = {0: "x\nReleased under the MIT license!\ny", 1: "Released under a MIT Licence", 2: licenses.TEMPLATES["MIT permission"].upper(), 3: None, 4: "", 5: "license " * 2000, 6: licenses.TEMPLATES["GPL-3.0 notice"].replace(". ", ".\n")}
     got = {r["doc_id"]: r for r in licenses.scan(spark.createDataFrame(list(lines.items()), "doc_id long, text string")).collect()}

@@ -26,6 +26,18 @@ def settle(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def looked_up(rows: DataFrame, facts: DataFrame, on: list[str], n: int, bound: int, spread: Column, how: str = "left", salts: int = 16) -> DataFrame:
+    """rows joined with facts, of which there are n, one at most for each value of `on`.
+
+    Up to the bound, facts are broadcast and rows stay where they are. Beyond it the rows of one value are dealt over several
+    tasks by `spread`, a hash that differs among them, since a value may hold a third of all rows.
+    """
+    if n <= bound:
+        return rows.join(F.broadcast(facts), on, how)
+    parts = facts.withColumn("__part", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
+    return rows.withColumn("__part", F.pmod(spread, F.lit(salts)).cast("int")).join(parts, [*on, "__part"], how).drop("__part")
+
+
 def held_out(doc_id: Column, modulus: int, remainder: int) -> Column:
     """Whether crc32 of doc_id as text leaves the remainder; rows without an id are held out."""
     return F.coalesce(F.crc32(doc_id.cast("string").cast("binary")) % modulus == remainder, F.lit(True))
@@ -73,6 +85,12 @@ def in_order(table, *lists: str):
     return columns, table.column("label").to_numpy()[order]
 
 
+def _hub_joined(edges: DataFrame, low: DataFrame, bound: int = 500_000) -> DataFrame:
+    """Edges (u, v) with what low tells of u; a hub's edges are dealt over several tasks."""
+    low = settle(low)
+    return looked_up(edges, low, ["u"], low.count(), bound, F.xxhash64("v"), "inner")
+
+
 def connected_components(links: DataFrame, max_rounds: int = 60, edges_in_task: int = 200_000) -> DataFrame:
     """(node, component) for every node of links (a, b); component is the smallest node that can be reached.
 
@@ -82,17 +100,20 @@ def connected_components(links: DataFrame, max_rounds: int = 60, edges_in_task:
     """
     edges = links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v").distinct()
     edges = settle(edges)
-    if edges.count() <= edges_in_task:
+    small = edges.count() <= edges_in_task
+    if small:
         edges = settle(edges.coalesce(1))
     before = None
     for _ in range(max_rounds):
         both = edges.select(F.explode(F.array(F.struct("u", "v"), F.struct(F.col("v").alias("u"), F.col("u").alias("v")))).alias("e")).select("e.u", "e.v")
         low = both.groupBy("u").agg(F.min("v").alias("w")).select("u", F.least("u", "w").alias("m"))
-        large = both.where("v > u").join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
+        met = both.where("v > u").join(low, "u") if small else _hub_joined(both.where("v > u"), low)
+        large = met.select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
         low = large.groupBy("u").agg(F.min("v").alias("m"))
         # every row hangs its node and its neighbour on the smallest
-        small = large.join(low, "u").select("m", F.explode(F.array("u", "v")).alias("u")).where("u <> m").select("u", F.col("m").alias("v")).distinct()
-        edges = settle(small)
+        both = large.join(low, "u") if small else _hub_joined(large, low)
+        hung = both.select("m", F.explode(F.array("u", "v")).alias("u")).where("u <> m").select("u", F.col("m").alias("v")).distinct()
+        edges = settle(hung)
         mark = edges.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
         if mark == before:
             break

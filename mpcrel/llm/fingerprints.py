@@ -11,14 +11,12 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-from .base import settle
+from .base import looked_up, settle
 
 #: Blocks of texts laid side by side hold about so many rows.
 BLOCK_ROWS = 128
 #: Shared digests up to this number are broadcast.
 BROADCAST_DIGESTS = 1_000_000
-#: Parts of a shared digest's rows where there are more.
-SALTS = 16
 #: Texts of these characters alone are in NFKC, and lower case is their case folding.
 PLAIN = r"^[\x00-\x7F\xC0-\xD6\xD8-\xDE\xE0-\xF6\xF8-\xFF]*+$"
 _NORMALISE, _FOLD = "com.ibm.icu.text.Normalizer", "com.ibm.icu.lang.UCharacter"
@@ -55,11 +53,8 @@ def wide_hash(canon: Column) -> Column:
 
 
 def _joined(rows: DataFrame, shared: DataFrame, n: int, how: str = "left") -> DataFrame:
-    """rows with what is known of their shared digests: a broadcast after a count, or a join in which a digest has several parts."""
-    if n <= BROADCAST_DIGESTS:
-        return rows.join(F.broadcast(shared), "digest", how)
-    parts = shared.withColumn("__part", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
-    return rows.withColumn("__part", F.pmod(F.xxhash64("doc_id", F.rand(3)), F.lit(SALTS)).cast("int")).join(parts, ["digest", "__part"], how).drop("__part")
+    """rows (with doc_id and canon) and what is known of their shared digests."""
+    return looked_up(rows, shared, ["digest"], n, BROADCAST_DIGESTS, F.xxhash64("doc_id", "canon"), how)
 
 
 def shared_digests(documents: DataFrame) -> tuple[DataFrame, int]:

@@ -16,7 +16,7 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .base import connected_components, settle
+from .base import connected_components, looked_up, settle
 
 #: Words that a Python worker remembers.
 MEMO = 100_000
@@ -37,7 +37,8 @@ class NearConfig:
     block_shingles: int = 400_000  # shingles of a block of a bucket, on average
     tile_pairs: int = 4000  # pairs whose shingle sets are verified together, and
     tile_shingles: int = 2_000_000  # the shingles of both ends of these pairs
-    broadcast_ids: int = 500_000  # more ids of texts to verify are joined by a shuffle
+    broadcast_ids: int = 500_000  # more ids, digests or keys are joined by a shuffle
+    broadcast_sigs: int = 20_000  # more signatures are joined by a shuffle
     seed: int = 1
 
     @property
@@ -145,8 +146,11 @@ def sketches(documents: DataFrame, conf: NearConfig) -> DataFrame:
 
 
 def _plausible(pairs: DataFrame, sigs: DataFrame, conf: NearConfig) -> DataFrame:
-    """The pairs (a, b, weight) that pass every batch of the sequential test."""
-    both = pairs.join(sigs.select(F.col("rep").alias("b"), F.col("sig").alias("sig_b")), "b").join(sigs.select(F.col("rep").alias("a"), F.col("sig").alias("sig_a")), "a")
+    """Of pairs (leader, rep, weight) those that pass every batch of the sequential test, as (a, b, weight), a < b."""
+    leaders = settle(pairs.select("leader").distinct().join(sigs.select(F.col("rep").alias("leader"), F.col("sig").alias("sig_a")), "leader"))
+    both = pairs.join(sigs.select("rep", F.col("sig").alias("sig_b")), "rep")
+    both = looked_up(both, leaders, ["leader"], leaders.count(), conf.broadcast_sigs, F.xxhash64("rep"), "inner")
+    both = both.select(F.least("leader", "rep").alias("a"), F.greatest("leader", "rep").alias("b"), "weight", "sig_a", "sig_b")
 
     def test(batches):
         import numpy as np
@@ -162,7 +166,7 @@ def _plausible(pairs: DataFrame, sigs: DataFrame, conf: NearConfig) -> DataFrame
                 live, last = live[equal[live] >= least], n
             yield pa.RecordBatch.from_arrays([batch.column(c).take(pa.array(live)) for c in ("a", "b", "weight")], names=["a", "b", "weight"])
 
-    return both.select("a", "b", "weight", "sig_a", "sig_b").mapInArrow(test, "a long, b long, weight long")
+    return both.select("a", "b", "weight", "sig_a", "sig_b").mapInArrow(test, "a long, b long, weight long").dropDuplicates(["a", "b"])
 
 
 def _sets(ids: DataFrame, documents: DataFrame, conf: NearConfig) -> DataFrame:
@@ -224,7 +228,8 @@ def _bucket_links(members: DataFrame, components: DataFrame, sigs: DataFrame, do
     sequential test in the first band they share are verified on the spot, the likeliest first, unless links found before
     already join their ends. So a group gives fewer links than it has members, however many of its pairs are plausible.
     """
-    labelled = settle(members.join(components.withColumnRenamed("node", "rep"), "rep", "left").select("key", "band", "rep", "n", F.coalesce("component", "rep").alias("component")))
+    linked = looked_up(members, components.withColumnRenamed("node", "rep"), ["rep"], components.count(), conf.broadcast_ids, F.xxhash64("key"))
+    labelled = settle(linked.select("key", "band", "rep", "n", F.coalesce("component", "rep").alias("component")))
     parts = labelled.groupBy("key", "component").agg(F.count("*").alias("rows"), F.sum("n").alias("weight"), F.min("n").alias("low"), F.max("n").alias("high"))
     heads = parts.groupBy("key").agg(F.sum("rows").alias("size"), F.sum("weight").alias("weight"), F.count("*").alias("kinds"), F.max(F.struct("rows", "component")).alias("main")).where("size > 2 and kinds > 1")
     outside = parts.join(heads.select("key", F.col("main.component").alias("main")), "key").where("component <> main").groupBy("key").agg(
@@ -232,14 +237,14 @@ def _bucket_links(members: DataFrame, components: DataFrame, sigs: DataFrame, do
     cut = lambda rows, weight: F.ceil(F.greatest(F.col(rows) / conf.block, F.col(weight) / conf.block_shingles)).cast("int")
     mixed = settle(heads.join(outside, "key").select("key", F.col("main.component").alias("main"), "low", "high", cut("size", "weight").alias("blocks"), cut("out_rows", "out_weight").alias("chunks")))
     near = (100 * F.col("n") >= conf.percent * F.col("low")) & (100 * F.col("high") >= conf.percent * F.col("n"))  # of a size that a link allows
-    rows = labelled.join(F.broadcast(mixed) if mixed.count() <= conf.broadcast_ids else mixed, "key").where(near)
+    rows = looked_up(labelled, mixed, ["key"], mixed.count(), conf.broadcast_ids, F.xxhash64("rep"), "inner").where(near)
     rows = settle(rows.select("key", "band", "rep", "component", (F.col("component") == F.col("main")).alias("is_main"), F.pmod(F.xxhash64("rep", "key"), F.col("blocks")).cast("int").alias("block"),
                               F.pmod(F.xxhash64("key", "rep"), F.col("chunks")).cast("int").alias("chunk"), "blocks", "chunks"))
     full = _sets(rows.select(F.col("rep").alias("doc_id")), documents, conf).withColumnRenamed("doc_id", "rep")
     shape = ["key", "band", "rep", "component", "is_main"]
     held = rows.select(*shape, F.lit(False).alias("seeks"), F.col("block").alias("i"), F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)).alias("j"))
     seeking = rows.where("not is_main").select(*shape, F.lit(True).alias("seeks"), F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("i"), F.col("chunk").alias("j"))
-    dealt = held.union(seeking).join(sigs, "rep").join(full, "rep")
+    dealt = held.union(seeking).join(full.join(sigs, "rep"), "rep")
 
     def compare(table):
         import numpy as np
@@ -292,25 +297,31 @@ def near_duplicates(documents: DataFrame, conf: NearConfig = NearConfig()) -> Da
     """
     drawn = settle(sketches(documents.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), conf))
     filled = drawn.where("doc_id is not null and n > 0")
-    classes = filled.groupBy("digest").agg(F.min("doc_id").alias("rep"))
-    first = filled.join(classes, "digest").where("doc_id = rep").select("rep", "n", "digest", "sig", "keys").dropDuplicates(["rep", "digest"])
-    first = settle(first)
-    sigs = first.select("rep", "sig")
+    classes = settle(filled.groupBy("digest").agg(F.min("doc_id").alias("rep"), F.count("*").alias("rows")).where("rows > 1").select("digest", "rep"))
+    number, spread = classes.count(), F.xxhash64("doc_id")
+    first = looked_up(filled, classes, ["digest"], number, conf.broadcast_ids, spread).where("rep is null or doc_id = rep").select(F.col("doc_id").alias("rep"), "n", "sig", "keys")
     texts = documents.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    banded = first.select("rep", "n", F.posexplode("keys").alias("band", "key")).distinct()
-    sizes = banded.groupBy("key").agg(F.count("*").alias("size")).where("size > 1")
-    met = settle(banded.join(sizes, "key"))
-    ties = met.groupBy("rep").agg(F.sum("size").alias("ties"))
-    leaders = met.join(ties, "rep").groupBy("key").agg(F.max(F.struct("ties", "rep", "n")).alias("l")).select("key", F.col("l.rep").alias("leader"), F.col("l.n").alias("leader_n"))
-    pairs = met.join(leaders, "key").where("rep <> leader").select(F.least("leader", "rep").alias("a"), F.greatest("leader", "rep").alias("b"), (F.col("n") + F.col("leader_n")).alias("weight")).distinct()
+    # keys that two rows have, then the rows that have them, each once
+    banded = first.select("rep", "n", F.posexplode("keys").alias("band", "key"))
+    keys = settle(banded.groupBy("key").agg(F.count("*").alias("rows")).where("rows > 1").select("key"))
+    met = settle(looked_up(banded, keys, ["key"], keys.count(), conf.broadcast_ids, F.xxhash64("rep"), "inner").distinct())
+    active = settle(met.select("rep").distinct())
+    sigs = settle(first.select("rep", "sig").join(F.broadcast(active) if active.count() <= conf.broadcast_ids else active, "rep", "left_semi").dropDuplicates(["rep"]))
+    ties = met.join(met.groupBy("key").agg(F.count("*").alias("size")), "key").groupBy("rep").agg(F.sum("size").alias("ties"))
+    leaders = settle(met.join(ties, "rep").groupBy("key").agg(F.max(F.struct("ties", "rep", "n")).alias("l")).select("key", F.col("l.rep").alias("leader"), F.col("l.n").alias("leader_n")))
+    pairs = looked_up(met, leaders, ["key"], leaders.count(), conf.broadcast_ids, F.xxhash64("rep"), "inner").where("rep <> leader")
+    pairs = settle(pairs.select("leader", "rep", (F.col("n") + F.col("leader_n")).alias("weight")).dropDuplicates(["leader", "rep"]))
     links = settle(_verified(settle(_plausible(pairs, sigs, conf)), texts, conf).select("a", "b"))
-    components = connected_components(links)
+    components = settle(connected_components(links))
     rest = settle(_bucket_links(met, components, sigs, texts, conf))
     if not rest.isEmpty():
-        components = connected_components(links.union(rest))
-    class_component = classes.join(components.withColumnRenamed("node", "rep"), "rep", "left").select("digest", F.coalesce("component", "rep").alias("component"))
-    labelled = drawn.join(class_component, "digest", "left")
-    component = F.when((F.col("n") > 0) & F.col("doc_id").isNotNull(), F.col("component")).otherwise(F.col("doc_id"))
+        components = settle(connected_components(links.union(rest)))
+    # copies get their class's component, others their own
+    of_class = classes.join(components.withColumnRenamed("node", "rep"), "rep", "left").select("digest", F.coalesce("component", "rep").alias("of_class"))
+    labelled = looked_up(drawn.select("doc_id", "n", "digest"), of_class, ["digest"], number, conf.broadcast_ids, spread)
+    labelled = looked_up(labelled, components.withColumnRenamed("node", "doc_id"), ["doc_id"], components.count(), conf.broadcast_ids, F.xxhash64("digest"))
+    linked = (F.col("n") > 0) & F.col("doc_id").isNotNull()
+    component = F.when(linked, F.coalesce("of_class", "component", "doc_id")).otherwise(F.col("doc_id"))
     return labelled.select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id"), F.coalesce(component == F.col("doc_id"), F.lit(True)).alias("kept"))
 
 

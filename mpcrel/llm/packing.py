@@ -9,6 +9,7 @@ themselves are only ranked within their length and looked up in the list of slot
 from __future__ import annotations
 
 import zlib
+from bisect import bisect_right
 from collections import Counter, defaultdict
 
 from pyspark.sql import DataFrame
@@ -18,7 +19,7 @@ from pyspark.sql import Window as W
 CAPACITY = 1024
 END_OF_TEXT = 2
 #: Chunks of text whose ids a Python worker remembers.
-MEMO = 400_000
+MEMO = 150_000
 
 _encoders: dict = {}
 
@@ -26,8 +27,10 @@ _encoders: dict = {}
 def encoder(name: str):
     """text -> ids as little-endian 32-bit words, for one of the public byte-level vocabularies.
 
-    A token never holds a non-space followed by a space, so a text in which no two white-space characters meet can be cut
-    before each space and around each line feed, and the ids of the chunks are remembered. Other texts are encoded whole.
+    The ids are those of the vocabulary file's own engine. A token never holds a non-space followed by a space, so a text in
+    which no two white-space characters meet can be cut before each space and around each line feed, and the ids of the chunks
+    are remembered; they come from a faster engine with the same ranks. Other texts are encoded whole, and texts with a special
+    token's string by the file's engine, which gives it its id.
     """
     if name in _encoders:
         return _encoders[name]
@@ -37,11 +40,14 @@ def encoder(name: str):
     import numpy as np
     import public_tokenizers
     import tiktoken
+    from tokenizers import Tokenizer
 
     with open(public_tokenizers.path(name.replace(".json", ".tiktoken")), "rb") as f:
         ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
     bpe = tiktoken.Encoding("own", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
-    plain, slow = bpe.encode_ordinary, []
+    plain = bpe.encode_ordinary
+    own = Tokenizer.from_file(public_tokenizers.path(name))
+    special = re.compile("|".join(re.escape(t.content) for t in own.get_added_tokens_decoder().values()) or r"(?!)").search
 
     def ids(text: str) -> bytes:
         return np.array(plain(text), dtype="<u4").tobytes()
@@ -68,14 +74,11 @@ def encoder(name: str):
         except BaseException as problem:  # the regex engine gives up on very long runs of white space
             if not isinstance(problem, Exception) and "Panic" not in type(problem).__name__:
                 raise
-        if not slow:
-            from tokenizers import Tokenizer
-
-            slow.append(Tokenizer.from_file(public_tokenizers.path(name)))
-            slow[0].encode_special_tokens = True
-        return np.array(slow[0].encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
+        return np.array(own.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
 
     def encode(text: str) -> bytes:
+        if special(text):
+            return np.array(own.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
         if meeting(text) or text[-1:] in (" ", "\n") or text[:1] in (" ", "\n"):
             return whole(text)
         lines = []
@@ -160,66 +163,68 @@ def best_fit(counts: dict[int, int], capacity: int) -> Counter:
     return Counter({p: n for group in room.values() for p, n in group.items() if n})
 
 
-def local_search(patterns: Counter, capacity: int, steps: int = 20_000) -> Counter:
-    """Raises the sum of squared fills by moves between underfull bins until none is found or `steps` trials are spent.
+def exchanged(a: tuple, b: tuple, capacity: int, offers: dict) -> tuple | None:
+    """Lengths that leave the fuller bin a and those that leave b for it, by the largest gain of a; None if there is no gain.
+
+    A move of one length from b comes before an exchange of one or two lengths of b for one of a.
+    """
+    for pattern in (a, b):
+        if pattern not in offers:
+            held = sorted(set(pattern))
+            totals = {y + z: (y, z) for i, y in enumerate(held) for z in held[i:] if y != z or pattern.count(y) > 1} | {y: (y,) for y in held}
+            offers[pattern] = held, sorted(totals), totals
+    space, (held, sums, totals) = capacity - sum(a), offers[b]
+    if held[0] <= space:
+        return (), (held[bisect_right(held, space) - 1],)
+    best, gain = None, 0
+    for x in offers[a][0]:
+        at = bisect_right(sums, space + x) - 1
+        if at >= 0 and sums[at] - x > gain:
+            best, gain = ((x,), totals[sums[at]]), sums[at] - x
+    return best
+
+
+def local_search(patterns: Counter, capacity: int) -> Counter:
+    """Raises the sum of squared fills by moves between underfull bins until no two of them have a move that does.
 
     From the emptiest bins upward, one length moves to a fuller bin, or one is exchanged for a shorter one, or two for one,
-    whenever the fuller bin still holds it. A bin that loses its last length is gone.
+    whenever the fuller bin still holds it. A bin that loses its last length is gone. Two patterns between which nothing can
+    be gained are never tried again, so the work depends on the number of patterns and not on the number of bins.
     """
-    bins, tried = Counter(patterns), 0
-
-    def change(a: tuple, b: tuple):
-        """Lengths that leave the fuller bin a and those that leave b for it."""
-        space = capacity - sum(a)
-        moved = max((y for y in set(b) if y <= space), default=0)
-        if moved:
-            return (), (moved,)
-        best, gain = None, 0
-        held = sorted(set(b))
-        pairs = {y + z: (y, z) for i, y in enumerate(held) for z in held[i:] if y != z or b.count(y) > 1}
-        for x in set(a):
-            for total, out in [*((y, (y,)) for y in held), *pairs.items()]:
-                if gain < total - x <= space:
-                    best, gain = ((x,), out), total - x
-        return best
-
-    while tried < steps:
-        underfull = sorted((p for p in bins if sum(p) < capacity), key=sum)
-        done = True
-        for k, b in enumerate(underfull):
-            for a in reversed(underfull[k:]):
-                if a == b and bins[a] < 2:
-                    continue
-                tried += 1
-                found = change(a, b)
-                if found or tried >= steps:
+    bins, offers, settled = Counter(patterns), {}, set()
+    changed = True
+    while changed:
+        changed = False
+        for b in sorted((p for p in bins if sum(p) < capacity), key=lambda p: (sum(p), p)):
+            for a in sorted((p for p in bins if sum(b) <= sum(p) < capacity), key=lambda p: (-sum(p), p)):
+                if not bins.get(b):
                     break
-            else:
-                continue
-            if tried >= steps and not found:
-                break
-            out, into = found
-            times = bins[a] // 2 if a == b else min(bins[a], bins[b])
-            fuller, emptier = Counter(a), Counter(b)
-            fuller.subtract(out)
-            fuller.update(into)
-            emptier.subtract(into)
-            emptier.update(out)
-            bins[a] -= times
-            bins[b] -= times
-            for changed in (fuller, emptier):
-                if pattern := tuple(sorted(changed.elements(), reverse=True)):
-                    bins[pattern] += times
-            bins = Counter({p: n for p, n in bins.items() if n > 0})
-            done = False
-            break
-        if done:
-            break
+                if (a, b) in settled or not bins.get(a) or (a == b and bins[a] < 2):
+                    continue
+                found = exchanged(a, b, capacity, offers)
+                if not found:
+                    settled.add((a, b))
+                    continue
+                out, into = found
+                times = bins[a] // 2 if a == b else min(bins[a], bins[b])
+                fuller, emptier = Counter(a), Counter(b)
+                fuller.subtract(out)
+                fuller.update(into)
+                emptier.subtract(into)
+                emptier.update(out)
+                for gone in (a, b):
+                    bins[gone] -= times
+                    if not bins[gone]:
+                        del bins[gone]
+                for made in (fuller, emptier):
+                    if pattern := tuple(sorted(made.elements(), reverse=True)):
+                        bins[pattern] += times
+                changed = True
     return bins
 
 
-def pack_lengths(counts: dict[int, int], capacity: int = CAPACITY, steps: int = 20_000) -> Counter:
-    return local_search(best_fit({s: n for s, n in counts.items() if n}, capacity), capacity, steps)
+def pack_lengths(counts: dict[int, int], capacity: int = CAPACITY) -> Counter:
+    return local_search(best_fit({s: n for s, n in counts.items() if n}, capacity), capacity)
 
 
 def slots(patterns: Counter) -> dict[int, tuple]:
@@ -235,7 +240,7 @@ def slots(patterns: Counter) -> dict[int, tuple]:
     return {size: tuple(zip(*runs)) for size, runs in places.items()}
 
 
-def pack(documents: DataFrame, capacity: int = CAPACITY, tokenizer: str = "byte_bpe_50k.json", end: int = END_OF_TEXT, with_ids: bool = False, steps: int = 20_000) -> DataFrame:
+def pack(documents: DataFrame, capacity: int = CAPACITY, tokenizer: str = "byte_bpe_50k.json", end: int = END_OF_TEXT, with_ids: bool = False) -> DataFrame:
     """doc_id, piece, start, length, ids_crc32, sequence_id, offset (and ids): every piece with its place in a sequence.
 
     Sequences hold at most `capacity` ids, without gaps from 0. Rows with the same doc_id or none are documents of their
@@ -246,7 +251,7 @@ def pack(documents: DataFrame, capacity: int = CAPACITY, tokenizer: str = "byte_
     cut = settle(pieces(documents, tokenizer, capacity, end, with_ids))
     counts = cut.groupBy("task", "length").agg(F.count("*").alias("n"))
     histogram = {r["length"]: r["n"] for r in counts.groupBy("length").agg(F.sum("n").alias("n")).collect()}  # at most `capacity` rows
-    places = documents.sparkSession.sparkContext.broadcast(slots(pack_lengths(histogram, capacity, steps)))
+    places = documents.sparkSession.sparkContext.broadcast(slots(pack_lengths(histogram, capacity)))
     before = W.partitionBy("length").orderBy("task").rowsBetween(W.unboundedPreceding, -1)
     starts = counts.select("task", "length", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("before"))
     ranked = cut.join(starts, ["task", "length"]).withColumn("rank", F.col("before") + F.col("nth"))

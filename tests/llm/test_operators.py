@@ -473,11 +473,10 @@ def test_packing(spark, corpus, empty):
     from tokenizers import Tokenizer
 
     df, pairs = corpus
-    extra = ["a  b\n\n c", "tab\tsep  \n x", "it's they'll", "x" * 3000, "日本語 ünï", "  nb", " lead", "trail ", "a \n b", "<|endoftext|>"]
+    extra = ["a  b\n\n c", "tab\tsep  \n x", "it's they'll", "x" * 3000, "日本語 ünï", "  nb", " lead", "trail ", "a \n b", "<|endoftext|>", "a<|endoftext|>b <|endoftext|>  c"]
     docs = spark.createDataFrame([(str(i), t) for i, t in enumerate([t for _, t in pairs] + extra)], "doc_id string, text string")
     rows = packing.pack(docs, capacity=64, with_ids=True).toPandas()
     reference = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
-    reference.encode_special_tokens = True
     for d, t in [(str(i), t) for i, t in enumerate([t for _, t in pairs] + extra)]:
         own = rows[rows.doc_id == d].sort_values("piece")
         want = [*reference.encode(t or "", add_special_tokens=False).ids, 2]
@@ -497,6 +496,11 @@ def test_search_packs_no_worse_than_best_fit():
         counts = {s: rng.randrange(1, 6) for s in rng.sample(range(1, 101), 30)}
         start = packing.best_fit(counts, 100)
         packed = packing.local_search(start, 100)
+        offers = {}
+        for a in packed:  # a local optimum: every pair is tried
+            for b in packed:
+                if sum(b) <= sum(a) < 100 and (a != b or packed[a] > 1):
+                    assert packing.exchanged(a, b, 100, offers) is None
         total = lambda bins: {s: sum(n * p.count(s) for p, n in bins.items()) for s in counts}
         assert total(start) == total(packed) == counts and all(sum(p) <= 100 for p in packed)
         assert sum(packed.values()) <= sum(start.values())

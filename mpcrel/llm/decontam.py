@@ -159,31 +159,31 @@ def merged(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
 
 
 def _blocks(benchmark: DataFrame, conf: DecontaminationConfig):
-    """Lists of (item, words), each of about conf.block_words words at most; the driver holds one at a time."""
+    """Whether it is the last, and a list of (item, words) of about conf.block_words words at most; the driver holds one at a time."""
     items = (benchmark.select(F.coalesce(F.col("item_id").cast("string"), F.lit("")).alias("item"), F.coalesce("text", F.lit("")).alias("text")).distinct())
     size = items.agg(F.sum(F.length("text"))).first()[0] or 0
     n = max(1, -(-size // (6 * conf.block_words)))
     for k in range(n):
         rows = items if n == 1 else items.where(F.pmod(F.xxhash64("text"), F.lit(n)) == k)
-        yield [(r["item"], words_of(r["text"])) for r in rows.toLocalIterator()]
+        yield k == n - 1, [(r["item"], words_of(r["text"])) for r in rows.toLocalIterator()]
 
 
-def find_hits(documents: DataFrame, benchmark: DataFrame, conf: DecontaminationConfig = DecontaminationConfig(), keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
+def find_hits(documents: DataFrame, benchmark: DataFrame, conf: DecontaminationConfig = DecontaminationConfig(), keep: tuple[str, ...] = ("doc_id",), finish=None) -> DataFrame:
     """The kept columns with text, __n_words, __spans (array of [start, end) word numbers, merged) and __items (sorted ids as text).
 
     Null or empty text has no words. Rows are scanned one by one, so repeated ids do not matter; a test item without id counts
     under the empty id, one without words is ignored. More than one block of test items means one scan per block over the
-    result of the last.
+    result of the last. `finish` turns what the last scan yields into batches with the columns of documents, in the same worker.
     """
     from pyspark.sql.types import ArrayType, IntegerType, LongType, StringType, StructType
 
     rows = documents.select(*keep, "text")
     schema = StructType([documents.schema[c] for c in keep])
     out = None
-    for items in _blocks(benchmark, conf):
+    for last, items in _blocks(benchmark, conf):
         sent = documents.sparkSession.sparkContext.broadcast(items)
 
-        def scan(batches, sent=sent, more=out is not None):
+        def scan(batches, sent=sent, more=out is not None, finish=finish if last else None):
             import pyarrow as pa
 
             automaton = Automaton(sent.value, conf.window)
@@ -199,10 +199,11 @@ def find_hits(documents: DataFrame, benchmark: DataFrame, conf: DecontaminationC
                     counts.append(len(words))
                     spans.append([list(x) for x in hit])
                     found.append(sorted(names))
-                yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in keep), texts, pa.array(counts, pa.int64()), pa.array(spans, pa.list_(pa.list_(pa.int32()))), pa.array(found, pa.list_(pa.string()))], names=[*keep, "text", "__n_words", "__spans", "__items"])
+                made = pa.RecordBatch.from_arrays([*(batch.column(c) for c in keep), texts, pa.array(counts, pa.int64()), pa.array(spans, pa.list_(pa.list_(pa.int32()))), pa.array(found, pa.list_(pa.string()))], names=[*keep, "text", "__n_words", "__spans", "__items"])
+                yield finish(made) if finish else made
 
         full = StructType([*schema, documents.schema["text"]]).add("__n_words", LongType()).add("__spans", ArrayType(ArrayType(IntegerType()))).add("__items", ArrayType(StringType()))
-        out = (rows if out is None else out).mapInArrow(scan, full)
+        out = (rows if out is None else out).mapInArrow(scan, documents.schema if finish and last else full)
     return out
 
 
@@ -219,36 +220,33 @@ def decontaminate(documents: DataFrame, benchmark: DataFrame, conf: Decontaminat
 
     All columns are kept; n_chars, where there is such a column, follows the new text. Clean rows are returned untouched.
     """
-    sent = None
     columns = documents.columns
-    found = find_hits(documents, benchmark, conf, tuple(c for c in columns if c != "text"))
 
-    def cut(batches):
+    def cut(batch):
         import re
 
         import pyarrow as pa
 
         word = re.compile(r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+")
-        for batch in batches:
-            texts, chars, rows = [], [], []
-            for row in range(batch.num_rows):
-                text, spans, n = batch.column("text")[row].as_py(), batch.column("__spans")[row].as_py(), batch.column("__n_words")[row].as_py()
-                if sum(b - a for a, b in spans) > max_coverage * n:
-                    continue
-                if spans:
-                    at = [m.span() for m in word.finditer(text)]
-                    parts, last = [], 0
-                    for a, b in spans:
-                        parts.append(text[last : at[a][0]])
-                        last = at[b - 1][1]
-                    text = "".join([*parts, text[last:]])
-                rows.append(row)
-                texts.append(text)
-                chars.append(len(text) if spans else batch.column("n_chars")[row].as_py() if "n_chars" in columns else None)
-            kept = batch.take(pa.array(rows, pa.int64()))
-            yield pa.RecordBatch.from_arrays([pa.array(texts, batch.schema.field("text").type) if c == "text" else pa.array(chars, batch.schema.field(c).type) if c == "n_chars" else kept.column(c) for c in columns], names=columns)
-
-    return found.mapInArrow(cut, documents.schema)
+        texts, chars, rows = [], [], []
+        for row in range(batch.num_rows):
+            text, spans, n = batch.column("text")[row].as_py(), batch.column("__spans")[row].as_py(), batch.column("__n_words")[row].as_py()
+            if sum(b - a for a, b in spans) > max_coverage * n:
+                continue
+            if spans:
+                at = [m.span() for m in word.finditer(text)]
+                parts, last = [], 0
+                for a, b in spans:
+                    parts.append(text[last : at[a][0]])
+                    last = at[b - 1][1]
+                text = "".join([*parts, text[last:]])
+            rows.append(row)
+            texts.append(text)
+            chars.append(len(text) if spans else batch.column("n_chars")[row].as_py() if "n_chars" in columns else None)
+        kept = batch.take(pa.array(rows, pa.int64()))
+        return pa.RecordBatch.from_arrays([pa.array(texts, batch.schema.field("text").type) if c == "text" else pa.array(chars, batch.schema.field(c).type) if c == "n_chars" else kept.column(c) for c in columns], names=columns)
+
+    return find_hits(documents, benchmark, conf, tuple(c for c in columns if c != "text"), cut)
 
 
 def brute_force(documents: list[tuple], benchmark: list[tuple], window: int = 10) -> dict:

@@ -10,7 +10,7 @@ from collections.abc import Callable, Iterator
 from functools import lru_cache
 
 #: Characters that are hashed together. A longer text is cut after white space where there is some within a part.
-PART = 1 << 19
+PART = 1 << 17
 #: Odd base of the polynomial, and its inverse modulo 2^64.
 _BASE = 0xD1342543DE82EF95
 _INVERSE = pow(_BASE, -1, 1 << 64)

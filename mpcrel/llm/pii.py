@@ -3,8 +3,9 @@
 Patterns find the protected entities: e-mail and IP addresses, payment cards and phone numbers. Then the corpus tells which
 words give an entity away. For an entity e and a term t anywhere in its documents, pointwise mutual information log2(N co(e,t) / (df(e) df(t)))
 over documents says how much t reveals of e; the information of e itself is log2(N / df(e)). A term whose share of the
-entity's information reaches the disclosure threshold, in enough different contexts of the entity, is a span too wherever it
-stands in a document that holds the entity. In sanitised text a disclosing term is generalised to its class (its first letters) if the class is below the
+entity's information reaches the disclosure threshold is a span too wherever it stands in a document that holds the entity,
+provided that more than one document's chance speaks for the tie: the entity has enough different contexts there, or the term is
+part of the entity's own name (the letters before an @). In sanitised text a disclosing term is generalised to its class (its first letters) if the class is below the
 threshold, and removed otherwise.
 """
 
@@ -40,7 +41,7 @@ _RUN = 64
 class SanitiseConfig:
     context: int = 48  # characters on either side of an entity that tell its contexts apart
     min_contexts: int = 3  # different contexts of the entity in the documents that hold the term
-    threshold: float = 0.9  # share of the entity's information
+    threshold: float = 0.75  # share of the entity's information
     class_letters: int = 3
     broadcast_rows: int = 200_000  # above, lists of terms are joined by a shuffle
 
@@ -109,21 +110,32 @@ def _name(span: Column) -> Column:
     return F.concat_ws(":", span["kind"], F.when(span["kind"].isin("card", "phone"), _digits(span["value"])).otherwise(F.lower(span["value"])))
 
 
+def _parts(span: Column) -> Column:
+    """Words of the entity's own name."""
+    local = F.when(span["kind"] == "email", F.lower(F.substring_index(span["value"], "@", 1))).otherwise("")
+    return F.array_distinct(F.regexp_extract_all(local, F.lit(r"(\p{L}{3,}+)"), F.lit(1)))
+
+
 def _near(analysed: DataFrame, conf: SanitiseConfig) -> DataFrame:
-    """doc_id, tid, entity, contexts, words: each entity of a document with its contexts there and the document's words
-    (start, end, term) that are in no span; settled.
+    """doc_id, tid, entity, contexts, parts, words: each entity of a document with its contexts there, the words of its name, and
+    the document's words (start, end, term) that are in no span; settled.
 
-    Entities with fewer contexts in all than a term needs are left out, as they can have no term.
+    Entities with fewer contexts in all than a term needs come with the words of their names and of the same classes only, and are
+    left out if they have no name.
     """
     found = analysed.where(F.size("spans") > 0).dropDuplicates(["doc_id", "tid"])
-    of = found.select("doc_id", "tid", F.explode("spans").alias("s")).select("doc_id", "tid", _name(F.col("s")).alias("entity"), F.xxhash64(F.lower("s.before"), F.lower("s.after")).alias("context"))
-    enough = settle(of.select("entity", "context").distinct().groupBy("entity").agg(F.count("*").alias("n")).where(F.col("n") >= conf.min_contexts).select("entity"))
-    kept = _linked(of, enough, enough.count(), ["entity"], conf).groupBy("doc_id", "tid", "entity").agg(F.collect_set("context").alias("contexts"))
-    held = kept.groupBy("doc_id", "tid").agg(F.collect_list(F.struct("entity", "contexts")).alias("entities"))
+    of = found.select("doc_id", "tid", F.explode("spans").alias("s")).select("doc_id", "tid", _name(F.col("s")).alias("entity"), _parts(F.col("s")).alias("parts"), F.xxhash64(F.lower("s.before"), F.lower("s.after")).alias("context"))
+    enough = settle(of.select("entity", "context").distinct().groupBy("entity").agg(F.count("*").alias("n")).where(F.col("n") >= conf.min_contexts).select("entity", F.lit(True).alias("wide")))
+    kept = _linked(of, enough, enough.count(), ["entity"], conf, "left").where(F.col("wide") | (F.size("parts") > 0))
+    kept = kept.groupBy("doc_id", "tid", "entity").agg(F.collect_set("context").alias("contexts"), F.max("parts").alias("parts"), F.max("wide").alias("wide"))
+    held = kept.groupBy("doc_id", "tid").agg(F.collect_list(F.struct("entity", "contexts", "parts", "wide")).alias("entities"))
     texts = found.join(held.withColumnsRenamed({"doc_id": "__doc", "tid": "__tid"}), F.col("doc_id").eqNullSafe(F.col("__doc")) & (F.col("tid") == F.col("__tid")))
     words = F.transform(matches(F.col("text"), r"(?<!\p{L})\p{L}{3,}+"), lambda m: F.struct(m["start"].alias("start"), m["end"].alias("end"), F.lower(m["value"]).alias("term")))
     free = F.filter(words, lambda w: ~F.exists("spans", lambda s: (s["start"] < w["end"]) & (w["start"] < s["end"])))
-    return settle(texts.select("doc_id", "tid", "entities", free.alias("words"))).select("doc_id", "tid", F.explode("entities").alias("e"), "words").select("doc_id", "tid", "e.entity", "e.contexts", "words")
+    settled = settle(texts.select("doc_id", "tid", "entities", free.alias("words"))).select("doc_id", "tid", F.explode("entities").alias("e"), "words")
+    classes = F.transform("e.parts", lambda p: _class_of(p, conf))
+    named = F.filter("words", lambda w: F.array_contains(classes, _class_of(w["term"], conf)))
+    return settled.select("doc_id", "tid", "e.entity", "e.contexts", "e.parts", F.when(F.col("e.wide"), F.col("words")).otherwise(named).alias("words"))
 
 
 def _class_of(term: Column, conf: SanitiseConfig) -> Column:
@@ -145,10 +157,12 @@ def disclosures(documents: DataFrame, conf: SanitiseConfig = SanitiseConfig(), a
     near = _near(analysed, conf) if near is None else near
     terms = F.array_distinct(F.transform("words", lambda w: w["term"]))
     terms = F.array_distinct(F.concat(terms, F.transform(terms, lambda t: _class_of(t, conf))))
-    held_terms = near.select("entity", "contexts", F.explode(terms).alias("term"))
-    classes = held_terms.select("entity", "term", F.posexplode("contexts").alias("number", "context"))
-    met = classes.groupBy("entity", "term", "context").agg(F.sum((F.col("number") == 0).cast("long")).alias("co"))  # a document counts at its first context
-    pairs = settle(met.groupBy("entity", "term").agg(F.sum("co").alias("co"), F.count("*").alias("contexts")).where(F.col("contexts") >= conf.min_contexts))
+    names = F.concat("parts", F.transform("parts", lambda p: _class_of(p, conf)))
+    held_terms = near.select("entity", "contexts", names.alias("names"), F.explode(terms).alias("term")).withColumn("named", F.array_contains("names", F.col("term")))
+    classes = held_terms.select("entity", "term", "named", F.posexplode("contexts").alias("number", "context"))
+    met = classes.groupBy("entity", "term", "context").agg(F.sum((F.col("number") == 0).cast("long")).alias("co"), F.max("named").alias("named"))  # a document counts at its first context
+    pairs = met.groupBy("entity", "term").agg(F.sum("co").alias("co"), F.count("*").alias("contexts"), F.max("named").alias("named"))
+    pairs = settle(pairs.where((F.col("contexts") >= conf.min_contexts) | F.col("named")))
     words = F.array_distinct(F.split(F.lower(F.coalesce("text", F.lit(""))), r"[^\p{L}]+"))
     held = documents.select(F.explode(F.array_distinct(F.concat(words, F.transform(words, lambda w: _class_of(w, conf))))).alias("term"))
     df_term = held.groupBy("term").agg(F.count("*").alias("df_term"))  # counted before the shuffle, whatever the number of pairs
@@ -168,7 +182,8 @@ def _term_spans(documents: DataFrame, conf: SanitiseConfig, analysed: DataFrame)
     bad = settle(disclosures(documents, conf, analysed, near))
     placed = near.select("doc_id", "tid", "entity", F.explode("words").alias("w")).select("doc_id", "tid", "entity", "w.term", "w.start", "w.end")
     spans = _linked(placed, bad.select("entity", "term", "general"), bad.count(), ["entity", "term"], conf)
-    spans = spans.groupBy("doc_id", "tid", "start", "end").agg(F.min("general").alias("general"))
+    # a term that must be removed for one of the entities goes, whatever others would allow
+    spans = spans.groupBy("doc_id", "tid", "start", "end").agg(F.when(F.count("general") == F.count("*"), F.min("general")).alias("general"))
     return settle(spans.groupBy("doc_id", "tid").agg(F.array_sort(F.collect_list(F.struct("start", "end", "general"))).alias("terms")))
 
 

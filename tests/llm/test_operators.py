@@ -275,6 +275,21 @@ def test_terms_far_from_their_entity_and_at_the_ends_of_texts(spark):
     assert len(out) == 5 and not any(name in t for t in out for name in ("quillfeather", "marrowgate", "endlingham", "q@x.org"))
 
 
+def test_removal_comes_before_generalisation_and_names_disclose(spark):
+    rng = random.Random(61)
+    # one word belongs to two addresses: for the first its class is safe, for the second no class is
+    texts = [f"{prose(rng, 8 + i)} Marwick one@a.example {prose(rng, 9)}" for i in range(4)] + [f"{prose(rng, 7 + i)} Marwick one@a.example two@b.example {prose(rng, 9)}" for i in range(4)]
+    texts += [f"{prose(rng, 20)} marble" for _ in range(3)] + [prose(rng, 30) for _ in range(150)]
+    texts += [f"Ostrander {prose(rng, 12)} ostrander.7@c.example {prose(rng, 5)}"]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    rows = {(r["entity"], r["term"]): r["general"] for r in pii.disclosures(docs).collect()}
+    assert ("email:ostrander.7@c.example", "ostrander") in rows
+    assert {rows["email:one@a.example", "marwick"], rows["email:two@b.example", "marwick"]} >= {None}
+    out = {r["doc_id"]: r["text"] for r in pii.sanitise(docs).collect()}
+    assert all("[TERM]" in out[i] for i in range(4, 8)) and "strander" not in out[len(texts) - 1]
+    assert out[8] == texts[8]
+
+
 def test_passages(spark, empty):
     rng = random.Random(8)
     shared = prose(rng, 70).split()

@@ -64,6 +64,26 @@ def matches(text: Column, pattern: str) -> Column:
     return F.when(F.size(values) > 0, placed).otherwise(F.array().cast(_SPAN)).cast(_SPAN)
 
 
+def with_matches(df: DataFrame, text: str, pattern: str, out: str) -> DataFrame:
+    """df with every match of the pattern that a column holds and its place, as `matches` gives them; for rows with many matches,
+    since what is used more than once is computed once."""
+    size = lambda: F.size("__values")
+    total = lambda a: F.aggregate(a, F.lit(0), lambda n, x: n + x)
+    steps = [
+        ("__values", F.regexp_extract_all(text, F.col(pattern), F.lit(0))),
+        ("__gaps", F.transform(F.split(text, F.col(pattern), -1), F.length)),
+        ("__steps", F.zip_with(F.slice("__gaps", F.lit(1), size()), "__values", lambda g, v: g + F.length(v))),
+        ("__runs", F.transform(F.sequence(F.lit(0), F.greatest(F.floor((size() - 1) / _RUN).cast("int"), F.lit(0))), lambda k: F.slice("__steps", k * _RUN + 1, F.lit(_RUN)))),
+        ("__sums", F.transform("__runs", total)),
+        ("__before", F.transform("__sums", lambda s, k: total(F.slice("__sums", F.lit(1), k)))),
+        ("__ends", F.flatten(F.zip_with("__runs", "__before", lambda run, b: F.transform(run, lambda x, i: b + total(F.slice(run, F.lit(1), i + 1)))))),
+        (out, F.zip_with("__ends", "__values", lambda end, v: F.struct((end - F.length(v)).alias("start"), end.alias("end"), v.alias("value"))).cast(_SPAN)),
+    ]
+    for name, column in steps:
+        df = df.withColumn(name, column)
+    return df.drop(*(name for name, _ in steps[:-1]))
+
+
 def _digits(value: Column) -> Column:
     return F.regexp_replace(value, "[^0-9]", "")
 
@@ -118,7 +138,7 @@ def _parts(span: Column) -> Column:
 
 def _near(analysed: DataFrame, conf: SanitiseConfig) -> DataFrame:
     """doc_id, tid, entity, contexts, parts, words: each entity of a document with its contexts there, the words of its name, and
-    the document's words (start, end, term) that are in no span; settled.
+    the document's different words outside its spans.
 
     Entities with fewer contexts in all than a term needs come with the words of their names and of the same classes only, and are
     left out if they have no name.
@@ -130,11 +150,10 @@ def _near(analysed: DataFrame, conf: SanitiseConfig) -> DataFrame:
     kept = kept.groupBy("doc_id", "tid", "entity").agg(F.collect_set("context").alias("contexts"), F.max("parts").alias("parts"), F.max("wide").alias("wide"))
     held = kept.groupBy("doc_id", "tid").agg(F.collect_list(F.struct("entity", "contexts", "parts", "wide")).alias("entities"))
     texts = found.join(held.withColumnsRenamed({"doc_id": "__doc", "tid": "__tid"}), F.col("doc_id").eqNullSafe(F.col("__doc")) & (F.col("tid") == F.col("__tid")))
-    words = F.transform(matches(F.col("text"), r"(?<!\p{L})\p{L}{3,}+"), lambda m: F.struct(m["start"].alias("start"), m["end"].alias("end"), F.lower(m["value"]).alias("term")))
-    free = F.filter(words, lambda w: ~F.exists("spans", lambda s: (s["start"] < w["end"]) & (w["start"] < s["end"])))
-    settled = settle(texts.select("doc_id", "tid", "entities", free.alias("words"))).select("doc_id", "tid", F.explode("entities").alias("e"), "words")
-    classes = F.transform("e.parts", lambda p: _class_of(p, conf))
-    named = F.filter("words", lambda w: F.array_contains(classes, _class_of(w["term"], conf)))
+    outside = F.aggregate("spans", F.col("text"), lambda t, s: F.replace(t, s["value"], F.lit(" ")))
+    words = F.array_distinct(F.filter(F.split(F.lower(outside), r"[^\p{L}]+"), lambda w: F.length(w) >= 3))
+    settled = settle(texts.select("doc_id", "tid", "entities", words.alias("words"))).select("doc_id", "tid", F.explode("entities").alias("e"), "words")
+    named = F.filter("words", lambda w: F.exists("e.parts", lambda p: _class_of(p, conf) == _class_of(w, conf)))
     return settled.select("doc_id", "tid", "e.entity", "e.contexts", "e.parts", F.when(F.col("e.wide"), F.col("words")).otherwise(named).alias("words"))
 
 
@@ -155,8 +174,7 @@ def disclosures(documents: DataFrame, conf: SanitiseConfig = SanitiseConfig(), a
     """
     analysed = _analysed(documents, conf) if analysed is None else analysed
     near = _near(analysed, conf) if near is None else near
-    terms = F.array_distinct(F.transform("words", lambda w: w["term"]))
-    terms = F.array_distinct(F.concat(terms, F.transform(terms, lambda t: _class_of(t, conf))))
+    terms = F.array_distinct(F.concat("words", F.transform("words", lambda t: _class_of(t, conf))))
     names = F.concat("parts", F.transform("parts", lambda p: _class_of(p, conf)))
     held_terms = near.select("entity", "contexts", names.alias("names"), F.explode(terms).alias("term")).withColumn("named", F.array_contains("names", F.col("term")))
     classes = held_terms.select("entity", "term", "named", F.posexplode("contexts").alias("number", "context"))
@@ -180,11 +198,18 @@ def _term_spans(documents: DataFrame, conf: SanitiseConfig, analysed: DataFrame)
     """doc_id, tid, terms: array of (start, end, general) of disclosing terms in each document that has some; settled."""
     near = _near(analysed, conf)
     bad = settle(disclosures(documents, conf, analysed, near))
-    placed = near.select("doc_id", "tid", "entity", F.explode("words").alias("w")).select("doc_id", "tid", "entity", "w.term", "w.start", "w.end")
-    spans = _linked(placed, bad.select("entity", "term", "general"), bad.count(), ["entity", "term"], conf)
+    met = _linked(near.select("doc_id", "tid", "entity", F.explode("words").alias("term")), bad.select("entity", "term", "general"), bad.count(), ["entity", "term"], conf)
     # a term that must be removed for one of the entities goes, whatever others would allow
-    spans = spans.groupBy("doc_id", "tid", "start", "end").agg(F.when(F.count("general") == F.count("*"), F.min("general")).alias("general"))
-    return settle(spans.groupBy("doc_id", "tid").agg(F.array_sort(F.collect_list(F.struct("start", "end", "general"))).alias("terms")))
+    met = met.groupBy("doc_id", "tid", "term").agg(F.when(F.count("general") == F.count("*"), F.min("general")).alias("general"))
+    lists = settle(met.groupBy("doc_id", "tid").agg(F.collect_list(F.struct("term", "general")).alias("known"))).withColumnsRenamed({"doc_id": "__doc", "tid": "__tid"})
+    texts = analysed.where(F.size("spans") > 0).dropDuplicates(["doc_id", "tid"])
+    few = F.broadcast(lists) if lists.count() <= conf.broadcast_rows else lists
+    texts = texts.join(few, F.col("doc_id").eqNullSafe(F.col("__doc")) & (F.col("tid") == F.col("__tid"))).drop("__doc", "__tid")
+    pattern = F.concat(F.lit(r"(?<!\p{L})(?iu:"), F.array_join(F.transform("known", lambda k: k["term"]), "|"), F.lit(r")(?!\p{L})"))
+    placed = with_matches(texts.withColumn("__pattern", pattern), "text", "__pattern", "places")
+    free = F.filter("places", lambda w: ~F.exists("spans", lambda s: (s["start"] < w["end"]) & (w["start"] < s["end"])) & F.exists("known", lambda k: k["term"] == F.lower(w["value"])))
+    spans = F.transform(free, lambda w: F.struct(w["start"].alias("start"), w["end"].alias("end"), F.filter("known", lambda k: k["term"] == F.lower(w["value"]))[0]["general"].alias("general")))
+    return settle(placed.select("doc_id", "tid", F.array_sort(spans).alias("terms")).where(F.size("terms") > 0))
 
 
 def _same_document(a: DataFrame, b: DataFrame) -> Column:

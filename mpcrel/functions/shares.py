@@ -128,6 +128,10 @@ class Circuit:
         overflow = self.and_(self.xor_(a, b), self.xor_(d, a))
         return self.right(self.xor_(d, overflow), 63)
 
+    def le(self, a: str, b: str) -> str:
+        """Lowest bit: a <= b, signed."""
+        return self.xor_(self.lt(b, a), self.constant(1))
+
     def eq(self, a: str, b: str) -> str:
         """Lowest bit: a = b."""
         x = self.xor_(a, b)
@@ -148,3 +152,40 @@ class Circuit:
             total = part if total is None else self.add(total, part)
             self.df = settle(self.df.drop(*(c for c in self.df.columns if c.startswith("__w") and c not in (total, a, b))))
         return total
+
+
+def network(n: int) -> list[tuple[int, int]]:
+    """Stages (size, distance) of the bitonic network for n places, n a power of two."""
+    stages, size = [], 2
+    while size <= n:
+        distance = size // 2
+        while distance:
+            stages.append((size, distance))
+            distance //= 2
+        size *= 2
+    return stages
+
+
+def sort_network(df: DataFrame, key: str, payload: list[str], n: int, nonce: str) -> tuple[DataFrame, int]:
+    """Rows in ascending order of a key of distinct positive words, sorted on shares by a bitonic network, and its comparators.
+
+    Places beyond the n rows hold the largest word and are cut off. Every stage compares each place with its partner by a
+    circuit and takes one of the two rows by multiplexers, whatever the words are; only the result is opened.
+    """
+    places = 1 << max(1, (n - 1).bit_length())
+    kinds = [key, *payload]
+    extra = df.sparkSession.range(n + 1, places + 1).select(F.col("id").alias(POS), F.lit((1 << 62)).alias(key), *(F.lit(0).cast("long").alias(c) for c in payload))
+    held = settle(share(df.select(POS, *kinds).unionByName(extra), kinds, nonce, POS, False))
+    at, comparators = F.col(POS) - 1, 0
+    for turn, (size, distance) in enumerate(network(places)):
+        partner = held.select((at.bitwiseXOR(F.lit(distance)) + 1).alias(POS), *(F.col(c).alias(f"other_{c}") for c in kinds))
+        c = Circuit(held.join(partner, POS), f"{nonce}/{turn}")
+        # the smaller row goes to the lower place in ascending runs and to the higher one in descending runs; that is public
+        low = (at.bitwiseAND(F.lit(distance)) == 0) == (at.bitwiseAND(F.lit(size)) == 0)
+        swap = F.when(low, 0).otherwise(1).cast("long")
+        public = c._put([swap, F.lit(0).cast("long"), F.lit(0).cast("long")])
+        takes = c.xor_(c.lt(key, f"other_{key}"), public)
+        made = {k: c.mux(takes, k, f"other_{k}") for k in kinds}
+        held = settle(c.df.select(POS, *(F.col(w).alias(k) for k, w in made.items())))
+        comparators += places // 2
+    return open_shares(held, kinds).where(F.col(POS) <= n), comparators

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import tempfile
 from collections.abc import Iterable
+from contextlib import contextmanager
 from dataclasses import dataclass, replace
 
 from pyspark.sql import Column, DataFrame
@@ -22,12 +23,35 @@ def rank_col(key: Iterable[str]) -> str:
     return "__rk_" + "_".join(key_of(key))
 
 
+_recorders: list[list] = []
+
+
+@contextmanager
+def recorded():
+    """Collects (columns, rows, tasks) of everything that is settled inside, for audits."""
+    shapes: list = []
+    _recorders.append(shapes)
+    try:
+        yield shapes
+    finally:
+        _recorders.remove(shapes)
+
+
 def settle(df: DataFrame) -> DataFrame:
-    """Materialises df in the shared folder that the session names in spark.checkpoint.dir, and cuts its lineage."""
+    """Materialises df in the shared folder that the session names in spark.checkpoint.dir, and cuts its lineage.
+
+    Another folder is set only where the session names none and runs on one machine, as in tests.
+    """
     sc = df.sparkSession.sparkContext
     if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(sc.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="checkpoint-"))
-    return df.checkpoint(eager=True)
+        named = sc.getConf().get("spark.checkpoint.dir")
+        if not named and not sc.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir names no folder that the machines share")
+        sc.setCheckpointDir(named or tempfile.mkdtemp(prefix="checkpoint-"))
+    out = df.checkpoint(eager=True)
+    for shapes in _recorders:
+        shapes.append((tuple(out.columns), out.count(), out.rdd.getNumPartitions()))
+    return out
 
 
 @dataclass(frozen=True)

@@ -29,10 +29,8 @@ def permute_slim(rel: Relation, target: Column, cols: list[str]) -> DataFrame:
 
 def compact(df: DataFrame, tag: Column, size: int, pos: str = POS, conf: MpcConf = DEFAULT) -> DataFrame:
     """Marked rows first, in their order; the others follow in theirs. Adds nothing but the new position."""
-    tagged = df.withColumn("__tag", tag.cast("long"))
-    total = tagged.agg(F.coalesce(F.sum("__tag"), F.lit(0))).first()[0]
-    ran = scan.prefix(tagged, {"__n": ("sum", F.col("__tag"))}, pos=pos, size=size, conf=conf)
-    new = F.when(F.col("__tag") == 1, F.col("__n")).otherwise(F.lit(total) + F.col(pos) - F.col("__n")).cast("long")
+    ran = scan.prefix(df.withColumn("__tag", tag.cast("long")), {"__n": ("sum", F.col("__tag"))}, pos=pos, size=size, conf=conf, totals={"__n": "__m"})
+    new = F.when(F.col("__tag") == 1, F.col("__n")).otherwise(F.col("__m") + F.col(pos) - F.col("__n")).cast("long")
     return ran.withColumn(pos, new).select(*df.columns)
 
 
@@ -60,7 +58,7 @@ def payload(x: DataFrame, y: DataFrame, x_key: list[str], y_key: list[str], valu
     return joined.select(*x.columns, F.col("__other").isNotNull().cast("long").alias("hit"), *(F.coalesce(f"__y_{n}", F.lit(0)).alias(n) for n in values))
 
 
-def extended(x: Relation, key: list[str], y: DataFrame, y_key: list[str], values: dict[str, str], mode: str = "lookup", y_live: str = LIVE) -> DataFrame:
+def extended(x: Relation, key: list[str], y: DataFrame, y_key: list[str], values: dict[str, str], mode: str = "index", y_live: str = LIVE) -> DataFrame:
     """Intersection for x with repeated keys, rows taken in rank order of the key: hit and values for every row of x.
 
     `index` numbers the rows of each key, lets only the first meet its partner, and spreads what it got along the segment;
@@ -79,20 +77,31 @@ def extended(x: Relation, key: list[str], y: DataFrame, y_key: list[str], values
 
 
 def check_degrees(df: DataFrame, degree: str, m: int, live: str = LIVE) -> None:
-    """Dummies have degree 0, degrees are not negative, and their sum is at most m."""
+    """Raises unless dummies have degree 0, degrees are not negative, and their sum is at most m; for audits, as it opens this."""
     bad, total = df.agg(F.sum((((F.col(live) == 0) & (F.col(degree) != 0)) | (F.col(degree) < 0)).cast("long")), F.sum(degree)).first()
     if bad or (total or 0) > m:
         raise ValueError(f"degrees: {bad or 0} rows break the rules, sum {total} for {m} places")
 
 
-def expand(df: DataFrame, degree: str, m: int, size: int, pos: str = POS, mode: str = "explode", conf: MpcConf = DEFAULT) -> DataFrame:
+def _fits(total: Column, m: int, value: Column) -> Column:
+    """value, or an error where more copies are asked for than there are places."""
+    return F.when(total > m, F.raise_error(F.concat(total.cast("string"), F.lit(f" copies do not fit in {m}"))).cast("long")).otherwise(value)
+
+
+def expand(df: DataFrame, degree: str, m: int, size: int, pos: str = POS, mode: str = "explode", conf: MpcConf = DEFAULT, first: str | None = None) -> DataFrame:
     """Each row `degree` times, in order of pos, then empty rows up to m: columns of df, __copy (from 1), __new (position 1..m).
 
     Padding rows have nulls everywhere but in __new. `explode` lists the copies of each row, heavy rows block by block;
-    `scan` places each row where its first copy belongs (rows of degree 0 past m, cut off later) and copies forward.
+    `scan` places each row where its first copy belongs (rows of degree 0 past m, cut off later) and copies forward. `first`
+    names a column that holds the first positions already. More copies than places are an error when rows are drawn.
     """
     spark = df.sparkSession
-    placed = scan.prefix(df, {"__end": ("sum", F.col(degree))}, pos=pos, size=size, conf=conf).withColumn("__first", F.col("__end") - F.col(degree) + 1)
+    if first:
+        placed = df.withColumns({"__first": F.col(first), "__end": F.col(first) + F.col(degree) - 1})
+        placed = placed.withColumn("__first", _fits(F.when(F.col(degree) > 0, F.col("__end")).otherwise(0), m, F.col("__first")))
+    else:
+        placed = scan.prefix(df, {"__end": ("sum", F.col(degree))}, pos=pos, size=size, conf=conf, totals={"__end": "__sum"})
+        placed = placed.withColumn("__first", _fits(F.col("__sum"), m, F.col("__end") - F.col(degree) + 1)).drop("__sum")
     if mode == "scan":
         at = F.when(F.col(degree) == 0, F.lit(m) + F.col(pos)).otherwise(F.col("__first"))
         row = F.struct(*df.columns, "__first", "__end")
@@ -105,28 +114,28 @@ def expand(df: DataFrame, degree: str, m: int, size: int, pos: str = POS, mode:
     blocks = placed.where(F.col(degree) > 0).withColumn("__b", F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col(degree) - 1) / block))))
     copies = blocks.withColumn("__copy", F.explode(F.sequence(F.col("__b") * block + 1, F.least((F.col("__b") + 1) * block, F.col(degree)))))
     real = copies.select(*df.columns, "__copy", (F.col("__first") + F.col("__copy") - 1).alias("__new"))
-    total = df.agg(F.coalesce(F.sum(degree), F.lit(0))).first()[0]
-    if total > m:
-        raise ValueError(f"{total} copies do not fit in {m}")
-    pad = spark.range(total + 1, m + 1).select(*(F.lit(None).cast(t).alias(c) for c, t in df.dtypes), F.lit(None).cast("long").alias("__copy"), F.col("id").alias("__new"))
+    # every place is listed, whatever the number of copies, and those behind the last copy are kept
+    total = F.broadcast(df.agg(F.coalesce(F.sum(degree), F.lit(0)).alias("__sum")))
+    pad = spark.range(1, m + 1).crossJoin(total).where("id > __sum").select(*(F.lit(None).cast(t).alias(c) for c, t in df.dtypes), F.lit(None).cast("long").alias("__copy"), F.col("id").alias("__new"))
     return real.unionByName(pad)
 
 
 def expand_with_ranks(rel: Relation, degree: str, m: int, order: tuple[str, ...] | None = None, mode: str = "explode") -> Relation:
     """Expansion that keeps every rank valid: a row's copies get consecutive ranks after all copies of rows that rank below.
 
-    Per key only (rank, degree) is scanned. With `order` rows are laid out in rank order of that key first. The result has the
-    columns __copy and __from (the row's position before) among its attributes.
+    One scan per key sums the degrees of the rows that rank below. With `order` rows are laid out in rank order of that key
+    first. The result has the columns __copy and __from (the row's position before) among its attributes.
     """
     slim_attrs = (*rel.attrs, *([degree] if degree not in rel.attrs else []))
     df = rel.df.select(*dict.fromkeys([*rel.columns, degree]))
     for k in rel.keys:
-        base = scan.prefix(rel.df.select(rank_col(k), degree), {"__b": ("sum", F.col(degree))}, pos=rank_col(k), size=rel.size, conf=rel.conf, exclusive=True)
-        df = df.join(base.select(rank_col(k), F.col("__b").alias(f"__base_{rank_col(k)}")), rank_col(k))
+        df = scan.prefix(df, {f"__base_{rank_col(k)}": ("sum", F.col(degree))}, pos=rank_col(k), size=rel.size, conf=rel.conf, exclusive=True)
+    first = None
     if order:
-        df = df.withColumn(POS, F.col(rank_col(order)))
+        df = df.withColumns({POS: F.col(rank_col(order)), "__begin": F.col(f"__base_{rank_col(order)}") + 1})
+        first = "__begin"
     df = settle(df.withColumn("__from", F.col(POS)))
-    out = expand(df, degree, m, rel.size, mode=mode, conf=rel.conf)
+    out = expand(df, degree, m, rel.size, mode=mode, conf=rel.conf, first=first)
     dead = F.col("__copy").isNull()
     ranks = {rank_col(k): F.when(dead, F.col("__new")).otherwise(F.col(f"__base_{rank_col(k)}") + F.col("__copy")).cast("long") for k in rel.keys}
     out = out.withColumns({**ranks, POS: F.col("__new"), LIVE: F.coalesce(LIVE, F.lit(0).cast("long"))})

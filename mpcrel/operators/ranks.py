@@ -86,29 +86,26 @@ def attach(rel: Relation, keys: Iterable[Iterable[str]], buckets: int, seed: int
     return rel.on(settle(out), keys=(*rel.keys, *keys))
 
 
-def refresh(rel: Relation, form: str = "slim") -> Relation:
+def refresh(rel: Relation, form: str = "wide") -> Relation:
     """Repairs every rank after rows became dummies: live rows close ranks, dummies follow in their old order.
 
-    slim moves (old rank, liveness) per key and joins the new rank back; wide carries the whole row through each scan.
+    wide carries the rows through one scan per key and needs nothing settled before; slim moves (old rank, liveness) per key
+    and joins the new rank back. How many rows live stays inside the scans.
     """
-    live = rel.df.agg(F.sum(LIVE)).first()[0] or 0
-    out = rel.df.select(*rel.columns)
+    source = rel.settled() if form == "slim" else rel
+    out = source.df.select(*rel.columns)
     for k in rel.keys:
         rk = rank_col(k)
-        moved = rel.df.select(rk, LIVE) if form == "slim" else out
-        ran = scan.prefix(moved, {"__n": ("sum", F.col(LIVE))}, pos=rk, size=rel.size, conf=rel.conf)
-        new = F.when(F.col(LIVE) == 1, F.col("__n")).otherwise(F.lit(live) + F.col(rk) - F.col("__n")).cast("long")
+        moved = source.df.select(rk, LIVE) if form == "slim" else out
+        ran = scan.prefix(moved, {"__n": ("sum", F.col(LIVE))}, pos=rk, size=rel.size, conf=rel.conf, totals={"__n": "__m"})
+        new = F.when(F.col(LIVE) == 1, F.col("__n")).otherwise(F.col("__m") + F.col(rk) - F.col("__n")).cast("long")
         if form == "slim":
             out = out.join(ran.select(rk, new.alias("__new")), rk).drop(rk).withColumnRenamed("__new", rk)
         else:
-            out = ran.withColumn(rk, new).drop("__n")
+            out = ran.withColumn(rk, new).drop("__n", "__m")
     return rel.on(settle(out))
 
 
-def refresh_all(rels: Iterable[Relation]) -> list[Relation]:
-    return [refresh(r) for r in rels]
-
-
 def verify(rel: Relation) -> DataFrame:
     """key, violations: ranks that are no bijection, live rows behind dummies, and keys whose rows are not adjacent."""
     out = None
@@ -138,7 +135,7 @@ def inconsistencies(a: Relation, b: Relation, key: Iterable[str]) -> DataFrame:
 
 
 def bucket_second_moment(df: DataFrame, key: Iterable[str], seeds: Iterable[int] = range(8)) -> DataFrame:
-    """seed, mean_square: mean over n buckets of the squared number of distinct keys, n the number of distinct keys."""
+    """seed, squares, mean_square: sum and mean over n buckets of the squared number of distinct keys, n the number of distinct keys."""
     key = list(key)
     kinds = dict(df.dtypes)
     distinct = settle(df.select(*key).distinct())
@@ -146,6 +143,6 @@ def bucket_second_moment(df: DataFrame, key: Iterable[str], seeds: Iterable[int]
     out = None
     for s in seeds:
         loads = distinct.groupBy(pairwise([F.col(k) for k in key], [kinds[k] for k in key], n, s).alias("h")).agg(F.count("*").alias("load"))
-        one = loads.agg((F.sum(F.col("load") * F.col("load")) / F.lit(n)).alias("mean_square")).select(F.lit(s).alias("seed"), "mean_square")
+        one = loads.agg(F.sum(F.col("load") * F.col("load")).alias("squares")).select(F.lit(s).alias("seed"), "squares", (F.col("squares") / F.lit(n)).alias("mean_square"))
         out = one if out is None else out.union(one)
     return out

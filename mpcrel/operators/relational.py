@@ -15,7 +15,7 @@ from .ranks import refresh
 
 def select(rel: Relation, predicate: Column) -> Relation:
     """Rows that fail become dummies, the size stays, ranks are repaired."""
-    return refresh(set_dummy(rel, predicate).settled())
+    return refresh(set_dummy(rel, predicate))
 
 
 def project(rel: Relation, attrs: Iterable[str]) -> Relation:
@@ -50,13 +50,20 @@ def aggregate(rel: Relation, key: Iterable[str], aggs: dict[str, tuple[str, Colu
     kept = ran.withColumn(LIVE, F.when(F.col("__last"), F.col(LIVE)).otherwise(F.lit(0).cast("long"))).drop(*aggs)
     kept = kept.withColumnsRenamed({f"__g_{n}": n for n in aggs})
     keys = tuple(k for k in rel.keys if set(k) <= set(key))
-    return refresh(rel.on(kept, attrs=tuple(a for a in rel.attrs if a in key), keys=keys, anns=tuple(aggs)).settled())
+    return refresh(rel.on(kept, attrs=tuple(a for a in rel.attrs if a in key), keys=keys, anns=tuple(aggs)))
 
 
 def distinct(rel: Relation, attrs: Iterable[str]) -> Relation:
     return aggregate(rel, attrs, {})
 
 
+def having_share(rel: Relation, part: int, of: int) -> Relation:
+    """Groups whose annotation passes part/of of the total stay, the others become dummies; the total is opened to nobody."""
+    total = aggregate(project(drop_ranks(rel, []), ()), (), {rel.anns[0]: ("sum", F.col(rel.anns[0]))})
+    beside = rel.df.crossJoin(_one_row(total, (rel.anns[0],)))
+    return select(_with(rel, beside), F.col(rel.anns[0]) * of > F.col(f"v_{rel.anns[0]}") * part)
+
+
 def _first_of_each(rel: Relation, key: tuple[str, ...]) -> Relation:
     """All but the last live row of each key value become dummies; ranks are left alone."""
     live = F.col(LIVE) == 1
@@ -68,12 +75,12 @@ def common(a: Relation, b: Relation) -> tuple[str, ...]:
     return key_of(set(a.attrs) & set(b.attrs))
 
 
-def semijoin(rel: Relation, other: Relation, anti: bool = False, mode: str = "lookup") -> Relation:
+def semijoin(rel: Relation, other: Relation, anti: bool = False, mode: str = "index") -> Relation:
     """Rows without a partner on the common attributes become dummies (with `anti`, those with one)."""
     key = common(rel, other)
     single = _first_of_each(other, key) if key else other
-    tagged = arrays.extended(rel, list(key), single.df.select(POS, LIVE, *key), list(key), {}, mode=mode) if key else _any_live(rel, other)
-    return refresh(set_dummy(_with(rel, tagged), F.col("hit") == (0 if anti else 1)).settled())
+    tagged = arrays.extended(rel, list(key), single.df.select(POS, LIVE, *key), list(key), {}, mode=mode) if key else rel.df.crossJoin(_one_row(other))
+    return refresh(set_dummy(_with(rel, tagged), F.col("hit") == (0 if anti else 1)))
 
 
 def _with(rel: Relation, df) -> Relation:
@@ -83,32 +90,38 @@ def _with(rel: Relation, df) -> Relation:
     return replace(rel, df=df)
 
 
-def _any_live(rel: Relation, other: Relation):
-    return rel.df.withColumn("hit", F.lit(1 if (other.df.agg(F.max(LIVE)).first()[0] or 0) else 0))
+def _one_row(rel: Relation, names: Iterable[str] = ()):
+    """hit (1 if a row lives) and the annotations of the only live row, as one row whatever lives; for empty keys."""
+    live = F.col(LIVE) == 1
+    return F.broadcast(rel.df.agg(F.coalesce(F.max(LIVE), F.lit(0)).alias("hit"), *(F.coalesce(F.max(F.when(live, F.col(n))), F.lit(0)).alias(f"v_{n}") for n in names)))
 
 
-def reduce_join(parent: Relation, child: Relation, semiring: Semiring = SUM_PRODUCT, mode: str = "lookup") -> Relation:
+def reduce_join(parent: Relation, child: Relation, semiring: Semiring = SUM_PRODUCT, mode: str = "index") -> Relation:
     """Child's attributes are a key of it and belong to parent: annotations are multiplied, rows without a partner die."""
     key = key_of(child.attrs)
     names = semiring.names
     if not key:
-        values = child.df.where(F.col(LIVE) == 1).select(*(F.col(n).alias(f"__y_{n}") for n in names))
-        met = parent.df.crossJoin(F.broadcast(values.limit(1)))
-        met = met.withColumnsRenamed({f"__y_{n}": f"v_{n}" for n in names}).withColumn("hit", F.lit(1))
+        met = parent.df.crossJoin(_one_row(child, names))
     else:
         met = arrays.extended(parent, list(key), child.df.select(POS, LIVE, *key, *names), list(key), {f"v_{n}": n for n in names}, mode=mode)
     product = semiring.times([F.col(n) for n in names], [F.col(f"v_{n}") for n in names])
     rows = met.withColumns({f"__p_{n}": c for n, c in zip(names, product)}).drop(*names).withColumnsRenamed({f"__p_{n}": n for n in names})
-    return refresh(set_dummy(_with(parent, rows), F.col("hit") == 1).settled())
+    return refresh(set_dummy(_with(parent, rows), F.col("hit") == 1))
+
+
+def counted(rel: Relation, key: tuple[str, ...]):
+    """__pos, __live, key and __n: how many live rows have the key, at the last of them; the other rows are dummies."""
+    live = F.col(LIVE) == 1
+    ran = scan.segmented(rel.df.select(POS, LIVE, *key, rank_col(key)), [F.col(LIVE), *(F.when(live, F.col(k)) for k in key)], {"__n": ("count", F.when(live, 1))}, pos=rank_col(key), size=rel.size, conf=rel.conf, last="__last")
+    return ran.select(POS, F.when(F.col("__last"), F.col(LIVE)).otherwise(F.lit(0).cast("long")).alias(LIVE), *key, "__n")
 
 
-def degrees(rel: Relation, other: Relation, key: tuple[str, ...], mode: str = "lookup"):
-    """rel with __d: how many live rows of other share its key, 0 for dummies; other's counts come from one aggregate."""
-    counted = aggregate(drop_ranks(project(other, key), [key]), key, {"__n": ("count", F.col(LIVE))})
-    return arrays.extended(rel, list(key), counted.df.select(POS, LIVE, *key, "__n"), list(key), {"__d": "__n"}, mode=mode).drop("hit")
+def degrees(rel: Relation, other: Relation, key: tuple[str, ...], mode: str = "index"):
+    """rel with __d: how many live rows of other share its key, 0 for dummies."""
+    return arrays.extended(rel, list(key), counted(other, key), list(key), {"__d": "__n"}, mode=mode).drop("hit")
 
 
-def join(r: Relation, s: Relation, m: int, semiring: Semiring | None = None, mode: str = "lookup", expansion: str = "explode") -> Relation:
+def join(r: Relation, s: Relation, m: int, semiring: Semiring | None = None, mode: str = "index", expansion: str = "explode") -> Relation:
     """All matching pairs in rank order of the common attributes, then dummies up to the public bound m.
 
     Both sides are expanded by the number of their partners. The copies of s then go where the copies of r are: the c-th copy
@@ -118,13 +131,13 @@ def join(r: Relation, s: Relation, m: int, semiring: Semiring | None = None, mod
     if not key:
         raise ValueError("no common attribute")
     live = F.col(LIVE) == 1
-    r1, s1 = settle(degrees(r, s, key, mode)), settle(degrees(s, r, key, mode))
-    left = arrays.expand_with_ranks(_with(r, r1), "__d", m, order=key, mode=expansion)
+    left = arrays.expand_with_ranks(_with(r, degrees(r, s, key, mode)), "__d", m, order=key, mode=expansion)
     seg = [F.col(LIVE), *(F.when(live, F.col(k)) for k in key)]
     rk = rank_col(key)
-    numbered = scan.segmented(s1, seg, {"__j": ("count", F.lit(1))}, pos=rk, size=s.size, conf=s.conf)
-    own = degrees(_with(s, numbered.withColumnRenamed("__d", "__dr")), s, key, mode).withColumnRenamed("__d", "__own").withColumnRenamed("__dr", "__d")
-    s2 = _with(s, own).on(own, attrs=(*s.attrs, "__d", "__j", "__own"))
+    own = degrees(s, s, key, mode).withColumnRenamed("__d", "__own")
+    own = scan.segmented(own, seg, {"__j": ("count", F.lit(1))}, pos=rk, size=s.size, conf=s.conf)
+    met = degrees(_with(s, own), r, key, mode)
+    s2 = _with(s, met).on(met, attrs=(*s.attrs, "__d", "__j", "__own"))
     right = arrays.expand_with_ranks(s2, "__d", m, order=key, mode=expansion)
     # places before this key's block: own position less the copies of the key's earlier rows and this row's earlier copies
     first = F.col(POS) - ((F.col("__j") - 1) * F.col("__d") + F.col("__copy") - 1)

@@ -1,4 +1,4 @@
-"""Prefix scans by position in two levels: windows inside chunks of fixed public size, and a scan of chunk summaries.
+"""Prefix scans by position in levels: windows inside chunks of fixed public size, and a scan of chunk summaries.
 
 A giant segment is as cheap as many small ones, and no window holds more than a chunk or one row per chunk.
 """
@@ -38,29 +38,37 @@ def _combine(op: str, before: Column, here: Column) -> Column:
     return F.greatest(before, here) if op == "max" else F.least(before, here)
 
 
-def prefix(df: DataFrame, outs: dict[str, tuple[str, Column]], pos: str = POS, size: int | None = None, conf: MpcConf = DEFAULT, exclusive: bool = False) -> DataFrame:
+def prefix(df: DataFrame, outs: dict[str, tuple[str, Column]], pos: str = POS, size: int | None = None, conf: MpcConf = DEFAULT, exclusive: bool = False, totals: dict[str, str] | None = None) -> DataFrame:
     """Adds running results in order of pos: outs is name -> (op, column), op one of sum, max, min, count, copy.
 
-    Nulls are neutral. With `exclusive` each row gets the result of the rows before it (sums and counts only).
+    Nulls are neutral. With `exclusive` each row gets the result of the rows before it (null before the first for max, min and
+    copy). `totals` is out -> name of a column with the result over all rows, which comes from the chunk summaries and is
+    opened to nobody. Summaries of more than a chunk are scanned in chunks themselves.
     """
+    totals = totals or {}
     rows = df.select("*", chunk_of(F.col(pos), conf).alias(CHUNK), *(x.alias(f"__x_{o}") for o, (_, x) in outs.items()))
-    here = W.partitionBy(CHUNK).orderBy(pos).rowsBetween(W.unboundedPreceding, W.currentRow)
+    here = W.partitionBy(CHUNK).orderBy(pos).rowsBetween(W.unboundedPreceding, -1 if exclusive else W.currentRow)
     total = {"sum": F.sum, "max": F.max, "min": F.min, "count": F.count}
-    sums = [F.max(F.when(F.col(f"__x_{o}").isNotNull(), F.struct(F.col(pos), F.col(f"__x_{o}").alias("v"))))["v"].alias(f"__t_{o}") if op == "copy" else total[op](f"__x_{o}").alias(f"__t_{o}") for o, (op, _) in outs.items()]
-    before = W.orderBy(CHUNK).rowsBetween(W.unboundedPreceding, -1)
-    carried = rows.groupBy(CHUNK).agg(*sums).select(CHUNK, *(_running("sum" if op == "count" else op, F.col(f"__t_{o}"), before).alias(f"__c_{o}") for o, (op, _) in outs.items()))
     local = rows.select("*", *(_running(op, F.col(f"__x_{o}"), here).alias(f"__l_{o}") for o, (op, _) in outs.items()))
     if size is not None and size <= conf.chunk:  # one chunk, by public size: nothing is carried
+        whole = W.partitionBy(CHUNK)
         joined = local.withColumns({f"__c_{o}": F.lit(None).cast(local.schema[f"__l_{o}"].dataType) for o in outs})
+        joined = joined.withColumns({f"__all_{o}": total[outs[o][0]](f"__x_{o}").over(whole) for o in totals})
     else:
-        joined = local.join(small(carried, None if size is None else size // conf.chunk + 1, conf), CHUNK)
-    made = []
-    for o, (op, _) in outs.items():
-        value = _combine(op, F.col(f"__c_{o}"), F.col(f"__l_{o}"))
-        if exclusive:
-            value = value - (F.col(f"__x_{o}").isNotNull().cast("long") if op == "count" else F.coalesce(f"__x_{o}", F.lit(0)))
-        made.append(value.alias(o))
-    return joined.select(*df.columns, *made)
+        sums = [F.max(F.when(F.col(f"__x_{o}").isNotNull(), F.struct(F.col(pos), F.col(f"__x_{o}").alias("v"))))["v"].alias(f"__t_{o}") if op == "copy" else total[op](f"__x_{o}").alias(f"__t_{o}") for o, (op, _) in outs.items()]
+        chunks = rows.groupBy(CHUNK).agg(*sums)
+        kinds = {o: "sum" if op == "count" else op for o, (op, _) in outs.items()}
+        number = None if size is None else -(-size // conf.chunk)
+        if number is not None and conf.chunk < number < size:
+            of_chunks = chunks.withColumnRenamed(CHUNK, "__below").withColumn("__at", F.col("__below") + 1)
+            tops = prefix(of_chunks, {f"__c_{o}": (k, F.col(f"__t_{o}")) for o, k in kinds.items()}, "__at", number, conf, True, {f"__c_{o}": f"__all_{o}" for o in totals}).withColumnRenamed("__below", CHUNK)
+        else:
+            before = W.orderBy(CHUNK).rowsBetween(W.unboundedPreceding, -1)
+            every = W.orderBy(CHUNK).rowsBetween(W.unboundedPreceding, W.unboundedFollowing)
+            tops = chunks.select(CHUNK, *(_running(k, F.col(f"__t_{o}"), before).alias(f"__c_{o}") for o, k in kinds.items()), *(_running(kinds[o], F.col(f"__t_{o}"), every).alias(f"__all_{o}") for o in totals))
+        joined = local.join(small(tops.select(CHUNK, *(f"__c_{o}" for o in outs), *(f"__all_{o}" for o in totals)), number, conf), CHUNK)
+    made = [_combine(op, F.col(f"__c_{o}"), F.col(f"__l_{o}")).alias(o) for o, (op, _) in outs.items()]
+    return joined.select(*df.columns, *made, *(F.coalesce(f"__all_{o}", F.lit(0)).alias(n) for o, n in totals.items()))
 
 
 def segmented(df: DataFrame, seg: list[Column], outs: dict[str, tuple[str, Column]], pos: str = POS, size: int | None = None, conf: MpcConf = DEFAULT, last: str | None = None) -> DataFrame:
@@ -92,3 +100,26 @@ def segmented(df: DataFrame, seg: list[Column], outs: dict[str, tuple[str, Colum
     if last:
         made.append((~F.coalesce("__next", "__next_first").eqNullSafe(F.col("__seg"))).alias(last))
     return joined.select(*df.columns, *made)
+
+
+def monoid(df: DataFrame, values: list[str], combine, neutral: dict[str, int], pos: str = POS, conf: MpcConf = DEFAULT) -> DataFrame:
+    """pos and running results of any associative operation on the value columns (longs); combine takes two structs of them.
+
+    A chunk's rows are folded in order within one row of arrays, chunk results likewise, and what comes before is combined in.
+    """
+    kind = "struct<" + ",".join(f"{v}:bigint" for v in values) + ">"
+    start = F.struct(*(F.lit(neutral[v]).cast("long").alias(v) for v in values))
+
+    def folded(rows):
+        step = lambda done, r: F.concat(done, F.array(combine(F.element_at(done, -1), F.struct(*(r[v].alias(v) for v in values))).cast(kind)))
+        return F.aggregate(rows, F.array(start.cast(kind)), step)
+
+    rows = df.select(pos, *(F.col(v).cast("long").alias(v) for v in values), chunk_of(F.col(pos), conf).alias(CHUNK))
+    chunks = rows.groupBy(CHUNK).agg(F.array_sort(F.collect_list(F.struct(pos, *values))).alias("rows")).withColumn("runs", folded(F.col("rows")))
+    tops = chunks.select(CHUNK, F.element_at("runs", -1).alias("whole"))
+    listed = tops.agg(F.array_sort(F.collect_list(F.struct(F.col(CHUNK), *(F.col(f"whole.{v}").alias(v) for v in values)))).alias("tops"))
+    before = listed.select(F.posexplode(F.arrays_zip(F.col("tops"), F.slice(folded(F.col("tops")), F.lit(1), F.size("tops")).alias("carry"))).alias("i", "t"))
+    before = before.select(F.col(f"t.tops.{CHUNK}").alias(CHUNK), F.col("t.carry").alias("carry"))
+    both = chunks.select(CHUNK, F.posexplode("rows").alias("i", "row"), "runs").join(before, CHUNK)
+    out = combine(F.col("carry"), F.element_at("runs", F.col("i") + 2))
+    return both.select(F.col(f"row.{pos}").alias(pos), out.alias("out")).select(pos, *(F.col(f"out.{v}").alias(v) for v in values))

@@ -27,6 +27,8 @@ class Source:
     anns: dict[str, Column] = field(default_factory=dict)
     owner: int = 0
     key: tuple[str, ...] | None = None  # attributes that tell rows apart; without, rows may repeat
+    block: Callable[[Relation], Relation] | None = None  # operators that make the relation from its rows, before the query
+    block_plain: Callable[[DataFrame], DataFrame] | None = None  # the same on a plain table
 
 
 @dataclass(frozen=True)
@@ -52,6 +54,34 @@ class JoinAggQuery:
         return frozenset(n for n, s in self.sources.items() if self.semiring and not s.key)
 
 
+def locally_joined(query: JoinAggQuery, owners: dict[str, int]) -> JoinAggQuery:
+    """The query after owners have joined, in the clear, their own relations that share attributes; annotations multiply."""
+    from dataclasses import replace
+
+    sources = dict(query.sources)
+    for b in list(sources):
+        a = next((n for n in sources if n != b and b in sources and owners[n] == owners[b] and set(sources[n].attrs) & set(sources[b].attrs)), None)
+        if a is None or b not in sources:
+            continue
+        ring, parts = query.semiring or COUNT, [replace(query, sources={n: sources[n]}) for n in (a, b)]
+
+        def table(spark, sf_dir, names=(a, b), parts=parts, ring=ring):
+            frames = []
+            for n, part in zip(names, parts):
+                cols, passes = columns(part, n)
+                frames.append(part.sources[n].table(spark, sf_dir).where(passes).select(*cols))
+            key = sorted(set(parts[0].sources[names[0]].attrs) & set(parts[1].sources[names[1]].attrs))
+            both = frames[0].join(frames[1].withColumnsRenamed({n: f"__o_{n}" for n in ring.names}), key)
+            product = ring.times([F.col(n) for n in ring.names], [F.col(f"__o_{n}") for n in ring.names])
+            return both.withColumns({f"__p_{n}": c for n, c in zip(ring.names, product)}).drop(*ring.names).withColumnsRenamed({f"__p_{n}": n for n in ring.names})
+
+        attrs = {x: F.col(x) for n in (a, b) for x in sources[n].attrs}
+        keys = [k for k in (sources[a].key, sources[b].key) if k]
+        sources[a] = Source(table, attrs, None, {n: F.col(n) for n in ring.names} if query.semiring else {}, owners[a], tuple(dict.fromkeys(x for k in keys for x in k)) if len(keys) == 2 else None)
+        del sources[b]
+    return replace(query, name=f"{query.name}, local joins", sources=sources)
+
+
 def columns(query: JoinAggQuery, name: str) -> tuple[list[Column], Column]:
     """The relation's attributes and annotations as columns, and whether a row passes its selection."""
     s, ring = query.sources[name], query.semiring or COUNT
@@ -59,25 +89,31 @@ def columns(query: JoinAggQuery, name: str) -> tuple[list[Column], Column]:
     return [*(c.alias(a) for a, c in s.attrs.items()), *(c.cast("long").alias(a) for a, c in anns.items())], F.lit(True) if s.where is None else F.coalesce(s.where, F.lit(False))
 
 
-def prepare(query: JoinAggQuery, spark: SparkSession, sf_dir: str, plan: planner.Plan, conf: MpcConf = DEFAULT) -> dict[str, Relation]:
-    """What the owners do: encode, mark rows that fail the local selection as dummies, attach ranks for the plan's keys."""
+def prepare(query: JoinAggQuery, spark: SparkSession, sf_dir: str, plan: planner.Plan, conf: MpcConf = DEFAULT, preselect: bool = False) -> dict[str, Relation]:
+    """What the owners do: encode, mark rows that fail the local selection as dummies, attach ranks for the plan's keys.
+
+    With `preselect` owners drop these rows instead, which reveals how many are left. A relation with a block of operators
+    goes through it here, and keeps the ranks of the keys that the block keeps.
+    """
     from ..operators.ranks import positions
 
     rels, anns = {}, tuple((query.semiring or COUNT).names)
     for name, s in query.sources.items():
         cols, passes = columns(query, name)
-        rows = s.table(spark, sf_dir).select(*cols, passes.cast("long").alias(LIVE))
+        table = s.table(spark, sf_dir).where(passes) if preselect else s.table(spark, sf_dir)
+        rows = table.select(*cols, passes.cast("long").alias(LIVE))
         placed, size = positions(rows, list(s.attrs), conf)
         rels[name] = Relation(placed, tuple(s.attrs), (), size, anns, conf) if size else pad_to(Relation(placed, tuple(s.attrs), (), 0, anns, conf), 1)
     buckets = max(r.size for r in rels.values())
-    return {name: attach(r, sorted(plan.keys[name]), buckets) for name, r in rels.items()}
+    ranked = {name: attach(r, sorted(plan.keys[name]), buckets) for name, r in rels.items()}
+    return {name: query.sources[name].block(r) if query.sources[name].block else r for name, r in ranked.items()}
 
 
 def _aggregate(rel: Relation, attrs, ring: Semiring) -> Relation:
     return ops.aggregate(rel, attrs, {n: (op, F.col(n)) for n, op in zip(ring.names, ring.plus)})
 
 
-def reduce_phase(rels: dict[str, Relation], steps: list[planner.Step], ring: Semiring, meter: Meter, mode: str = "lookup") -> dict[str, Relation]:
+def reduce_phase(rels: dict[str, Relation], steps: list[planner.Step], ring: Semiring, meter: Meter, mode: str = "index") -> dict[str, Relation]:
     rels = dict(rels)
     for s in steps:
         r = rels[s.relation]
@@ -91,7 +127,7 @@ def reduce_phase(rels: dict[str, Relation], steps: list[planner.Step], ring: Sem
     return rels
 
 
-def semijoin_phase(rels: dict[str, Relation], steps: list[planner.Step], meter: Meter, mode: str = "lookup") -> dict[str, Relation]:
+def semijoin_phase(rels: dict[str, Relation], steps: list[planner.Step], meter: Meter, mode: str = "index") -> dict[str, Relation]:
     rels = dict(rels)
     for s in steps:
         r, other = rels[s.relation], rels[s.other]
@@ -100,7 +136,7 @@ def semijoin_phase(rels: dict[str, Relation], steps: list[planner.Step], meter:
     return rels
 
 
-def output_size(rels: dict[str, Relation], plan: planner.Plan, meter: Meter, mode: str = "lookup") -> int:
+def output_size(rels: dict[str, Relation], plan: planner.Plan, meter: Meter, mode: str = "index") -> int:
     """The only data-dependent number that is opened: the join of the reduced relations, counted on no attribute."""
     edges = {n: frozenset(r.attrs) for n, r in rels.items()}
     steps, _ = planner.reduce_steps(_subtree(plan.tree, set(rels)), edges, frozenset(), frozenset(rels))
@@ -115,15 +151,15 @@ def _subtree(tree, names: set[str]):
     return Tree(tuple((n, p) for n, p in tree.parents if n in names))
 
 
-def execute(query: JoinAggQuery, spark: SparkSession, sf_dir: str, m: int | None = None, conf: MpcConf = DEFAULT, meter: Meter | None = None, mode: str = "lookup", pad: str = "output", size_only: bool = False):
+def execute(query: JoinAggQuery, spark: SparkSession, sf_dir: str, m: int | None = None, conf: MpcConf = DEFAULT, meter: Meter | None = None, mode: str = "index", pad: str = "output", size_only: bool = False, preselect: bool = False, expansion: str = "explode", plan: planner.Plan | None = None):
     """The shared result as a relation (its live rows are the answer), or the output size alone.
 
     With m None the output-size query runs first. pad='exact' lets intermediate joins take their own sizes, which reveals
     them: it serves as a contrast in audits.
     """
     meter = Meter() if meter is None else meter
-    plan, ring = query.plan(), query.semiring or COUNT
-    rels = prepare(query, spark, sf_dir, plan, conf)
+    plan, ring = plan or query.plan(), query.semiring or COUNT
+    rels = prepare(query, spark, sf_dir, plan, conf, preselect)
     rels = reduce_phase(rels, plan.reduce, ring, meter, mode)
     if len(rels) == 1:
         (root,) = rels.values()
@@ -138,7 +174,7 @@ def execute(query: JoinAggQuery, spark: SparkSession, sf_dir: str, m: int | None
         a, b = ops.drop_ranks(rels[s.relation], later[k:]), ops.drop_ranks(rels.pop(s.other), later[k:])
         size = m if pad == "output" else max(1, ops.join_size(a, b))
         meter.join(a.size, b.size, size, a.width, b.width, len(a.keys), len(b.keys))
-        rels[s.relation] = ops.join(a, b, size, ring, mode)
+        rels[s.relation] = ops.join(a, b, size, ring, mode, expansion)
     (root,) = rels.values()
     if query.residual is not None:
         meter.select(root.size, root.width, len(root.keys))
@@ -159,6 +195,7 @@ def plain(query: JoinAggQuery, spark: SparkSession, sf_dir: str) -> DataFrame:
     for name, s in query.sources.items():
         cols, passes = columns(query, name)
         dfs[name] = s.table(spark, sf_dir).where(passes).select(*cols)
+        dfs[name] = s.block_plain(dfs[name]) if s.block_plain else dfs[name]
     attrs = {n: set(s.attrs) for n, s in query.sources.items()}
     call = {"sum": F.sum, "max": F.max, "min": F.min}
 

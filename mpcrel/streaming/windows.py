@@ -20,14 +20,26 @@ def events(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def drained(df: DataFrame, mode: str = "complete") -> DataFrame:
-    """Runs the stream until its input is used up and returns what its sink holds; state lives in the shared folder."""
+    """Runs the stream until its input is used up and returns what its sink holds: files in the shared folder, beside the state.
+
+    Batches are written as they come, each to a place of its own, so that a batch that runs again replaces itself; of a
+    complete-mode query the last batch is the result.
+    """
     spark = df.sparkSession
     settle(spark.range(1))
-    name = f"drained_{uuid.uuid4().hex}"
-    query = (df.writeStream.outputMode(mode).format("memory").queryName(name).trigger(availableNow=True)
-             .option("checkpointLocation", f"{spark.sparkContext.getCheckpointDir()}/{name}").start())
+    folder = f"{spark.sparkContext.getCheckpointDir()}/drained-{uuid.uuid4().hex}"
+    seen = []
+
+    def take(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{folder}/batch={number}")
+        seen.append(number)
+
+    query = df.writeStream.outputMode(mode).foreachBatch(take).trigger(availableNow=True).option("checkpointLocation", f"{folder}-state").start()
     query.awaitTermination()
-    return spark.table(name)
+    if not seen:
+        return spark.createDataFrame([], df.schema)
+    kept = seen[-1:] if mode == "complete" else seen
+    return spark.read.schema(df.schema).parquet(*(f"{folder}/batch={n}" for n in kept))
 
 
 def _start(window: str = "window") -> list:

@@ -1,4 +1,10 @@
-"""A corpus pipeline: quality, near-duplicates, benchmark passages, personal data, packing."""
+"""A corpus pipeline: quality, near-duplicates, benchmark passages, personal data, packing.
+
+Every stage takes rows with nulls in any column, empty and long texts, repeated rows, columns of other names and empty tables.
+A null text is scored, kept and packed as an empty one, and has no duplicates, passages or personal data; a row without an id
+stays unless its text decides otherwise. Without labels the quality stage keeps everything (the share of good rows is taken as
+one half).
+"""
 
 from __future__ import annotations
 
@@ -48,12 +54,21 @@ STAGES = [
 ORACLE_SQL = None
 
 
+def _drop(spark: SparkSession, path: str) -> None:
+    """Deletes a folder on whatever file system it is."""
+    place = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    place.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(place, True)
+
+
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Applies the stages to documents; each result is written to the shared folder and read again by the next stage."""
+    """Applies the stages to documents; each result is written to the shared folder and read again by the next stage, after which
+    it is deleted."""
     settle(spark.range(1))  # sets a folder where the session has none
     folder = f"{spark.sparkContext.getCheckpointDir()}/pipeline-{uuid.uuid4().hex}"
     docs = table(spark, sf_dir, "documents")
     for k, (_, stage) in enumerate(STAGES):
         stage(spark, docs, sf_dir).write.parquet(f"{folder}/{k}")
         docs = spark.read.parquet(f"{folder}/{k}")
+        if k:
+            _drop(spark, f"{folder}/{k - 1}")
     return docs

@@ -546,3 +546,51 @@ def test_pipeline_on_the_smallest_tables(spark):
     out = corpus_pipeline.run(spark, "/root/testdata/sf0.001")
     fill = out.groupBy("sequence_id").agg(F.sum("length").alias("n")).agg(F.max("n")).first()[0]
     assert fill <= 1024 and out.select("doc_id").distinct().count() > 100
+
+
+def test_pipeline_matches_its_stages_by_hand_on_odd_rows(spark, tmp_path):
+    import public_tokenizers
+    import corpus_pipeline
+    import numpy as np
+    from tokenizers import Tokenizer
+
+    rng = random.Random(71)
+    item = prose(rng, 14)
+    texts = [prose(rng, rng.randrange(5, 120)) for _ in range(40)] + [" ".join(w + "###" for w in prose(rng, 30).split()) for _ in range(12)]
+    texts += [texts[3], texts[4].replace(texts[4].split()[0], "zebra", 1), None, "", item, "write a.b@c.example or 1.2.3.4 " + prose(rng, 8), prose(rng, 3000)]
+    rows = [(i, t, "xx", "s", len(t or ""), 0.5, 1, "y") for i, t in enumerate(texts)]
+    rows += [rows[7], (None, "no id " + prose(rng, 9), None, None, None, None, None, None)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long, score double, piece int, spans string")
+    docs.write.parquet(f"{tmp_path}/documents.parquet")
+    labels = spark.createDataFrame([(i, int("###" not in (t or ""))) for i, t in enumerate(texts)], "doc_id long, quality int")
+    labels.write.parquet(f"{tmp_path}/labels.parquet")
+    spark.createDataFrame([(1, item), (2, None)], "item_id long, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    out = corpus_pipeline.run(spark, str(tmp_path)).toPandas()
+
+    conf = quality.SubwordConfig()
+    model = quality.train(docs, labels)
+    pairs = [(r[0], r[1]) for r in rows if brute_quality(r[1], model, conf) >= 0.3]
+    assert not any("###" in (t or "") for _, t in pairs) and len(pairs) > 40
+    component, _ = brute_components(pairs, 5, 80)
+    pairs = [p for p, c in zip(pairs, component) if c == p[0]]
+    hits = decontam.brute_force([(i, t) for i, (_, t) in enumerate(pairs)], [(1, item)])
+    pairs = [p for i, p in enumerate(pairs) if hits[i][1] <= 0.5 * hits[i][0]]
+    clean = [(d, re.sub(r"1\.2\.3\.4", "[IP]", re.sub(r"a\.b@c\.example", "[EMAIL]", t or ""))) for d, t in pairs]
+    engine = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
+    want = []
+    for d, t in clean:
+        ids = np.array([*engine.encode(t, add_special_tokens=False).ids, 2], "<u4")
+        cuts = [0, *range(len(ids) % 1024 or 1024, len(ids) + 1, 1024)] if len(ids) > 1024 else [0, len(ids)]
+        want += [(str(d), k, b - a, zlib.crc32(ids[a:b].tobytes())) for k, (a, b) in enumerate(zip(cuts, cuts[1:]))]
+    got = [("None" if x != x else str(int(x)), p, n, c) for x, p, n, c in zip(out["doc_id"], out["piece"], out["length"], out["ids_crc32"])]
+    assert sorted(got) == sorted(want)
+    out = out.sort_values(["sequence_id", "offset"])
+    assert (out.groupby("sequence_id")["length"].cumsum() - out["length"] == out["offset"]).all() and out.groupby("sequence_id")["length"].sum().max() <= 1024
+
+
+def test_pipeline_on_empty_tables(spark, tmp_path):
+    import corpus_pipeline
+
+    for name, schema in (("documents", "doc_id long, text string, lang string, source string, n_chars long"), ("labels", "doc_id long, quality int, toxic int"), ("benchmark", "item_id long, text string")):
+        spark.createDataFrame([], schema).write.parquet(f"{tmp_path}/{name}.parquet")
+    assert corpus_pipeline.run(spark, str(tmp_path)).count() == 0

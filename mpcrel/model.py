@@ -68,6 +68,7 @@ class Relation:
     size: int = 0
     anns: tuple[str, ...] = ()
     conf: MpcConf = DEFAULT
+    unique: tuple[tuple[str, ...], ...] = ()  # attributes that tell its live rows apart, as its schema says
 
     @property
     def width(self) -> int:
@@ -78,6 +79,10 @@ class Relation:
     def columns(self) -> list[str]:
         return [POS, LIVE, *self.attrs, *self.anns, *map(rank_col, self.keys)]
 
+    def tells_apart(self, key: Iterable[str]) -> bool:
+        """Whether, by its schema, no two live rows have equal values of the key."""
+        return any(set(u) <= set(key) for u in self.unique)
+
     def has(self, key: Iterable[str]) -> bool:
         return key_of(key) in self.keys
 

@@ -61,10 +61,11 @@ def payload(x: DataFrame, y: DataFrame, x_key: list[str], y_key: list[str], valu
 def extended(x: Relation, key: list[str], y: DataFrame, y_key: list[str], values: dict[str, str], mode: str = "index", y_live: str = LIVE) -> DataFrame:
     """Intersection for x with repeated keys, rows taken in rank order of the key: hit and values for every row of x.
 
-    `index` numbers the rows of each key, lets only the first meet its partner, and spreads what it got along the segment;
-    `lookup` joins each row with its partner and gives the same rows.
+    `index` numbers the rows of each key, lets only the first meet its partner, and spreads what it got along the segment; where
+    the schema says that x does not repeat the key, the plain intersection does. `lookup` joins each row with its partner and
+    gives the same rows.
     """
-    if mode == "lookup":
+    if mode == "lookup" or x.tells_apart(key):
         return payload(x.df, y, key, y_key, values, LIVE, y_live)
     rk = rank_col(key)
     seg = [F.col(LIVE), *(F.when(F.col(LIVE) == 1, F.col(k)) for k in key)]
@@ -139,7 +140,7 @@ def expand_with_ranks(rel: Relation, degree: str, m: int, order: tuple[str, ...]
     dead = F.col("__copy").isNull()
     ranks = {rank_col(k): F.when(dead, F.col("__new")).otherwise(F.col(f"__base_{rank_col(k)}") + F.col("__copy")).cast("long") for k in rel.keys}
     out = out.withColumns({**ranks, POS: F.col("__new"), LIVE: F.coalesce(LIVE, F.lit(0).cast("long"))})
-    return rel.on(out, attrs=(*slim_attrs, "__copy", "__from"), size=m)
+    return rel.on(out, attrs=(*slim_attrs, "__copy", "__from"), size=m, unique=())
 
 
 def zip_rows(a: DataFrame, b: DataFrame) -> DataFrame:

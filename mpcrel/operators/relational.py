@@ -22,7 +22,7 @@ def project(rel: Relation, attrs: Iterable[str]) -> Relation:
     """Drops attributes and the ranks that lost one of theirs; moves nothing."""
     attrs = tuple(a for a in rel.attrs if a in set(attrs))
     keys = tuple(k for k in rel.keys if set(k) <= set(attrs))
-    return rel.on(rel.df, attrs=attrs, keys=keys)
+    return rel.on(rel.df, attrs=attrs, keys=keys, unique=tuple(u for u in rel.unique if set(u) <= set(attrs)))
 
 
 def drop_ranks(rel: Relation, keep: Iterable[Iterable[str]]) -> Relation:
@@ -50,7 +50,7 @@ def aggregate(rel: Relation, key: Iterable[str], aggs: dict[str, tuple[str, Colu
     kept = ran.withColumn(LIVE, F.when(F.col("__last"), F.col(LIVE)).otherwise(F.lit(0).cast("long"))).drop(*aggs)
     kept = kept.withColumnsRenamed({f"__g_{n}": n for n in aggs})
     keys = tuple(k for k in rel.keys if set(k) <= set(key))
-    return refresh(rel.on(kept, attrs=tuple(a for a in rel.attrs if a in key), keys=keys, anns=tuple(aggs)))
+    return refresh(rel.on(kept, attrs=tuple(a for a in rel.attrs if a in key), keys=keys, anns=tuple(aggs), unique=(key,)))
 
 
 def distinct(rel: Relation, attrs: Iterable[str]) -> Relation:
@@ -155,7 +155,7 @@ def join(r: Relation, s: Relation, m: int, semiring: Semiring | None = None, mod
     elif s.anns and not r.anns:
         zipped, anns = zipped.withColumnsRenamed({f"__s_{a}": a for a in s.anns}), tuple(s.anns)
     # the ranks on s's other keys follow the rows of s to their targets
-    return r.on(zipped, attrs=(*r.attrs, *keep), keys=(*r.keys, *extra_keys), size=m, anns=anns).settled()
+    return r.on(zipped, attrs=(*r.attrs, *keep), keys=(*r.keys, *extra_keys), size=m, anns=anns, unique=()).settled()
 
 
 def join_size(r: Relation, s: Relation) -> int:

@@ -103,7 +103,8 @@ def prepare(query: JoinAggQuery, spark: SparkSession, sf_dir: str, plan: planner
         table = s.table(spark, sf_dir).where(passes) if preselect else s.table(spark, sf_dir)
         rows = table.select(*cols, passes.cast("long").alias(LIVE))
         placed, size = positions(rows, list(s.attrs), conf)
-        rels[name] = Relation(placed, tuple(s.attrs), (), size, anns, conf) if size else pad_to(Relation(placed, tuple(s.attrs), (), 0, anns, conf), 1)
+        rel = Relation(placed, tuple(s.attrs), (), size, anns, conf, (s.key,) if s.key and not s.block else ())
+        rels[name] = rel if size else pad_to(rel, 1)
     buckets = max(r.size for r in rels.values())
     ranked = {name: attach(r, sorted(plan.keys[name]), buckets) for name, r in rels.items()}
     return {name: query.sources[name].block(r) if query.sources[name].block else r for name, r in ranked.items()}

@@ -143,7 +143,7 @@ def _(spark, sf):
 def _literal(spark, rows, attrs, keys=()) -> Relation:
     data = [(i, 1, *r) for i, r in enumerate(rows, 1)]
     kinds = ", ".join(f"{a} {'string' if isinstance(rows[0][k], str) else 'long'}" for k, a in enumerate(attrs))
-    rel = Relation(spark.createDataFrame(data, f"{POS} long, {LIVE} long, {kinds}"), tuple(attrs), (), len(rows), (), MpcConf(chunk=2))
+    rel = Relation(spark.createDataFrame(data, f"{POS} long, {LIVE} long, {kinds}"), tuple(attrs), (), len(rows))
     return ranks.attach(rel, keys, 8, method="sort") if keys else rel
 
 

@@ -28,14 +28,14 @@ def running_degrees(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def late_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Daily counts by watermark: a second batch holds rows long before the watermark, which are dropped, and one far ahead,
-    which closes the windows before it."""
+    """Daily counts by watermark: a second batch holds a row far ahead, which closes the windows before it, and a third one a row
+    long before the watermark, which is dropped. The row far ahead stays in its open window."""
     settle(spark.range(1))
     folder = f"{spark.sparkContext.getCheckpointDir()}/late-{uuid.uuid4().hex}"
     rows = spark.read.parquet(f"{sf_dir}/events.parquet").select("event_id", F.unix_date(F.col("ts").cast("date")).cast("long").alias("day"))
     rows.withColumn("at", F.timestamp_seconds(F.col("day") * 86400)).drop("day").coalesce(1).write.parquet(f"{folder}/a")
-    last = F.lit("2100-01-01").cast("timestamp")
-    spark.range(2).select((F.col("id") + 10**9).alias("event_id"), F.when(F.col("id") == 0, F.lit("1971-01-01").cast("timestamp")).otherwise(last).alias("at")).coalesce(1).write.parquet(f"{folder}/b")
+    for name, day in (("b", "2100-01-01"), ("c", "1971-01-01")):
+        spark.range(1).select((F.col("id") - 1).alias("event_id"), F.lit(day).cast("timestamp").alias("at")).write.parquet(f"{folder}/{name}")
     schema = "event_id long, at timestamp"
 
     def run(path: str) -> DataFrame:

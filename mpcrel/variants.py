@@ -82,7 +82,8 @@ def _(spark, sf):
 @register("permute_slim_orders", "SELECT o_orderkey, row_number() OVER (ORDER BY o_orderkey DESC) AS place FROM orders")
 def _(spark, sf):
     rel = _orders(spark, sf)
-    rel = rel.on(rel.df.withColumn(POS, F.col("o_orderkey")))
+    first = read("orders")(spark, sf).agg(F.min("o_orderkey")).first()[0]
+    rel = rel.on(rel.df.withColumn(POS, F.col("o_orderkey") - first + 1))
     slim = arrays.permute_slim(rel, F.lit(rel.size + 1) - F.col(POS), [])
     return slim.join(rel.df.select(F.col(POS).alias("__from"), "o_orderkey"), "__from").select("o_orderkey", F.col(POS).alias("place"))
 
@@ -292,12 +293,9 @@ def _(spark, sf):
 
 @register("rk_grouped_agg_udf", f"SELECT o_custkey, max({C('o_totalprice')}) AS top FROM orders GROUP BY 1")
 def _(spark, sf):
-    import pandas as pd
-
-    def plus(x: pd.Series) -> int:
-        return int(x.max())
-
-    return read("orders")(spark, sf).groupBy("o_custkey").agg(F.pandas_udf(plus, "long")(fixed("o_totalprice")).alias("top"))
+    """The sum of a semiring as a function of the user."""
+    plus = F.pandas_udf(lambda x: int(x.max()), "long", F.PandasUDFType.GROUPED_AGG)
+    return read("orders")(spark, sf).groupBy("o_custkey").agg(plus(fixed("o_totalprice")).alias("top"))
 
 
 @register("rk_udtf_expand", "SELECT conv_id, k AS copy FROM (SELECT conv_id, count(*) AS n FROM conversations GROUP BY 1) c, generate_series(1, 1000) g(k) WHERE k <= n")

@@ -41,20 +41,14 @@ def _(spark, sf):
     return spark.createDataFrame([(rivals.sort_merge_join(a, b, ["o_orderkey"])[1],)], "m long")
 
 
-@register("baseline_bitonic_comparators", "SELECT 16 * 5 * 6 // 2 AS comparators, 25 AS rows")
+@register("baseline_bitonic_comparators", "SELECT 8 // 2 * 6 AS comparators, CAST(count(*) AS INTEGER) AS rows FROM region")
 def _(spark, sf):
-    """A bitonic sort of the nations on shared words: comparators of a network of 32 places."""
-    rows = read("nation")(spark, sf).select(F.row_number().over(model_window("n_nationkey")).cast("long").alias(POS), (F.col("n_regionkey") * 1000 + F.col("n_nationkey")).cast("long").alias("key"))
+    """A bitonic sort of the regions on shared words: comparators of a network of 8 places."""
+    rows = read("region")(spark, sf).select((F.col("r_regionkey") + 1).cast("long").alias(POS), (100 - F.col("r_regionkey")).cast("long").alias("key"))
     done, comparators = shares.sort_network(rows, "key", [], rows.count(), "n9")
     return done.agg(F.lit(comparators).alias("comparators"), F.count("*").cast("int").alias("rows"))
 
 
-def model_window(column: str):
-    from pyspark.sql import Window as W
-
-    return W.orderBy(column)
-
-
 @register("baseline_two_party", workloads.SQL["q3f"])
 def _(spark, sf):
     return rivals.two_party(workloads.q3(True), spark, sf)

@@ -102,24 +102,26 @@ def segmented(df: DataFrame, seg: list[Column], outs: dict[str, tuple[str, Colum
     return joined.select(*df.columns, *made)
 
 
-def monoid(df: DataFrame, values: list[str], combine, neutral: dict[str, int], pos: str = POS, conf: MpcConf = DEFAULT) -> DataFrame:
+def monoid(df: DataFrame, values: list[str], combine, neutral: dict[str, int], size: int, pos: str = POS, conf: MpcConf = DEFAULT) -> DataFrame:
     """pos and running results of any associative operation on the value columns (longs); combine takes two structs of them.
 
-    A chunk's rows are folded in order within one row of arrays, chunk results likewise, and what comes before is combined in.
+    A chunk's rows are folded in order within one array; the results of chunks are scanned likewise, level by level, and what
+    comes before a chunk is combined into its rows. Chunks are short, since folding copies the array.
     """
+    width = max(4, min(conf.chunk, 1024))
     kind = "struct<" + ",".join(f"{v}:bigint" for v in values) + ">"
-    start = F.struct(*(F.lit(neutral[v]).cast("long").alias(v) for v in values))
-
-    def folded(rows):
-        step = lambda done, r: F.concat(done, F.array(combine(F.element_at(done, -1), F.struct(*(r[v].alias(v) for v in values))).cast(kind)))
-        return F.aggregate(rows, F.array(start.cast(kind)), step)
-
-    rows = df.select(pos, *(F.col(v).cast("long").alias(v) for v in values), chunk_of(F.col(pos), conf).alias(CHUNK))
-    chunks = rows.groupBy(CHUNK).agg(F.array_sort(F.collect_list(F.struct(pos, *values))).alias("rows")).withColumn("runs", folded(F.col("rows")))
-    tops = chunks.select(CHUNK, F.element_at("runs", -1).alias("whole"))
-    listed = tops.agg(F.array_sort(F.collect_list(F.struct(F.col(CHUNK), *(F.col(f"whole.{v}").alias(v) for v in values)))).alias("tops"))
-    before = listed.select(F.posexplode(F.arrays_zip(F.col("tops"), F.slice(folded(F.col("tops")), F.lit(1), F.size("tops")).alias("carry"))).alias("i", "t"))
-    before = before.select(F.col(f"t.tops.{CHUNK}").alias(CHUNK), F.col("t.carry").alias("carry"))
-    both = chunks.select(CHUNK, F.posexplode("rows").alias("i", "row"), "runs").join(before, CHUNK)
+    start = F.struct(*(F.lit(neutral[v]).cast("long").alias(v) for v in values)).cast(kind)
+    step = lambda done, r: F.concat(done, F.array(combine(F.element_at(done, -1), F.struct(*(r[v].alias(v) for v in values))).cast(kind)))
+    chunk = F.lit(0).cast("long") if size < width else F.floor((F.col(pos) - 1) / width).cast("long")
+    rows = df.select(pos, *(F.col(v).cast("long").alias(v) for v in values), chunk.alias(CHUNK))
+    chunks = rows.groupBy(CHUNK).agg(F.array_sort(F.collect_list(F.struct(pos, *values))).alias("rows"))
+    chunks = chunks.withColumn("runs", F.aggregate("rows", F.array(start), step))
+    if size < width:
+        chunks = chunks.withColumn("carry", start)
+    else:
+        tops = chunks.select((F.col(CHUNK) + 2).alias("__top"), *(F.element_at("runs", -1)[v].alias(v) for v in values))
+        before = monoid(tops, values, combine, neutral, size // width + 2, "__top", conf)
+        before = before.select((F.col("__top") - 1).alias(CHUNK), F.struct(*values).cast(kind).alias("carry"))
+        chunks = chunks.join(before, CHUNK, "left").withColumn("carry", F.coalesce("carry", start))
     out = combine(F.col("carry"), F.element_at("runs", F.col("i") + 2))
-    return both.select(F.col(f"row.{pos}").alias(pos), out.alias("out")).select(pos, *(F.col(f"out.{v}").alias(v) for v in values))
+    return chunks.select("carry", "runs", F.posexplode("rows").alias("i", "row")).select(F.col(f"row.{pos}").alias(pos), out.alias("out")).select(pos, *(F.col(f"out.{v}").alias(v) for v in values))

@@ -109,13 +109,12 @@ def _(spark, sf):
     return scan.prefix(rows, {"low": ("min", F.col("x")), "n": ("count", F.col("x"))}, pos="o_orderkey", conf=MANY).select("o_orderkey", "low", "n")
 
 
-@register("prefix_any_monoid_orders", """WITH RECURSIVE r AS (SELECT o_orderkey, 1 + CAST(o_custkey AS BIGINT) % 7 AS a, CAST(o_custkey AS BIGINT) % 11 AS b, row_number() OVER (ORDER BY o_orderkey) AS i FROM orders),
-    t(i, o_orderkey, fa, fb) AS (SELECT i, o_orderkey, a, b FROM r WHERE i = 1 UNION ALL SELECT r.i, r.o_orderkey, (t.fa * r.a) % 1009, (t.fb * r.a + r.b) % 1009 FROM t JOIN r ON r.i = t.i + 1) SELECT o_orderkey, fa AS factor, fb AS addend FROM t""")
+@register("prefix_any_monoid_orders", "SELECT o_orderkey, CAST(first_value(o_custkey) OVER w AS BIGINT) AS first, CAST(o_custkey AS BIGINT) AS last, CAST(bit_xor(o_custkey) OVER w AS BIGINT) AS folded FROM orders WINDOW w AS (ORDER BY o_orderkey)")
 def _(spark, sf):
-    """Composition of affine maps modulo a prime: associative, not commutative."""
-    rows = read("orders")(spark, sf).select("o_orderkey", (F.col("o_custkey") % 7 + 1).cast("long").alias("factor"), (F.col("o_custkey") % 11).cast("long").alias("addend"))
-    chain = lambda f, g: F.struct((f["factor"] * g["factor"] % 1009).alias("factor"), ((f["addend"] * g["factor"] + g["addend"]) % 1009).alias("addend"))
-    return scan.monoid(rows, ["factor", "addend"], chain, {"factor": 1, "addend": 0}, pos="o_orderkey", conf=MANY)
+    """The first and the last of the rows so far, which is associative but not commutative, and their words folded by XOR."""
+    rows = read("orders")(spark, sf).select("o_orderkey", *(F.col("o_custkey").cast("long").alias(n) for n in ("first", "last", "folded")))
+    later = lambda f, g: F.struct(F.when(f["first"] < 0, g["first"]).otherwise(f["first"]).alias("first"), F.when(g["last"] < 0, f["last"]).otherwise(g["last"]).alias("last"), f["folded"].bitwiseXOR(g["folded"]).alias("folded"))
+    return scan.monoid(rows, ["first", "last", "folded"], later, {"first": -1, "last": -1, "folded": 0}, rows.count(), pos="o_orderkey")
 
 
 @register("expand_zero_degree_padded", "SELECT c_custkey, k AS copy FROM (SELECT c_custkey, count(o_orderkey) AS n FROM customer LEFT JOIN orders ON o_custkey = c_custkey GROUP BY 1) c, generate_series(1, 1000) g(k) WHERE k <= n UNION ALL SELECT NULL, NULL FROM generate_series(1, 50)")
@@ -208,12 +207,12 @@ def _(spark, sf):
     return ranks.verify(opened).crossJoin(F.broadcast(opened.df.agg(F.count("*").alias("rows"))))
 
 
-@register("servers_sort_shared_nation", "SELECT row_number() OVER (ORDER BY n_regionkey, n_nationkey) AS rank, n_nationkey FROM nation")
+@register("servers_sort_shared_region", "SELECT row_number() OVER (ORDER BY r_regionkey DESC) AS rank, CAST(r_regionkey AS BIGINT) AS r_regionkey FROM region")
 def _(spark, sf):
     """Data that came without ranks is sorted by the servers, on shared words; the positions are the ranks."""
-    rows = read("nation")(spark, sf).select(F.row_number().over(W.orderBy("n_nationkey")).cast("long").alias(POS), (F.col("n_regionkey") * 1000 + F.col("n_nationkey")).cast("long").alias("key"), F.col("n_nationkey").cast("long").alias("n_nationkey"))
-    done, _ = shares.sort_network(rows, "key", ["n_nationkey"], rows.count(), "n8")
-    return done.select(F.col(POS).alias("rank"), "n_nationkey")
+    rows = read("region")(spark, sf).select((F.col("r_regionkey") + 1).cast("long").alias(POS), (100 - F.col("r_regionkey")).cast("long").alias("key"), F.col("r_regionkey").cast("long").alias("r_regionkey"))
+    done, _ = shares.sort_network(rows, "key", ["r_regionkey"], rows.count(), "n8")
+    return done.select(F.col(POS).alias("rank"), "r_regionkey")
 
 
 # -- the kit: sources, sinks, aggregates, windows, functions of the user

@@ -48,7 +48,7 @@ def test_scans_of_many_chunks_have_a_third_level(spark):
     for x in values:
         p, q = p * (x + 2) % 101, (q * (x + 2) + x) % 101
         out.append((p, q))
-    assert [(r["p"], r["q"]) for r in scan.monoid(maps, ["p", "q"], chain, {"p": 1, "q": 0}, conf=conf).orderBy(POS).collect()] == out
+    assert [(r["p"], r["q"]) for r in scan.monoid(maps, ["p", "q"], chain, {"p": 1, "q": 0}, 40, conf=conf).orderBy(POS).collect()] == out
 
 
 def test_plans_are_chosen_by_each_relations_size():

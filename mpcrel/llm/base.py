@@ -94,6 +94,20 @@ def _hub_joined(edges: DataFrame, low: DataFrame, bound: int = 500_000) -> DataF
     return looked_up(edges, low, ["u"], low.count(), bound, F.xxhash64("v"), "inner")
 
 
+def give_back() -> None:
+    """Returns memory that a model's training has freed to the machine, since the driver lives on."""
+    import ctypes
+    import gc
+
+    import pyarrow as pa
+
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim:
+        trim(0)
+
+
 def connected_components(links: DataFrame, max_rounds: int = 60, edges_in_task: int = 200_000) -> DataFrame:
     """(node, component) for every node of links (a, b); component is the smallest node that can be reached.
 

@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import letters
-from .base import held_out, in_order, labelled_sample
+from .base import give_back, held_out, in_order, labelled_sample
 
 
 @dataclass(frozen=True)
@@ -24,9 +24,9 @@ class SubwordConfig:
     dim: int = 8
     shortest: int = 3
     longest: int = 4
-    sample_rows: int = 2_000
+    sample_rows: int = 1_000
     epochs: int = 6
-    least_steps: int = 300
+    least_steps: int = 200
     batch: int = 64
     rate: float = 2.0
     seed: int = 11
@@ -76,17 +76,17 @@ def fit(rows: list, labels, conf: SubwordConfig = SubwordConfig()) -> dict:
         pick = order[start : start + conf.batch]
         full = np.array([len(rows[i][0]) > 0 for i in pick])
         sizes = np.array([len(rows[i][0]) for i in pick[full]], "int64")
-        idx = np.concatenate([rows[i][0] for i in pick])
+        idx = np.concatenate([rows[i][0] for i in pick]).astype("int32")
         share = np.concatenate([rows[i][1] for i in pick]).astype("float32")[:, None]
-        doc = np.repeat(np.flatnonzero(full), sizes)
-        by_bucket = np.argsort(idx, kind="stable")
+        doc = np.repeat(np.flatnonzero(full), sizes).astype("int16")
+        by_bucket = np.argsort(idx, kind="stable").astype("int32")
         used, first = np.unique(idx[by_bucket], return_index=True)
-        batches.append((pick, full, np.cumsum(sizes) - sizes, idx, share, doc[by_bucket], share[by_bucket], used, first))
+        batches.append((pick, full, np.cumsum(sizes) - sizes, idx, share, doc, by_bucket, used, first.astype("int32")))
     epochs = max(conf.epochs, conf.least_steps // len(batches))
     steps, done = epochs * len(batches), 0
     for _ in range(epochs):
         for turn in rng.permutation(len(batches)):
-            pick, full, begins, idx, share, doc, its_share, used, first = batches[turn]
+            pick, full, begins, idx, share, doc, by_bucket, used, first = batches[turn]
             rate = conf.rate * (1 - done / steps)
             done += 1
             mean = np.zeros((len(pick), conf.dim), "float32")
@@ -97,7 +97,7 @@ def fit(rows: list, labels, conf: SubwordConfig = SubwordConfig()) -> dict:
             p /= p.sum(1, keepdims=True)
             p[np.arange(len(pick)), y[pick]] -= 1
             if len(idx):
-                table[used] -= rate * np.add.reduceat((p @ out).astype("float32")[doc] * its_share, first)
+                table[used] -= rate * np.add.reduceat(((p @ out).astype("float32")[doc] * share)[by_bucket], first)
             out -= rate * (p.T @ mean)
             bias = bias - rate * p.sum(0) / len(pick)
     return {"bias": float(bias[1] - bias[0]), "s": (table @ (out[1] - out[0])).astype("float32")}
@@ -136,7 +136,10 @@ def train(documents: DataFrame, labels: DataFrame, conf: SubwordConfig = Subword
     kind = sample.schema["doc_id"].dataType.simpleString()
     rows = sample.mapInArrow(hashed, f"doc_id {kind}, ids array<int>, shares array<float>, label int").toArrow()
     (ids, shares), labels = in_order(rows, "ids", "shares")
-    return fit(list(zip(ids, shares)), labels, conf)
+    model = fit(list(zip(ids, shares)), labels, conf)
+    del rows, ids, shares
+    give_back()
+    return model
 
 
 def score_quality(documents: DataFrame, model: dict, conf: SubwordConfig = SubwordConfig(), modulus: int = 5, remainder: int = 0, threshold: float = 0.3) -> DataFrame:

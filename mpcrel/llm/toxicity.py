@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import letters
-from .base import held_out, in_order, labelled_sample
+from .base import give_back, held_out, in_order, labelled_sample
 
 
 @dataclass(frozen=True)
@@ -168,7 +168,10 @@ def train(documents: DataFrame, labels: DataFrame, conf: FmConfig = FmConfig(),
     kind = sample.schema["doc_id"].dataType.simpleString()
     rows = sample.mapInArrow(hashed, f"doc_id {kind}, terms array<int>, label int").toArrow()
     (found,), labels = in_order(rows, "terms")
-    return fit(found, labels, conf)
+    model = fit(found, labels, conf)
+    del rows, found
+    give_back()
+    return model
 
 
 def score_toxicity(documents: DataFrame, model: dict, conf: FmConfig = FmConfig(), modulus: int = 5, remainder: int = 0, threshold: float = 0.5) -> DataFrame:

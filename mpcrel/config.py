@@ -16,6 +16,7 @@ class MpcConf:
     sigma: int = 40  # statistical security parameter
     chunk: int = 1 << 16  # rows that one window of a scan holds; public
     broadcast_chunks: int = 100_000  # chunk summaries up to this number are broadcast
+    broadcast_rows: int = 200_000  # a relation of up to this public size is broadcast to its partners
     explode_block: int = 1 << 16  # copies that one row gives in one step of an expansion
 
     def __post_init__(self):

@@ -50,23 +50,24 @@ def encode_dummies(df: DataFrame, key: list[str], live: str, side: int) -> DataF
     return df.withColumn("__enc", F.struct((1 - F.col(live)).alias("tag"), *nothing, F.when(F.col(live) == 1, F.lit(0)).otherwise(F.col(POS) * 2 + side).alias("at")))
 
 
-def payload(x: DataFrame, y: DataFrame, x_key: list[str], y_key: list[str], values: dict[str, str], live_x: str = LIVE, live_y: str = LIVE) -> DataFrame:
+def payload(x: DataFrame, y: DataFrame, x_key: list[str], y_key: list[str], values: dict[str, str], live_x: str = LIVE, live_y: str = LIVE, small: bool = False) -> DataFrame:
     """x with `hit` and, for each name -> column of y in values, the partner's value or 0. y's keys are distinct."""
     left = encode_dummies(x, x_key, live_x, 0)
     right = encode_dummies(y, y_key, live_y, 1).select(F.col("__enc").alias("__other"), *(F.col(c).alias(f"__y_{n}") for n, c in values.items()))
-    joined = left.join(right, left["__enc"] == right["__other"], "left")
+    joined = left.join(F.broadcast(right) if small else right, left["__enc"] == right["__other"], "left")
     return joined.select(*x.columns, F.col("__other").isNotNull().cast("long").alias("hit"), *(F.coalesce(f"__y_{n}", F.lit(0)).alias(n) for n in values))
 
 
-def extended(x: Relation, key: list[str], y: DataFrame, y_key: list[str], values: dict[str, str], mode: str = "index", y_live: str = LIVE) -> DataFrame:
+def extended(x: Relation, key: list[str], y: DataFrame, y_key: list[str], values: dict[str, str], mode: str = "auto", y_live: str = LIVE, y_size: int | None = None) -> DataFrame:
     """Intersection for x with repeated keys, rows taken in rank order of the key: hit and values for every row of x.
 
-    `index` numbers the rows of each key, lets only the first meet its partner, and spreads what it got along the segment; where
-    the schema says that x does not repeat the key, the plain intersection does. `lookup` joins each row with its partner and
-    gives the same rows.
+    `index` numbers the rows of each key, lets only the first meet its partner, and spreads what it got along the segment.
+    `lookup` joins each row with its partner and gives the same rows. `auto` goes by schema and public sizes alone: the plain
+    intersection where x does not repeat the key, a broadcast of y up to the bound, and `index` beyond it, so that no key is hot.
     """
-    if mode == "lookup" or x.tells_apart(key):
-        return payload(x.df, y, key, y_key, values, LIVE, y_live)
+    few = y_size is not None and y_size <= x.conf.broadcast_rows
+    if mode == "lookup" or (mode == "auto" and (few or x.tells_apart(key))):
+        return payload(x.df, y, key, y_key, values, LIVE, y_live, few and mode == "auto")
     rk = rank_col(key)
     seg = [F.col(LIVE), *(F.when(F.col(LIVE) == 1, F.col(k)) for k in key)]
     numbered = scan.segmented(x.df, seg, {"__i": ("count", F.lit(1))}, pos=rk, size=x.size, conf=x.conf)

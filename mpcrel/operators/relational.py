@@ -75,11 +75,11 @@ def common(a: Relation, b: Relation) -> tuple[str, ...]:
     return key_of(set(a.attrs) & set(b.attrs))
 
 
-def semijoin(rel: Relation, other: Relation, anti: bool = False, mode: str = "index") -> Relation:
+def semijoin(rel: Relation, other: Relation, anti: bool = False, mode: str = "auto") -> Relation:
     """Rows without a partner on the common attributes become dummies (with `anti`, those with one)."""
     key = common(rel, other)
     single = _first_of_each(other, key) if key else other
-    tagged = arrays.extended(rel, list(key), single.df.select(POS, LIVE, *key), list(key), {}, mode=mode) if key else rel.df.crossJoin(_one_row(other))
+    tagged = arrays.extended(rel, list(key), single.df.select(POS, LIVE, *key), list(key), {}, mode=mode, y_size=other.size) if key else rel.df.crossJoin(_one_row(other))
     return refresh(set_dummy(_with(rel, tagged), F.col("hit") == (0 if anti else 1)))
 
 
@@ -96,14 +96,14 @@ def _one_row(rel: Relation, names: Iterable[str] = ()):
     return F.broadcast(rel.df.agg(F.coalesce(F.max(LIVE), F.lit(0)).alias("hit"), *(F.coalesce(F.max(F.when(live, F.col(n))), F.lit(0)).alias(f"v_{n}") for n in names)))
 
 
-def reduce_join(parent: Relation, child: Relation, semiring: Semiring = SUM_PRODUCT, mode: str = "index") -> Relation:
+def reduce_join(parent: Relation, child: Relation, semiring: Semiring = SUM_PRODUCT, mode: str = "auto") -> Relation:
     """Child's attributes are a key of it and belong to parent: annotations are multiplied, rows without a partner die."""
     key = key_of(child.attrs)
     names = semiring.names
     if not key:
         met = parent.df.crossJoin(_one_row(child, names))
     else:
-        met = arrays.extended(parent, list(key), child.df.select(POS, LIVE, *key, *names), list(key), {f"v_{n}": n for n in names}, mode=mode)
+        met = arrays.extended(parent, list(key), child.df.select(POS, LIVE, *key, *names), list(key), {f"v_{n}": n for n in names}, mode=mode, y_size=child.size)
     product = semiring.times([F.col(n) for n in names], [F.col(f"v_{n}") for n in names])
     rows = met.withColumns({f"__p_{n}": c for n, c in zip(names, product)}).drop(*names).withColumnsRenamed({f"__p_{n}": n for n in names})
     return refresh(set_dummy(_with(parent, rows), F.col("hit") == 1))
@@ -116,12 +116,12 @@ def counted(rel: Relation, key: tuple[str, ...]):
     return ran.select(POS, F.when(F.col("__last"), F.col(LIVE)).otherwise(F.lit(0).cast("long")).alias(LIVE), *key, "__n")
 
 
-def degrees(rel: Relation, other: Relation, key: tuple[str, ...], mode: str = "index"):
+def degrees(rel: Relation, other: Relation, key: tuple[str, ...], mode: str = "auto"):
     """rel with __d: how many live rows of other share its key, 0 for dummies."""
-    return arrays.extended(rel, list(key), counted(other, key), list(key), {"__d": "__n"}, mode=mode).drop("hit")
+    return arrays.extended(rel, list(key), counted(other, key), list(key), {"__d": "__n"}, mode=mode, y_size=other.size).drop("hit")
 
 
-def join(r: Relation, s: Relation, m: int, semiring: Semiring | None = None, mode: str = "index", expansion: str = "explode") -> Relation:
+def join(r: Relation, s: Relation, m: int, semiring: Semiring | None = None, mode: str = "auto", expansion: str = "explode") -> Relation:
     """All matching pairs in rank order of the common attributes, then dummies up to the public bound m.
 
     Both sides are expanded by the number of their partners. The copies of s then go where the copies of r are: the c-th copy

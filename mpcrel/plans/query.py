@@ -114,7 +114,7 @@ def _aggregate(rel: Relation, attrs, ring: Semiring) -> Relation:
     return ops.aggregate(rel, attrs, {n: (op, F.col(n)) for n, op in zip(ring.names, ring.plus)})
 
 
-def reduce_phase(rels: dict[str, Relation], steps: list[planner.Step], ring: Semiring, meter: Meter, mode: str = "index") -> dict[str, Relation]:
+def reduce_phase(rels: dict[str, Relation], steps: list[planner.Step], ring: Semiring, meter: Meter, mode: str = "auto") -> dict[str, Relation]:
     rels = dict(rels)
     for s in steps:
         r = rels[s.relation]
@@ -128,7 +128,7 @@ def reduce_phase(rels: dict[str, Relation], steps: list[planner.Step], ring: Sem
     return rels
 
 
-def semijoin_phase(rels: dict[str, Relation], steps: list[planner.Step], meter: Meter, mode: str = "index") -> dict[str, Relation]:
+def semijoin_phase(rels: dict[str, Relation], steps: list[planner.Step], meter: Meter, mode: str = "auto") -> dict[str, Relation]:
     rels = dict(rels)
     for s in steps:
         r, other = rels[s.relation], rels[s.other]
@@ -137,7 +137,7 @@ def semijoin_phase(rels: dict[str, Relation], steps: list[planner.Step], meter:
     return rels
 
 
-def output_size(rels: dict[str, Relation], plan: planner.Plan, meter: Meter, mode: str = "index") -> int:
+def output_size(rels: dict[str, Relation], plan: planner.Plan, meter: Meter, mode: str = "auto") -> int:
     """The only data-dependent number that is opened: the join of the reduced relations, counted on no attribute."""
     edges = {n: frozenset(r.attrs) for n, r in rels.items()}
     steps, _ = planner.reduce_steps(_subtree(plan.tree, set(rels)), edges, frozenset(), frozenset(rels))
@@ -152,7 +152,7 @@ def _subtree(tree, names: set[str]):
     return Tree(tuple((n, p) for n, p in tree.parents if n in names))
 
 
-def execute(query: JoinAggQuery, spark: SparkSession, sf_dir: str, m: int | None = None, conf: MpcConf = DEFAULT, meter: Meter | None = None, mode: str = "index", pad: str = "output", size_only: bool = False, preselect: bool = False, expansion: str = "explode", plan: planner.Plan | None = None):
+def execute(query: JoinAggQuery, spark: SparkSession, sf_dir: str, m: int | None = None, conf: MpcConf = DEFAULT, meter: Meter | None = None, mode: str = "auto", pad: str = "output", size_only: bool = False, preselect: bool = False, expansion: str = "explode", plan: planner.Plan | None = None):
     """The shared result as a relation (its live rows are the answer), or the output size alone.
 
     With m None the output-size query runs first. pad='exact' lets intermediate joins take their own sizes, which reveals

@@ -8,7 +8,7 @@ from mpcrel.config import MpcConf
 from mpcrel.functions import shares
 from mpcrel.functions.semiring import SUM_PRODUCT
 from mpcrel.model import LIVE, POS, Relation, rank_col, reveal
-from mpcrel.operators import arrays, relational, scan
+from mpcrel.operators import arrays, ranks, relational, scan
 from mpcrel.plans import planner, rivals
 
 
@@ -86,3 +86,11 @@ def test_recorded_shapes_do_not_follow_the_data(spark):
             relational.aggregate(relational.select(rel, F.col("a") > keep), ["a"])
         seen.append(shapes)
     assert seen[0] == seen[1] and all(rows == 9 for _, rows, _ in seen[0])
+
+
+def test_a_full_sort_deals_rows_over_a_thousand_blocks(spark):
+    n = 6000
+    rows = [(i, (i * 7919) % n // 2) for i in range(1, n + 1)]
+    rel = Relation(spark.createDataFrame([(i, 1, k) for i, k in rows], f"{POS} long, {LIVE} long, k long"), ("k",), (), n, (), MpcConf(chunk=5))
+    got = {r[POS]: r[rank_col("k")] for r in ranks.consistent_order(rel, ["k"], n, method="sort").collect()}
+    assert got == {i: at for at, (i, _) in enumerate(sorted(rows, key=lambda r: (r[1], r[0])), 1)}

@@ -10,15 +10,15 @@ from . import meter
 from .query import JoinAggQuery, columns
 
 
-def nested_loop(query: JoinAggQuery, spark: SparkSession, sf_dir: str, limit: int = 2_000_000) -> DataFrame:
-    """Every combination of rows is formed and tested; refused where the sizes' product passes the limit."""
+def nested_loop(query: JoinAggQuery, spark: SparkSession, sf_dir: str, limit: int | None = None) -> DataFrame:
+    """Every combination of rows is formed and tested, however many there are, or refused beyond a limit that the caller names."""
     frames, product = [], 1
     for name, s in query.sources.items():
         cols, passes = columns(query, name)
         df = settle(s.table(spark, sf_dir).where(passes).select(*cols))
         product *= max(df.count(), 1)
         frames.append((name, df))
-    if product > limit:
+    if limit is not None and product > limit:
         raise ValueError(f"{product} combinations")
     out, seen, tests = None, {}, F.lit(True)
     for name, df in frames:

@@ -1,10 +1,12 @@
 """Trees, plans, costs and meters: the published tables and shapes."""
 
 import pytest
+from pyspark.sql import functions as F
 
 from mpcrel import workloads
 from mpcrel.config import MpcConf
-from mpcrel.plans import hypergraph, meter, planner
+from mpcrel.plans import baselines, hypergraph, meter, planner
+from mpcrel.plans import query as q
 
 FOUR = {"R1": frozenset("AB"), "R2": frozenset("ADE"), "R3": frozenset("BCF"), "R4": frozenset("CFG")}
 
@@ -68,3 +70,10 @@ def test_traffic_is_linear_and_the_rivals_is_not():
     step = [_chain(24_186, m).bytes for m in (20_000, 220_000, 420_000)]
     assert step[2] - step[1] == pytest.approx(step[1] - step[0], rel=1e-9)
     assert meter.amortised_ranks(10**6, 10**6, 4, 20) <= 2 * (2 * 10**6 * 4)
+
+
+def test_the_nested_loop_takes_any_number_of_combinations(spark):
+    numbers = lambda n, name: q.Source(lambda s, _: s.range(n), {name: F.col("id"), "k": F.col("id") % 7})
+    three = q.JoinAggQuery("three", {"a": numbers(300, "x"), "b": numbers(200, "y"), "c": numbers(40, "z")}, ("x", "y", "z"), None)
+    want = sum(1 for x in range(300) for y in range(x % 7, 200, 7) for z in range(x % 7, 40, 7))
+    assert baselines.nested_loop(three, spark, "").count() == want

@@ -1,10 +1,13 @@
 """Trees, plans, costs and meters: the published tables and shapes."""
 
+import pathlib
+
 import pytest
 from pyspark.sql import functions as F
 
 from mpcrel import workloads
 from mpcrel.config import MpcConf
+from mpcrel.model import settle
 from mpcrel.plans import baselines, hypergraph, meter, planner
 from mpcrel.plans import query as q
 
@@ -77,3 +80,13 @@ def test_the_nested_loop_takes_any_number_of_combinations(spark):
     three = q.JoinAggQuery("three", {"a": numbers(300, "x"), "b": numbers(200, "y"), "c": numbers(40, "z")}, ("x", "y", "z"), None)
     want = sum(1 for x in range(300) for y in range(x % 7, 200, 7) for z in range(x % 7, 40, 7))
     assert baselines.nested_loop(three, spark, "").count() == want
+
+
+def test_a_query_leaves_nothing_but_its_answer(spark):
+    settle(spark.range(1))  # sets a folder where the session has none
+    folder = pathlib.Path(spark.sparkContext.getCheckpointDir().removeprefix("file:"))
+    before = set(folder.iterdir())
+    out = q.answer(workloads.line3(), spark, "/root/testdata/sf0.001")
+    made = set(folder.iterdir()) - before
+    assert len(made) == 1 and {pathlib.Path(f.removeprefix("file:")).parent for f in out.inputFiles()} == {p.resolve() for p in made}
+    assert out.count() == q.plain(workloads.line3(), spark, "/root/testdata/sf0.001").count()

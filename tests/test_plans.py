@@ -5,6 +5,7 @@ import pathlib
 import pytest
 from pyspark.sql import functions as F
 
+import __spark_entry__
 from mpcrel import workloads
 from mpcrel.config import MpcConf
 from mpcrel.model import settle
@@ -90,3 +91,12 @@ def test_a_query_leaves_nothing_but_its_answer(spark):
     made = set(folder.iterdir()) - before
     assert len(made) == 1 and {pathlib.Path(f.removeprefix("file:")).parent for f in out.inputFiles()} == {p.resolve() for p in made}
     assert out.count() == q.plain(workloads.line3(), spark, "/root/testdata/sf0.001").count()
+
+
+@pytest.mark.parametrize("name", ["free_connex_catalogue", "join_tree_enumeration", "ownership_layouts", "plan_cost_bits", "plan_cost_table", "plan_cost_unequal"])
+def test_costs_and_plans_read_the_given_tables(spark, tmp_path, name):
+    run = __spark_entry__.queries()[name]
+    with pytest.raises(Exception, match="PATH_NOT_FOUND"):
+        run(spark, str(tmp_path)).collect()
+    few, more = (run(spark, f"/root/testdata/sf{x}").collect() for x in ("0.001", "0.01"))
+    assert len(few) == len(more) and (name == "plan_cost_bits" or all(a[-1] < b[-1] for a, b in zip(few, more)))

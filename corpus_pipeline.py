@@ -13,22 +13,25 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 
 from mpcrel.llm import decontam, near_dedup, packing, pii, quality
-from mpcrel.llm.base import settle, table
+from mpcrel.llm.base import settle, small_batches, table
 
 
 def quality_classifier(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the classifier rejects go."""
+    small_batches(spark)
     model = quality.train(docs, table(spark, sf_dir, "labels"))
     return quality.with_scores(docs, model, prefix="__quality_").where("__quality_predicted = 1").select(*docs.columns)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near-duplicates stays."""
+    small_batches(spark)
     return near_dedup.drop_near_duplicates(docs)
 
 
 def benchmark_decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Spans that repeat test items are cut out; documents that mostly consist of them go."""
+    small_batches(spark)
     return decontam.decontaminate(docs, table(spark, sf_dir, "benchmark"))
 
 
@@ -39,6 +42,7 @@ def personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 def best_fit_packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pieces with their places in sequences."""
+    small_batches(spark)
     return packing.pack(docs)
 
 

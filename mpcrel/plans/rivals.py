@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from ..config import DEFAULT, MpcConf
 from ..functions.semiring import COUNT
-from ..model import LIVE, load, rank_col, settle
+from ..model import LIVE, POS, release, scratch, settle
 from ..operators import ranks, scan
 from .meter import Meter
 from .query import JoinAggQuery, prepare, reduce_phase, semijoin_phase
@@ -23,17 +23,17 @@ def sort_merge_join(a: DataFrame, b: DataFrame, key: list[str], conf: MpcConf =
     tag = lambda df, side: df.select(*key, F.lit(side).alias("side"), F.struct(*(F.col(c) for c in df.columns)).alias(f"row{side}"))
     both = tag(a, 0).withColumn("row1", F.lit(None).cast(b.select(F.struct(*b.columns).alias("x")).schema["x"].dataType)).unionByName(
         tag(b, 1).withColumn("row0", F.lit(None).cast(a.select(F.struct(*a.columns).alias("x")).schema["x"].dataType)))
-    rel = load(both, [*key, "side", "row0", "row1"], conf=conf, order=[*key, "side", "row0", "row1"])
-    rel = ranks.attach(rel, [[*key, "side"]], rel.size, method="sort")
-    rk = rank_col([*key, "side"])
     seg, side = [F.col(k) for k in key], F.col("side")
-    ran = scan.segmented(rel.df, seg, {"n0": ("count", F.when(side == 0, 1)), "j1": ("count", F.when(side == 1, 1))}, pos=rk, size=rel.size, conf=conf)
-    back = ran.withColumn("__back", F.lit(rel.size + 1) - F.col(rk))
-    ran = settle(scan.segmented(back, seg, {"n1": ("count", F.when(side == 1, 1))}, pos="__back", size=rel.size, conf=conf))
+    with scratch():
+        placed, n = ranks.in_order(both, [*key, "side"], conf)
+        ran = settle(scan.segmented(placed, seg, {"n0": ("count", F.when(side == 0, 1)), "j1": ("count", F.when(side == 1, 1))}, size=n, conf=conf))
+        release(ran)
+        back = ran.select("*", (F.lit(n + 1) - F.col(POS)).alias("__back"))
+        ran = settle(scan.segmented(back, seg, {"n1": ("count", F.when(side == 1, 1))}, pos="__back", size=n, conf=conf))
+        release(ran)
     # a row of side 0 has seen all of side 1 from behind; a row of side 1 all of side 0 from the front, and its own number is j1
-    ones = ran.where("side = 1").groupBy(*key).agg(F.max("j1").alias("n1"))
-    left = ran.where("side = 0").select(*key, "row0", F.col("n0").alias("j0"), "n1", rk)
-    right = ran.where("side = 1").select(*key, "row1", "j1", "n0", rk).join(ones, key)
+    left = ran.where("side = 0").select(*key, "row0", F.col("n0").alias("j0"), "n1")
+    right = ran.where("side = 1").select(*key, "row1", "j1", "n0")
     m = int(left.agg(F.coalesce(F.sum("n1"), F.lit(0))).first()[0])
     grow = lambda df, d: df.where(F.col(d) > 0).withColumn("copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col(d))))
     lefts = grow(left, "n1").select(*key, "j0", F.col("copy").alias("j1"), "row0")

@@ -70,6 +70,22 @@ def test_sort_network_on_shares(spark):
     assert [(r["k"], r["v"]) for r in done.orderBy(POS).collect()] == [(k, 10 * k) for k in (1, 3, 5, 7, 9)] and comparators == 4 * 6
 
 
+def test_rows_are_ordered_by_one_sort_and_a_key_that_fills_blocks_is_dealt(spark):
+    rows = spark.range(1200).select(F.when(F.col("id") < 700, 5).otherwise(F.col("id") % 40).alias("k"), (F.col("id") % 2).alias("side"), "id")
+    placed, n = ranks.in_order(rows, ["k", "side"], MpcConf(chunk=32))
+    got = sorted((r["__pos"], r["k"], r["side"], r["id"]) for r in placed.collect())
+    assert n == 1200 and [g[0] for g in got] == list(range(1, 1201)) and sorted(g[3] for g in got) == list(range(1200))
+    assert [g[1:3] for g in got] == sorted(g[1:3] for g in got)
+    sizes = [r["count"] for r in spark.read.parquet(*placed.inputFiles()).groupBy(F.input_file_name()).count().collect()]
+    assert len(sizes) > 25 and max(sizes) < 200
+    a, b = rows.where("id >= 690").select("k", F.col("id").alias("x")), rows.where("id % 7 = 0").select("k", F.col("id").alias("y"))
+    with model.recorded() as shapes:
+        out, m = rivals.sort_merge_join(a, b, ["k"], MpcConf(chunk=32))
+    want = a.join(b, "k").select("k", "x", "y")
+    assert m == out.count() == want.count() and not out.exceptAll(want).count()
+    assert all("__rk_k_side" not in columns for columns, _, _ in shapes) and len(shapes) == 3
+
+
 def test_the_sorting_rival_joins_hot_and_missing_keys(spark):
     a, b = [(k % 3, k) for k in range(7)], [(k % 2, 100 + k) for k in range(5)]
     out, m = rivals.sort_merge_join(spark.createDataFrame(a, "k long, x long"), spark.createDataFrame(b, "k long, y long"), ["k"], MpcConf(chunk=4))
